@@ -91,12 +91,18 @@ def bit_map(ids: DataFrame, column: str, bits: int = 1 << 24) -> np.ndarray:
     return out
 
 
-def in_bit_map(column: str, sent, bits: int = 1 << 24):
+def found_in(bits: np.ndarray, hashes) -> np.ndarray:
+    """Which of xxhash64 values (no nulls) are set in a bit_map()."""
+    x = np.mod(np.asarray(hashes), len(bits) * 64)
+    return ((bits[x >> 6] >> (x & 63)) & 1).astype(bool)
+
+
+def in_bit_map(column: str, sent):
     """A Boolean column that looks `column` up in a broadcast bit_map()."""
+
     @F.pandas_udf("boolean")
     def found(h: pd.Series) -> pd.Series:
-        x = np.mod(h.to_numpy(), bits)
-        return pd.Series(((sent.value[x >> 6] >> (x & 63)) & 1).astype(bool))
+        return pd.Series(found_in(sent.value, h.to_numpy()))
 
     return found(F.xxhash64(column))
 

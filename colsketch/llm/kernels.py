@@ -12,7 +12,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-BLOCK_BYTES = 3_000_000
+BLOCK_BYTES = 1_500_000
 _MASK = (1 << 64) - 1
 MAX64 = np.uint64(_MASK)
 

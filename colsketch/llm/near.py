@@ -5,13 +5,18 @@ one of two sets has can change one block alone, so the number of blocks that dif
 difference. Two sets of a and b shingles with intersection / union >= s differ in at most
 d = floor((a + b) (1 - s) / (1 + s)) shingles; so of any d + 1 blocks that are not empty, one at least is equal. The
 sizes a + b fall into bands, each with its own number of blocks, and a set sends the first d + 1 + k of its blocks that
-are not empty, under each band it can meet a partner in (two at most). Its slack k serves against blocks that very many
+are not empty, under each band it can meet a partner in (two at most). First, in the one order that all sets share, come
+blocks with a shingle that isn't frequent; a bit map of fixed size has the shingles that some task met often, and the
+result doesn't depend on which these are. The slack k serves against blocks that very many
 sets share (common passages): a set that has no more such blocks than the slack of its smallest partner needs none of
 them, as one more equal block is left to any partner. A set drops them only then, so no pair is lost.
 
+Candidates are compared by parity sketches of single bits first: bit k is the parity of the hashes that fall on it, and
+the Hamming distance of two sketches is a lower bound of the symmetric difference, too.
+
 Sets that are equal are one class, joined as one row. In each bucket of equal blocks all sets meet the first and the
-last of them; what verification leaves in different components is then compared in full. Candidates are verified on
-the sets themselves (hashes of 48 bits).
+last of them; what verification leaves in different components is then compared in full by sketches, chunk by chunk, and
+only pairs that these do not rule out become rows. Candidates are verified on the sets themselves (hashes of 48 bits).
 
 Null and empty texts and texts without words have no shingles and link with nothing. Rows with a null doc_id are left
 out of links. Repeated rows with one doc_id count by the union-free rule that each row stands for itself; they share
@@ -27,11 +32,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bit_map, components, cut, in_bit_map, stored
+from .common import bit_map, components, cut, found_in, in_bit_map, stored
 from .kernels import SPACE_WORDS, Block, blocks, mix, mix_int
 
 #: A bucket with more sets than this is a common block, see above. No pair is lost by it.
-COMMON = 48
+COMMON = 24
+#: A shingle that OFTEN sets have, of sets with CHUNK shingles in all, goes to the map of frequent shingles.
+OFTEN, CHUNK, MAP_BITS = 6, 3_000_000, 1 << 25
+#: Sets of a bucket that are compared with as many others at a time.
+CELL = 1024
 
 
 def shingle_sets(block: Block, words: int) -> Iterator[np.ndarray]:
@@ -75,10 +84,17 @@ class Bands:
         least = n * self.num // self.den
         return self.slack(least) if least >= 32 else 0
 
-    def sketches(self, s: np.ndarray) -> tuple[np.ndarray, int]:
-        """Keys of the blocks that a set sends, and how many common blocks it may drop."""
+    def totals(self, n: int) -> tuple[int, int]:
+        """Least and largest a + b of a set of n shingles and a partner."""
+        return n + -(-n * self.num // self.den), n + n * self.den // self.num
+
+    def sketches(self, s: np.ndarray, frequent: np.ndarray) -> tuple[np.ndarray, int]:
+        """Keys of the blocks that a set sends, and how many common blocks it may drop.
+
+        frequent marks shingles; blocks of nothing else come last, which is an order all sets agree on.
+        """
         n = len(s)
-        low, high = n + -(-n * self.num // self.den), n + n * self.den // self.num
+        low, high = self.totals(n)
         out = []
         levels = range(self.level(low), self.level(high) + 1)
         for p in levels:
@@ -94,30 +110,85 @@ class Bands:
             first = np.flatnonzero(np.append(True, block[1:] != block[:-1]))
             k = min(self.slack(n), len(first) - d - 1)
             m = d + 1 + k if k >= 0 else len(first)
-            parity = np.bitwise_xor.reduceat(s, first)[:m]
-            out.append(mix(mix(parity) + block[first[:m]] * np.uint64(64) + np.uint64(p)))
+            last = np.logical_and.reduceat(frequent, first)
+            taken = np.concatenate([np.flatnonzero(~last), np.flatnonzero(last)])[:m] if last.any() else np.arange(m)
+            parity = np.bitwise_xor.reduceat(s, first)[taken]
+            out.append(mix(mix(parity) + block[first[taken]] * np.uint64(64) + np.uint64(p)))
             if k < 0:  # nothing is sure of its blocks: such sets all meet
                 out.append(np.array([mix_int(p + 7_777_777)], np.uint64))
         return np.concatenate(out), self.free(n)
 
 
-def _meta(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.RecordBatch]:
+def map_place(s: np.ndarray) -> np.ndarray:
+    """A shingle's place in the bit map of frequent ones."""
+    return ((s >> np.uint64(20)) & np.uint64(MAP_BITS - 1)).astype(np.int64)
+
+
+def in_map(s: np.ndarray, bits: np.ndarray) -> np.ndarray:
+    x = map_place(s)
+    return ((bits[x >> 6] >> (x & 63)) & 1).astype(bool)
+
+
+def frequent_map(rows: DataFrame) -> np.ndarray:
+    """Bit map of the hashes h1; MAP_BITS / 64 rows at most reach the driver."""
+    place = F.shiftrightunsigned("h1", 20).bitwiseAND(F.lit(MAP_BITS - 1))
+    words = rows.select(F.shiftright(place, 6).alias("w"), F.expr(f"shiftleft(1L, cast((shiftrightunsigned(h1, 20) & {MAP_BITS - 1}) & 63 as int))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v"))
+    out = np.zeros(MAP_BITS // 64, np.int64)
+    for w, v in words.collect():
+        out[w] = v
+    return out
+
+
+def parity_bits(s: np.ndarray, bits: int) -> bytes:
+    """Bit k is the parity of the hashes whose remainder by `bits` is k."""
+    at = (s & np.uint64(bits - 1)).astype(np.int64)
+    return np.packbits((np.bincount(at, minlength=bits) & 1).astype(np.uint8)).tobytes()
+
+
+def bits_apart(a: np.ndarray, b: np.ndarray) -> int:
+    """Hamming distance of two parity sketches; the longer is folded to the other's length, which keeps its parities."""
+    while len(a) > len(b):
+        a = a[: len(a) // 2] ^ a[len(a) // 2 :]
+    while len(b) > len(a):
+        b = b[: len(b) // 2] ^ b[len(b) // 2 :]
+    return int(np.bitwise_count(a ^ b).sum())
+
+
+def _frequent(held: list[np.ndarray]) -> pa.RecordBatch:
+    s = np.sort(np.concatenate(held)) if held else np.zeros(0, np.uint64)
+    at = np.flatnonzero(s[OFTEN - 1 :] == s[: len(s) - OFTEN + 1]) if len(s) >= OFTEN else np.zeros(0, np.int64)
+    found = np.unique(s[at])
+    n = len(found)
+    return pa.RecordBatch.from_arrays([pa.nulls(n, pa.int64()), pa.array(np.full(n, -1)), pa.array(found.view(np.int64)), pa.array(np.zeros(n, np.int64)), pa.array([b""] * n, pa.binary())], names=["doc_id", "n_shingles", "h1", "h2", "sketch"])
+
+
+def _meta(batches: Iterator[pa.RecordBatch], words: int, bands: Bands) -> Iterator[pa.RecordBatch]:
+    """A row for each document; n_shingles -1 marks rows of shingles (h1) that occur often among CHUNK shingles of the task."""
+    held: list[np.ndarray] = []
+    n = 0
     for batch in batches:
         for i, j, block in blocks(batch.column("text"), SPACE_WORDS, lower=True):
             sets = list(shingle_sets(block, words))
             sums = np.array([s.sum(dtype=np.uint64) for s in sets], np.uint64)
             turned = np.array([mix(s).sum(dtype=np.uint64) for s in sets], np.uint64)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id")[i:j], pa.array(np.array([len(s) for s in sets], np.int64)), pa.array(sums.view(np.int64)), pa.array(turned.view(np.int64))], names=["doc_id", "n_shingles", "h1", "h2"])
+            bits = [parity_bits(s, 4 << bands.level(bands.totals(len(s))[1])) if len(s) else b"" for s in sets]
+            held += sets
+            n += sum(len(s) for s in sets)
+            if n > CHUNK:
+                yield _frequent(held)
+                held, n = [], 0
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id")[i:j], pa.array(np.array([len(s) for s in sets], np.int64)), pa.array(sums.view(np.int64)), pa.array(turned.view(np.int64)), pa.array(bits, pa.binary())], names=["doc_id", "n_shingles", "h1", "h2", "sketch"])
+    yield _frequent(held)
 
 
-def _sent(batches: Iterator[pa.RecordBatch], words: int, bands: Bands) -> Iterator[pa.RecordBatch]:
+def _sent(batches: Iterator[pa.RecordBatch], words: int, bands: Bands, often) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         ids = batch.column("doc_id")
         for i, j, block in blocks(batch.column("text"), SPACE_WORDS, lower=True):
             keys, at, slack = [], [], []
             for d, s in enumerate(shingle_sets(block, words)):
                 if len(s) and ids[i + d].is_valid:
-                    k, free = bands.sketches(s)
+                    k, free = bands.sketches(s, in_map(s, often.value))
                     keys.append(k)
                     at.append(np.full(len(k), d))
                     slack.append(np.full(len(k), free, np.int32))
@@ -126,8 +197,9 @@ def _sent(batches: Iterator[pa.RecordBatch], words: int, bands: Bands) -> Iterat
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(doc), pa.array(np.concatenate(slack))], names=["key", "doc_id", "slack"])
 
 
-def _packed(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.RecordBatch]:
+def _packed(batches: Iterator[pa.RecordBatch], words: int, sent) -> Iterator[pa.RecordBatch]:
     for batch in batches:
+        batch = batch.filter(pa.array(found_in(sent.value, batch.column("h"))))
         for i, j, block in blocks(batch.column("text"), SPACE_WORDS, lower=True):
             low = [np.unique(s >> np.uint64(16)) for s in shingle_sets(block, words)]
             out = [s.view(np.uint8).reshape(-1, 8)[:, :6].tobytes() for s in low]
@@ -161,15 +233,100 @@ def _verified(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator
         yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(good)], names=["a", "b", "linked"])
 
 
-def _verify(docs: DataFrame, pairs: DataFrame, words: int, num: int, den: int) -> DataFrame:
-    """pairs (a, b) with `linked`, from the sets of the documents that occur in them."""
-    spark = docs.sparkSession
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id"))
-    sent = spark.sparkContext.broadcast(bit_map(ids, "doc_id"))
-    sets = stored(docs.select("doc_id", "text").where(in_bit_map("doc_id", sent)).mapInArrow(lambda it: _packed(it, words), "doc_id long, shingles binary"))
-    one = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("set_a"))
-    two = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("set_b"))
-    return pairs.join(one, "a").join(two, "b").mapInArrow(lambda it: _verified(it, num, den), "a long, b long, linked boolean")
+def _not_apart(batches: Iterator[pa.RecordBatch], bands: Bands) -> Iterator[pa.RecordBatch]:
+    """Pairs that the sizes and the parity sketches don't rule out."""
+    for batch in batches:
+        n, m = np.asarray(batch.column("n_a")), np.asarray(batch.column("n_b"))
+        good = bands.den * np.minimum(n, m) >= bands.num * np.maximum(n, m)
+        a, b = batch.column("sketch_a"), batch.column("sketch_b")
+        for k in np.flatnonzero(good).tolist():
+            x, y = np.frombuffer(a[k].as_buffer(), np.uint8), np.frombuffer(b[k].as_buffer(), np.uint8)
+            good[k] = bits_apart(x, y) <= bands.most_apart(int(n[k] + m[k]))
+        yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(good))
+
+
+def _halved(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Sketches folded to about two to four bits a shingle."""
+    for batch in batches:
+        out = []
+        for n, bits in zip(batch.column("n_shingles").to_pylist(), batch.column("sketch").to_pylist(), strict=True):
+            x = np.frombuffer(bits, np.uint8)
+            while len(x) > 64 and len(x) * 2 > n:
+                x = x[: len(x) // 2] ^ x[len(x) // 2 :]
+            out.append(x.tobytes())
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("n_shingles"), pa.array(out, pa.binary())], names=["doc_id", "n_shingles", "sketch"])
+
+
+def _close_in(cell: list[tuple], bands: Bands, out: tuple[list, list]) -> None:
+    """cell: (doc_id, c, chunk, n, sketch); appends pairs of different components that sketches don't rule out."""
+    size = min(len(r[4]) for r in cell)
+    folded = []
+    for r in cell:
+        x = np.frombuffer(r[4], np.uint8)
+        while len(x) > size:
+            x = x[: len(x) // 2] ^ x[len(x) // 2 :]
+        folded.append(x)
+    bits = np.array(folded).view(np.uint64)
+    ids, c, chunk, n = (np.array([r[k] for r in cell], np.int64) for k in range(4))
+    alone = chunk.min() == chunk.max()
+    for i in range(len(cell) - 1):
+        j = np.arange(i + 1, len(cell))
+        j = j[(c[j] != c[i]) & (bands.den * np.minimum(n[j], n[i]) >= bands.num * np.maximum(n[j], n[i])) & (alone | (chunk[j] != chunk[i]))]
+        if len(j):
+            apart = np.bitwise_count(bits[j] ^ bits[i]).sum(axis=1)
+            j = j[apart <= (n[j] + n[i]) * (bands.den - bands.num) // (bands.den + bands.num)]
+            out[0].append(np.minimum(ids[i], ids[j]))
+            out[1].append(np.maximum(ids[i], ids[j]))
+
+
+def _cells(batches: Iterator[pa.RecordBatch], bands: Bands) -> Iterator[pa.RecordBatch]:
+    """Rows of a partition, sorted by cell; a cell has two chunks of a bucket at most, so its size is bounded."""
+    cell, now, out = [], None, ([], [])
+
+    def rows():
+        a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in out)
+        pairs = np.unique(np.stack([a, b]), axis=1)
+        return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], names=["a", "b"])
+
+    for batch in batches:
+        for key, one, two, *row in zip(*(batch.column(k).to_pylist() for k in ("key", "one", "two", "doc_id", "c", "chunk", "n_shingles", "sketch")), strict=True):
+            if (key, one, two) != now:
+                if len(cell) > 1:
+                    _close_in(cell, bands, out)
+                cell, now = [], (key, one, two)
+            cell.append(row)
+        if sum(map(len, out[0])) > 500_000:
+            yield rows()
+            out = ([], [])
+    if len(cell) > 1:
+        _close_in(cell, bands, out)
+    yield rows()
+
+
+def _across(meta: DataFrame, mixed: DataFrame, bands: Bands) -> DataFrame:
+    """Close pairs (a, b) of different components c in mixed (key, doc_id, c): within each bucket, chunk by chunk."""
+    some = meta.where("n_shingles > 0").select("doc_id", "n_shingles", "sketch").mapInArrow(_halved, "doc_id long, n_shingles long, sketch binary")
+    ranked = mixed.selectExpr("*", f"cast(floor((row_number() over (partition by key order by doc_id) - 1) / {CELL}) as int) as chunk", f"cast(floor((count(*) over (partition by key) - 1) / {CELL}) as int) as top")
+    dealt = ranked.select("key", "doc_id", "c", "chunk", F.explode(F.sequence(F.lit(0), F.col("top"))).alias("other")).join(some, "doc_id")
+    dealt = dealt.withColumn("one", F.least("chunk", "other")).withColumn("two", F.greatest("chunk", "other")).drop("other")
+    count = int(meta.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return dealt.repartition(count, "key", "one", "two").sortWithinPartitions("key", "one", "two").mapInArrow(lambda it: _cells(it, bands), "a long, b long").distinct()
+
+
+def _close(meta: DataFrame, pairs: DataFrame, bands: Bands) -> DataFrame:
+    """The pairs (a, b) that their parity sketches don't rule out."""
+    sent = meta.sparkSession.sparkContext.broadcast(bit_map(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")), "doc_id"))
+    some = meta.where("n_shingles > 0").select("doc_id", "n_shingles", "sketch").where(in_bit_map("doc_id", sent))
+    one, two = some.toDF("a", "n_a", "sketch_a"), some.toDF("b", "n_b", "sketch_b")
+    return pairs.join(one, "a").join(two, "b").mapInArrow(lambda it: _not_apart(it, bands), "a long, b long").distinct()
+
+
+def _links(docs: DataFrame, close: DataFrame, words: int, bands: Bands) -> DataFrame:
+    """The pairs (a, b) that link, by the sets of the documents in them."""
+    sent = docs.sparkSession.sparkContext.broadcast(bit_map(close.select(F.explode(F.array("a", "b")).alias("doc_id")), "doc_id"))
+    sets = stored(docs.select("doc_id", "text", F.xxhash64("doc_id").alias("h")).mapInArrow(lambda it: _packed(it, words, sent), "doc_id long, shingles binary"))
+    one, two = sets.toDF("a", "set_a"), sets.toDF("b", "set_b")
+    return close.join(one, "a").join(two, "b").mapInArrow(lambda it: _verified(it, bands.num, bands.den), "a long, b long, linked boolean").where("linked").select("a", "b").distinct()
 
 
 def similarity_join(docs: DataFrame, words: int = 5, num: int = 3, den: int = 4) -> tuple[DataFrame, DataFrame]:
@@ -180,10 +337,12 @@ def similarity_join(docs: DataFrame, words: int = 5, num: int = 3, den: int = 4)
     """
     docs = docs.select("doc_id", "text")
     bands = Bands(num, den)
-    meta = stored(docs.mapInArrow(lambda it: _meta(it, words), "doc_id long, n_shingles long, h1 long, h2 long"))
+    every = stored(docs.mapInArrow(lambda it: _meta(it, words, bands), "doc_id long, n_shingles long, h1 long, h2 long, sketch binary"))
+    often = docs.sparkSession.sparkContext.broadcast(frequent_map(every.where("n_shingles < 0").select("h1")))
+    meta = every.where("n_shingles >= 0")
     classes = meta.where("n_shingles > 0 and doc_id is not null").groupBy("n_shingles", "h1", "h2").agg(F.min("doc_id").alias("class_id"))
     members = meta.join(classes, ["n_shingles", "h1", "h2"], "left").select("doc_id", "n_shingles", "class_id")
-    keys = docs.mapInArrow(lambda it: _sent(it, words, bands), "key long, doc_id long, slack int")
+    keys = docs.mapInArrow(lambda it: _sent(it, words, bands, often), "key long, doc_id long, slack int")
     met = keys.selectExpr("*", "min(doc_id) over (partition by key) as first", "max(doc_id) over (partition by key) as last", "count(*) over (partition by key) as n").where("first < last")
     # Of a class only its first member goes on; which ones are is a matter of one more join on the few rows that met.
     one_each = members.where("doc_id = class_id").select("doc_id").distinct()
@@ -192,18 +351,15 @@ def similarity_join(docs: DataFrame, words: int = 5, num: int = 3, den: int = 4)
     kept = met.where(F.col("n") <= COMMON).unionByName(met.where(F.col("n") > COMMON).join(heavy, "doc_id", "left_semi")).select("key", "doc_id")
     kept = stored(kept.selectExpr("key", "doc_id", "min(doc_id) over (partition by key) as first", "max(doc_id) over (partition by key) as last", "count(*) over (partition by key) as n").where("first < last"))
     star = kept.select(F.col("first").alias("a"), F.col("doc_id").alias("b")).unionByName(kept.select(F.col("doc_id").alias("a"), F.col("last").alias("b"))).where("a != b").distinct()
-    tried = cut(_verify(docs, stored(star), words, num, den))
-    links = tried.where("linked").select("a", "b")
+    links = cut(_links(docs, stored(_close(meta, stored(star), bands)), words, bands))
     labels = components(links)
     # Buckets of three sets and fewer are fully compared by now.
     rest = kept.where("n > 3").join(labels.withColumnRenamed("id", "doc_id"), "doc_id", "left").select("key", "doc_id", F.coalesce("component", "doc_id").alias("c"))
     mixed = rest.selectExpr("*", "min(c) over (partition by key) as c0", "max(c) over (partition by key) as c1").where("c0 < c1").select("key", "doc_id", "c")
     mixed = stored(mixed)
-    x, y = mixed.alias("x"), mixed.alias("y")
-    cross = x.join(y, F.expr("x.key = y.key and x.doc_id < y.doc_id and x.c != y.c")).selectExpr("x.doc_id as a", "y.doc_id as b").distinct().join(tried.select("a", "b"), ["a", "b"], "left_anti")
-    cross = stored(cross)
-    if not cross.isEmpty():
-        links = cut(links.unionByName(_verify(docs, cross, words, num, den).where("linked").select("a", "b")))
+    close = stored(_across(meta, mixed, bands))
+    if not close.isEmpty():
+        links = cut(links.unionByName(_links(docs, close, words, bands)))
     return members, links
 
 

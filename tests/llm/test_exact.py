@@ -54,6 +54,7 @@ def test_near_with_common_blocks(spark, monkeypatch):
     """Common blocks and their slack come into play at small sizes, too."""
     df, texts = mutated(spark, 500, 9)
     monkeypatch.setattr(near, "COMMON", 3)
+    monkeypatch.setattr(near, "CELL", 5)
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in near.near_duplicates(df).collect()}
     assert got == brute.near(texts)
 
