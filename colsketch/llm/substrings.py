@@ -24,7 +24,7 @@ from .kernels import MAX64, Block, blocks, covered, mix, sliding
 
 #: Rows that a task gathers before it combines and hands them on.
 CHUNK_ROWS = 1_500_000
-_KEY = "key long, doc_id long, pos int, known boolean"
+_PACKED = "bucket int, known boolean, keys binary, docs binary, pos binary"
 
 
 def alive_windows(block: Block, window: int) -> np.ndarray:
@@ -50,8 +50,12 @@ def windows_of(block: Block, length: int, window: int, alive: np.ndarray, repeat
     return alive & (sliding(only, window - length + 1) == least) & (least != MAX64)
 
 
-def _combined(keys: np.ndarray, docs: np.ndarray, pos: np.ndarray) -> pa.RecordBatch:
-    """One row for each key of the chunk, its first place, with the key; the others are known to repeat and get keys of their own."""
+def _packets(keys: np.ndarray, docs: np.ndarray, pos: np.ndarray, buckets: int) -> pa.RecordBatch:
+    """A chunk's places as one packet for each bucket of keys, and one, marked known, of places that are settled here.
+
+    Of equal keys only the first place goes on, sent twice so that it counts as repeated; all others are known to come
+    later. So a key has two places from a chunk at most, however many texts share its words.
+    """
     order = np.lexsort((pos, docs, keys))
     keys, docs, pos = keys[order], docs[order], pos[order]
     new = np.ones(len(keys), bool)
@@ -59,22 +63,60 @@ def _combined(keys: np.ndarray, docs: np.ndarray, pos: np.ndarray) -> pa.RecordB
     keys, docs, pos = keys[new], docs[new], pos[new]
     known = np.zeros(len(keys), bool)
     known[1:] = keys[1:] == keys[:-1]
-    first = ~known
     several = np.zeros(len(keys), bool)
     several[:-1] = known[1:]
-    keys = np.where(known, mix(mix(keys ^ docs.astype(np.uint64)) + pos.astype(np.uint64)), keys)
-    # A first place whose key repeats in the chunk is sent twice over, so that one count tells all.
-    again = np.flatnonzero(first & several)
-    take = np.concatenate([np.arange(len(keys)), again])
-    flag = np.concatenate([known, np.zeros(len(again), bool)])
-    return pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)[take]), pa.array(docs[take]), pa.array(pos[take].astype(np.int32)), pa.array(flag)], names=["key", "doc_id", "pos", "known"])
-
-
-def _rows_in(batches: Iterator[pa.RecordBatch], length: int, before: int | None, window: int) -> Iterator[pa.RecordBatch]:
+    sent = np.concatenate([np.flatnonzero(~known), np.flatnonzero(~known & several)])
+    # The leading bits of a sorted key are its bucket; inside, places stand as in the texts, which packs best.
+    bucket = (keys[sent] >> np.uint64(40)).astype(np.int64) % buckets
+    sent = sent[np.lexsort((pos[sent], docs[sent], bucket))]
+    bucket = (keys[sent] >> np.uint64(40)).astype(np.int64) % buckets
+    edge = np.searchsorted(bucket, np.arange(buckets + 1))
+    at = [sent[edge[b] : edge[b + 1]] for b in range(buckets)]
+    later = np.flatnonzero(known)
+    at.append(later[np.lexsort((pos[later], docs[later]))])
+    used = [b for b, x in enumerate(at) if len(x)]
+    spread = int(keys[0] % np.uint64(buckets)) if len(keys) else 0
+    columns = ([at[b] for b in used], keys, docs, pos.astype(np.int32))
+    return pa.RecordBatch.from_arrays([pa.array([spread if b == buckets else b for b in used], pa.int32()), pa.array([b == buckets for b in used], pa.bool_()), *(pa.array([c[x].tobytes() for x in columns[0]], pa.binary()) for c in columns[1:])], names=["bucket", "known", "keys", "docs", "pos"])
+
+
+def _settled(table: pa.Table, last: bool) -> pa.Table:
+    """A bucket's places that repeat (last: that come later than another), as one list for each document."""
+    whole = [(k.as_py(), *(np.frombuffer(table.column(c)[i].as_py(), t) for c, t in (("keys", np.uint64), ("docs", np.int64), ("pos", np.int32)))) for i, k in enumerate(table.column("known"))]
+    out = [(d, p) for known, _, d, p in whole if known]
+    rest = [x[1:] for x in whole if not x[0]]
+    if rest:
+        keys, docs, pos = (np.concatenate(x) for x in zip(*rest, strict=True))
+        order = np.lexsort((pos, docs, keys))
+        keys, docs, pos = keys[order], docs[order], pos[order]
+        same = np.zeros(len(keys) + 1, bool)
+        same[1:-1] = keys[1:] == keys[:-1]
+        take = same[:-1] if last else same[1:] | same[:-1]
+        if last:  # not the first place itself, which may be there twice
+            start = np.maximum.accumulate(np.where(same[:-1], 0, np.arange(len(keys))))
+            take &= (docs != docs[start]) | (pos != pos[start])
+        out.append((docs[take], pos[take]))
+    docs, pos = (np.concatenate(x) for x in zip(*out, strict=True))
+    order = np.lexsort((pos, docs))
+    docs, pos = docs[order], pos[order]
+    edge = np.append(np.flatnonzero(np.append(True, docs[1:] != docs[:-1])), len(docs)) if len(docs) else np.zeros(1, np.int64)
+    lists = pa.ListArray.from_arrays(pa.array(edge.astype(np.int32)), pa.array(pos))
+    return pa.table({"doc_id": pa.array(docs[edge[:-1]]), "repeats": lists})
+
+
+def _settled_any(table: pa.Table) -> pa.Table:
+    return _settled(table, False)
+
+
+def _settled_last(table: pa.Table) -> pa.Table:
+    return _settled(table, True)
+
+
+def _rows_in(batches: Iterator[pa.RecordBatch], length: int, before: int | None, window: int, buckets: int) -> Iterator[pa.RecordBatch]:
     held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     n = 0
     for batch in batches:
-        batch = batch.filter(batch.column("doc_id").is_valid())
+        batch = batch.filter(batch.column("doc_id" if before is None else "repeats").is_valid())
         ids = np.asarray(batch.column("doc_id"))
         for i, j, block in blocks(batch.column("text")):
             alive = alive_windows(block, window)
@@ -88,10 +130,10 @@ def _rows_in(batches: Iterator[pa.RecordBatch], length: int, before: int | None,
             held.append((keys[at], ids[i:j][doc], at - block.ptr[doc]))
             n += len(at)
             if n >= CHUNK_ROWS:
-                yield _combined(*(np.concatenate(x) for x in zip(*held, strict=True)))
+                yield _packets(*(np.concatenate(x) for x in zip(*held, strict=True)), buckets)
                 held, n = [], 0
     if n:
-        yield _combined(*(np.concatenate(x) for x in zip(*held, strict=True)))
+        yield _packets(*(np.concatenate(x) for x in zip(*held, strict=True)), buckets)
 
 
 def _places(block: Block, lists: pa.Array) -> np.ndarray:
@@ -101,19 +143,6 @@ def _places(block: Block, lists: pa.Array) -> np.ndarray:
     return flat + np.repeat(block.ptr[:-1], sizes)
 
 
-def _repeats(rows: DataFrame) -> DataFrame:
-    """Places of keys that occur twice or more, as one list for each document."""
-    many = rows.selectExpr("*", "count(*) over (partition by key) as n").where("known or n > 1")
-    return many.groupBy("doc_id").agg(F.collect_set("pos").alias("repeats"))
-
-
-def _later(rows: DataFrame) -> DataFrame:
-    """Places of keys that also occur at an earlier place."""
-    first = rows.selectExpr("*", "min(struct(doc_id, pos)) over (partition by key) as least")
-    later = first.where("known or struct(doc_id, pos) > least")
-    return later.groupBy("doc_id").agg(F.collect_set("pos").alias("repeats"))
-
-
 def repeated_windows(docs: DataFrame, window: int = 20, base: int | None = None) -> DataFrame:
     """(doc_id, repeats): the starts, in words, of windows whose words also start earlier; documents without any are left out.
 
@@ -123,14 +152,16 @@ def repeated_windows(docs: DataFrame, window: int = 20, base: int | None = None)
     lengths = [base or max(1, window // 2)]
     while lengths[-1] < window:
         lengths.append(min(window, 2 * lengths[-1]))
+    # Buckets follow the input's size: some for each of its partitions.
+    buckets = max(64, 2 * texts.sparkSession.sparkContext.defaultParallelism, 2 * docs.rdd.getNumPartitions())
     source, before = docs.select("doc_id", "text"), None
     for length in lengths:
-        rows = source.mapInArrow(lambda it, a=length, b=before: _rows_in(it, a, b, window), _KEY)
-        if length == window:
-            break
-        found = _repeats(rows)
-        source, before = texts.join(found, "doc_id"), length
-    return _later(rows)
+        packets = source.mapInArrow(lambda it, a=length, b=before: _rows_in(it, a, b, window, buckets), _PACKED)
+        lists = packets.groupBy("bucket").applyInArrow(_settled_last if length == window else _settled_any, "doc_id long, repeats array<int>")
+        found = lists.groupBy("doc_id").agg(F.flatten(F.collect_list("repeats")).alias("repeats"))
+        # A left join, as in remove_repeats(), so that both read one exchange of the texts.
+        source, before = texts.join(found, "doc_id", "left"), length
+    return found
 
 
 _CLEAN = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_text", T.StringType())])
