@@ -51,6 +51,17 @@ def _small(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
+def in_docs(rows: DataFrame, found: DataFrame, bits: int = 1 << 23) -> DataFrame:
+    """Rows whose hashed doc_id is set in a bit map of those in found, a broadcast of bits / 64 rows at most.
+
+    It lets some others pass, which the join that follows drops; it spares moving the postings of all documents.
+    """
+    place = f"pmod(xxhash64(doc_id), {bits}L)"
+    words = found.selectExpr(f"shiftright({place}, 6) as word", f"shiftleft(1L, cast({place} & 63 as int)) as bit").groupBy("word").agg(F.bit_or("bit").alias("mask"))
+    hashed = rows.withColumn("word", F.expr(f"shiftright({place}, 6)")).withColumn("at", F.expr(f"cast({place} & 63 as int)"))
+    return hashed.join(F.broadcast(words), "word").where("(shiftrightunsigned(mask, at) & 1) = 1").select(*rows.columns)
+
+
 class Index:
     """Postings of `terms` (term, term_id) in docs, and the documents' lengths."""
 
@@ -82,7 +93,7 @@ class Index:
         found = stored(found.distinct())
         # What is left: every word of the phrase must stand at its place.
         wanted = found.join(_small(terms.drop("width"), rows), "phrase_id").select("phrase_id", "doc_id", "start", "width", (F.col("start") + F.col("offset")).alias("pos"), "term_id")
-        near = self.postings.join(found.select("doc_id").distinct(), "doc_id", "left_semi")
+        near = in_docs(self.postings, found)
         return wanted.join(near, ["doc_id", "pos", "term_id"]).groupBy("phrase_id", "doc_id", "start", "width").agg(F.countDistinct("pos").alias("n")).where("n = width").drop("n")
 
     def proximity(self, pairs: DataFrame, distance: int) -> DataFrame:

@@ -85,3 +85,9 @@ def _shipped(f):
 
 def queries() -> dict:
     return {f.__name__: _shipped(f) for f in (op1_mixing, op2_toxicity, op3_jaccard_join, op4_substring_dedup, op5_decontamination, op6_sharding, op7_html_extraction, op8_lm_scoring, op9_language_id, op10_quality_rules, pipeline)}
+
+
+def oracle_sql() -> dict[str, str]:
+    from .oracles import SQL
+
+    return dict(SQL)
