@@ -8,8 +8,8 @@ sizes a + b fall into bands, each with its own number of blocks, and a set sends
 are not empty, under each band it can meet a partner in (two at most). First, in the one order that all sets share, come
 blocks with a shingle that isn't frequent; a bit map of fixed size has the shingles that some task met often, and the
 result doesn't depend on which these are. The slack k serves against blocks that very many
-sets share (common passages): a set that has no more such blocks than the slack of its smallest partner needs none of
-them, as one more equal block is left to any partner. A set drops them only then, so no pair is lost.
+sets share (common passages): a set drops its most common blocks, as many as the slack of its smallest partner. Of the
+blocks that two linked sets share, the least common has that many others after it in both, so neither drops it.
 
 Candidates are compared by parity sketches of single bits first: bit k is the parity of the hashes that fall on it, and
 the Hamming distance of two sketches is a lower bound of the symmetric difference, too.
@@ -347,8 +347,9 @@ def similarity_join(docs: DataFrame, words: int = 5, num: int = 3, den: int = 4)
     # Of a class only its first member goes on; which ones are is a matter of one more join on the few rows that met.
     one_each = members.where("doc_id = class_id").select("doc_id").distinct()
     met = stored(met.select("key", "doc_id", "slack", "n").join(one_each, "doc_id", "left_semi").distinct())
-    heavy = met.where(F.col("n") > COMMON).groupBy("doc_id").agg((F.count("*") > F.min("slack")).alias("heavy")).where("heavy").select("doc_id")
-    kept = met.where(F.col("n") <= COMMON).unionByName(met.where(F.col("n") > COMMON).join(heavy, "doc_id", "left_semi")).select("key", "doc_id")
+    # Each set drops the most common of its blocks, as many as its slack allows. The order (n, key) is the same for all.
+    common = met.where(F.col("n") > COMMON).selectExpr("*", "row_number() over (partition by doc_id order by n desc, key desc) as place").where("place > slack")
+    kept = met.where(F.col("n") <= COMMON).select("key", "doc_id").unionByName(common.select("key", "doc_id"))
     kept = stored(kept.selectExpr("key", "doc_id", "min(doc_id) over (partition by key) as first", "max(doc_id) over (partition by key) as last", "count(*) over (partition by key) as n").where("first < last"))
     star = kept.select(F.col("first").alias("a"), F.col("doc_id").alias("b")).unionByName(kept.select(F.col("doc_id").alias("a"), F.col("last").alias("b"))).where("a != b").distinct()
     links = cut(_links(docs, stored(_close(meta, stored(star), bands)), words, bands))
