@@ -25,8 +25,7 @@ from .kernels import Block, blocks
 
 ALPHA = 0.4
 GROUP_BYTES = 8_000_000
-BUCKETS = 64
-_WIDTH = 6  # bytes of a hash that are sent; its leading bits are the bucket
+_WIDTH = 6  # bytes of a hash that are sent; of its 54 bits the leading ones, 6 or more, are the bucket
 
 
 def group_grams(column: pa.Array) -> tuple[list[Block], np.ndarray, np.ndarray]:
@@ -47,7 +46,7 @@ _LOW = np.uint64((1 << 54) - 1)
 
 
 def words_of(block: Block) -> np.ndarray:
-    """54-bit hashes of words: bucket in the leading 6 bits."""
+    """54-bit hashes of words."""
     return block.hash & _LOW
 
 
@@ -60,16 +59,16 @@ def _pack(keys: np.ndarray) -> bytes:
     return keys.view(np.uint8).reshape(-1, 8)[:, :_WIDTH].tobytes()
 
 
-def _asked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _asked(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.RecordBatch]:
     """One row for each group and bucket: the group's n-grams there, sorted, and their counts."""
     for group, table in _groups(batches):
         found, keys, counts = group_grams(table.column("text"))
         del found
-        edge = np.searchsorted(keys, np.arange(BUCKETS + 1, dtype=np.uint64) << np.uint64(48))
+        edge = np.searchsorted(keys, np.arange((1 << bits) + 1, dtype=np.uint64) << np.uint64(54 - bits))
         small = np.minimum(counts, 65535).astype(np.uint16)
         big = np.flatnonzero(counts > 65535)
         rows = []
-        for b in range(BUCKETS):
+        for b in range(1 << bits):
             x, y = int(edge[b]), int(edge[b + 1])
             over = big[(big >= x) & (big < y)]
             rows.append((b, group, _pack(keys[x:y]), small[x:y].tobytes(), (over - x).astype(np.int64).tobytes() + counts[over].tobytes()))
@@ -160,6 +159,7 @@ def backoff_scores(docs: DataFrame, group_bytes: int = GROUP_BYTES) -> DataFrame
     words = max(1, texts.agg(F.sum(F.coalesce(F.regexp_count("text", F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)))).first()[0] or 1)
     grp = F.pmod(F.xxhash64(F.col("doc_id"), F.length("text")), F.lit(groups)).alias("grp")
     dealt = texts.select("doc_id", "text", grp).repartition(min(groups, max(1, int(rows or 1))), "grp")
-    asked = dealt.sortWithinPartitions("grp").mapInArrow(_asked, "bucket int, grp long, grams binary, counts binary, over binary")
+    bits = max(6, (groups - 1).bit_length() - 1)  # buckets grow with the groups, so a partition's table keeps its size
+    asked = dealt.sortWithinPartitions("grp").mapInArrow(lambda it: _asked(it, bits), "bucket int, grp long, grams binary, counts binary, over binary")
     answers = asked.groupBy("bucket").applyInArrow(_answered, "grp long, bucket int, totals binary")
     return dealt.groupBy("grp").cogroup(answers.groupBy("grp")).applyInArrow(lambda a, b: _scores(a, b, words), "doc_id long, n_words long, score double")
