@@ -7,7 +7,9 @@ Hashes have 64 bits and are equal on all machines; equal hashes are taken as equ
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+import functools
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -82,6 +84,20 @@ def sums_by(values: np.ndarray, ptr: np.ndarray) -> np.ndarray:
     return total[ptr[1:]] - total[ptr[:-1]]
 
 
+def lean(f: Callable[..., Iterator[pa.RecordBatch]]) -> Callable[..., Iterator[pa.RecordBatch]]:
+    """f, after which free memory goes back to the system: Python workers stay for later tasks and would keep it."""
+
+    @functools.wraps(f)
+    def run(*args):
+        yield from f(*args)
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of glibc
+        if trim:
+            trim(0)
+
+    return run
+
+
 class Block:
     """Bytes of whole documents, `offsets` (one more than documents) into them, and their words."""
 

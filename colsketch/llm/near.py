@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import bit_map, components, cut, found_in, in_bit_map, stored
-from .kernels import SPACE_WORDS, Block, blocks, mix, mix_int
+from .kernels import SPACE_WORDS, Block, blocks, lean, mix, mix_int
 
 #: A bucket with more sets than this is a common block, see above. No pair is lost by it.
 COMMON = 24
@@ -162,6 +162,7 @@ def _frequent(held: list[np.ndarray]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.nulls(n, pa.int64()), pa.array(np.full(n, -1)), pa.array(found.view(np.int64)), pa.array(np.zeros(n, np.int64)), pa.array([b""] * n, pa.binary())], names=["doc_id", "n_shingles", "h1", "h2", "sketch"])
 
 
+@lean
 def _meta(batches: Iterator[pa.RecordBatch], words: int, bands: Bands) -> Iterator[pa.RecordBatch]:
     """A row for each document; n_shingles -1 marks rows of shingles (h1) that occur often among CHUNK shingles of the task."""
     held: list[np.ndarray] = []
@@ -181,6 +182,7 @@ def _meta(batches: Iterator[pa.RecordBatch], words: int, bands: Bands) -> Iterat
     yield _frequent(held)
 
 
+@lean
 def _sent(batches: Iterator[pa.RecordBatch], words: int, bands: Bands, often) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         ids = batch.column("doc_id")
@@ -197,6 +199,7 @@ def _sent(batches: Iterator[pa.RecordBatch], words: int, bands: Bands, often) ->
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(doc), pa.array(np.concatenate(slack))], names=["key", "doc_id", "slack"])
 
 
+@lean
 def _packed(batches: Iterator[pa.RecordBatch], words: int, sent) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         batch = batch.filter(pa.array(found_in(sent.value, batch.column("h"))))
@@ -212,6 +215,7 @@ def _unpack(data: bytes) -> np.ndarray:
     return out.view(np.uint64).ravel()
 
 
+@lean
 def _verified(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         a, b = batch.column("set_a"), batch.column("set_b")
@@ -233,6 +237,7 @@ def _verified(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator
         yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(good)], names=["a", "b", "linked"])
 
 
+@lean
 def _not_apart(batches: Iterator[pa.RecordBatch], bands: Bands) -> Iterator[pa.RecordBatch]:
     """Pairs that the sizes and the parity sketches don't rule out."""
     for batch in batches:
@@ -245,6 +250,7 @@ def _not_apart(batches: Iterator[pa.RecordBatch], bands: Bands) -> Iterator[pa.R
         yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(good))
 
 
+@lean
 def _halved(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Sketches folded to about two to four bits a shingle."""
     for batch in batches:
@@ -279,6 +285,7 @@ def _close_in(cell: list[tuple], bands: Bands, out: tuple[list, list]) -> None:
             out[1].append(np.maximum(ids[i], ids[j]))
 
 
+@lean
 def _cells(batches: Iterator[pa.RecordBatch], bands: Bands) -> Iterator[pa.RecordBatch]:
     """Rows of a partition, sorted by cell; a cell has two chunks of a bucket at most, so its size is bounded."""
     cell, now, out = [], None, ([], [])

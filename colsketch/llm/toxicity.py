@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .kernels import lean
+
 #: Most labelled rows that the lexicon and the model are fitted on.
 MAX_LABELLED = 20_000
 #: Most terms of the lexicon.
@@ -183,6 +185,7 @@ def _terms(words: set[str]) -> set[str]:
     return words | {w[:k] + "*" for w in words for k in PREFIXES if len(w) > k}
 
 
+@lean
 def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     n, toxic = Counter(), Counter()
     for batch in batches:
@@ -191,7 +194,7 @@ def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             n.update(terms)
             if label:
                 toxic.update(terms)
-        if len(n) > 2_000_000:
+        if len(n) > 500_000:
             yield _counts(n, toxic)
             n, toxic = Counter(), Counter()
     yield _counts(n, toxic)
@@ -201,6 +204,7 @@ def _counts(n: Counter, toxic: Counter) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(list(n), pa.string()), pa.array(list(n.values()), pa.int64()), pa.array([toxic[t] for t in n], pa.int64())], names=["term", "n", "toxic"])
 
 
+@lean
 def _sampled(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
     scorer = Scorer(model)
     for batch in batches:
@@ -249,6 +253,7 @@ def fit(labelled: DataFrame, least: int = 4, odds: float = 3.0) -> Model:
     return model
 
 
+@lean
 def _close(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
     automaton, seen, out = Automaton(model.words, {}), set(), set()
     for batch in batches:
@@ -259,6 +264,7 @@ def _close(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.Recor
     yield pa.RecordBatch.from_arrays([pa.array(sorted(out), pa.string())], names=["word"])
 
 
+@lean
 def _scored(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
     scorer = Scorer(model)
     for batch in batches:
@@ -277,6 +283,7 @@ def toxic_flags(docs: DataFrame, model: Model) -> DataFrame:
     """The rows of docs that are not toxic, with their columns as they are."""
     order, names = docs.schema, docs.columns
 
+    @lean
     def kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(model)
         for batch in batches:
