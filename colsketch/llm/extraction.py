@@ -1,15 +1,20 @@
 """Main text of web pages by deduction of each host's page template.
 
-Tokens of a page are its element paths (names and classes from the root) and its short text blocks with their path.
-Tokens of a host with the same occurrence vector, the count on each page, form an equivalence class; a class is valid if
-its pages are enough of the host's and its paths nest in one another or lie side by side under valid ones. The valid
-classes together are the host's template; the text between its tokens is in slots. Slots whose elements are menus,
-headers, footers, sidebars, notices, adverts, forms, scripts, styles or reader comments are left out; of the others the
-article's is the main text where the template or the page has one, else all blocks that the template does not repeat.
+Tokens of a page are its element paths (names and classes from the root, digits as 0) and its short text blocks with
+their path. Tokens of a host with the same occurrence vector, the count on each page, form an equivalence class; a class
+is valid if its pages are enough of the host's and its paths nest in one another or lie side by side under valid ones.
+The valid classes together are the host's template, and each of its paths bounds a slot. Text in menus, headers, footers,
+sidebars, notices, adverts, forms, scripts, styles or reader comments is left out of every slot.
+
+The main slot of a host is found from the template alone: of its container paths, those below which more than half of
+the text lies that differs between pages form a chain; the first article on it is the main slot, without one the
+deepest container that still holds the heading. All blocks of a page inside the main slot are its text, but for
+those that the template repeats if the slot is no article and has others. All hosts together give a template too; its main slot serves hosts of fewer than FEWEST pages and pages without their host's
+slot. A page with neither gives all blocks that its host's template does not repeat.
 
 Occurrence vectors are never gathered: a vector's signature is a sum of hashes of (page, count), so it is summed by
 task first and then by host and token. A null or empty page, and one without text, gives an empty text. Pages without
-a host share the host ''. Repeated rows are extracted each.
+a host share the host ''. Repeated rows are extracted each. Elements below DEEPEST levels share the path above them.
 """
 
 from __future__ import annotations
@@ -31,12 +36,20 @@ TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|textarea
 BLOCKS = frozenset("address article aside blockquote body br center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 DROPPED = frozenset("nav header footer aside form head button select menu dialog".split())
+CONTAINERS = frozenset("article main body div section table tbody tr td center".split())
+ARTICLES, HEADINGS = frozenset(["article", "main"]), frozenset(["h1", "h2"])
 NAMED = re.compile(r"(?:^|[\s_-])(?:ad|ads|advert\w*|banner|sponsor\w*|menu|navbar|nav|navigation|sidebar|breadcrumbs?|comments?|replies|notice|cookies?|consent|popup|modal|newsletter|subscribe|share|social|related|footer|header|promo)(?:$|[\s_-])", re.I)
 _ATTRIBUTE = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
+#: Digits, and what separates levels and tokens, are one character in labels.
+_PLAIN = re.compile(r"[\d/\s]+")
 #: Share of a host's pages that a class needs, and the fewest pages.
 SUPPORT, FEWEST = 0.5, 3
 #: Longest text block that can be a template token.
 LONGEST_TOKEN = 200
+#: Levels of block elements in a path.
+DEEPEST = 24
+#: The key under which all hosts' pages are taken together; no host name has this character.
+EVERY = "*"
 #: Templates are broadcast up to this many tokens; beyond that, pages are joined with them by host.
 BROADCAST_TOKENS = 50_000
 
@@ -48,9 +61,9 @@ def host_of(url: str | None) -> str:
         return ""
 
 
-def page_blocks(page: str) -> Iterator[tuple[str, bool, bool, str]]:
-    """(path, in an article, dropped, text) of each text block in page order, and ('path', ..., '') for each element met."""
-    stack: list[tuple[str, str, bool, bool]] = []  # name, label, article, dropped
+def page_blocks(page: str) -> Iterator[tuple[str, bool, str]]:
+    """(path, dropped, text) of each text block in page order, and (path, dropped, '') for each block element met."""
+    stack: list[tuple[str, str, int, bool]] = [("", "", 0, False)]  # name; path, its levels and dropped, as inherited
     text: list[str] = []
     at = 0
 
@@ -59,9 +72,6 @@ def page_blocks(page: str) -> Iterator[tuple[str, bool, bool, str]]:
         text.clear()
         return joined
 
-    def state() -> tuple[str, bool, bool]:
-        return "/".join(s[1] for s in stack if s[0] in BLOCKS), any(s[2] for s in stack), any(s[3] for s in stack)
-
     for m in TOKEN.finditer(page):
         if m.start() > at:
             text.append(page[at : m.start()])
@@ -73,9 +83,9 @@ def page_blocks(page: str) -> Iterator[tuple[str, bool, bool, str]]:
         if name in BLOCKS and text:
             block = flush()
             if block:
-                yield (*state(), block)
+                yield stack[-1][1], stack[-1][3], block
         if m[2]:
-            for k in range(len(stack) - 1, -1, -1):
+            for k in range(len(stack) - 1, 0, -1):
                 if stack[k][0] == name:
                     del stack[k:]
                     break
@@ -83,7 +93,7 @@ def page_blocks(page: str) -> Iterator[tuple[str, bool, bool, str]]:
                     break
         elif name not in VOID and not m[4].endswith("/"):
             if name == "p":  # a paragraph ends the one before it
-                for k in range(len(stack) - 1, -1, -1):
+                for k in range(len(stack) - 1, 0, -1):
                     if stack[k][0] == "p":
                         del stack[k:]
                         break
@@ -91,43 +101,60 @@ def page_blocks(page: str) -> Iterator[tuple[str, bool, bool, str]]:
                         break
             attributes = m[4]
             names = " ".join(x for a in _ATTRIBUTE.findall(attributes) for x in a if x) if "=" in attributes else ""
-            dropped = name in DROPPED or bool(names and NAMED.search(names))
-            stack.append((name, f"{name}.{names}" if names else name, name in ("article", "main"), dropped))
+            _, path, levels, dropped = stack[-1]
+            dropped = dropped or name in DROPPED or bool(names and NAMED.search(names))
+            if name in BLOCKS and levels < DEEPEST:
+                label = f"{name}.{_PLAIN.sub('0', names)}" if names else name
+                path, levels = f"{path}/{label}" if path else label, levels + 1
+            stack.append((name, path, levels, dropped))
             if name in BLOCKS:
-                yield (*state(), "")
+                yield path, dropped, ""
     if at < len(page):
         rest = page[at:]
         cut_at = rest.rfind("<")
         text.append(rest if cut_at < 0 or not re.match(r"</?[a-zA-Z]", rest[cut_at:]) else rest[:cut_at])
     block = flush()
     if block:
-        yield (*state(), block)
+        yield stack[-1][1], stack[-1][3], block
 
 
 def _vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Parts of (host, token, pages, occurrences, signature), summed over the pages of the task."""
+    """Parts of (host, token, pages, occurrences, signature, chars), summed over the pages of the task.
+
+    chars counts the text that is not left out, directly at a path or of a token with a text. Pages without tokens don't count.
+    """
     total: dict[tuple[str, str], list] = {}
 
     def out():
         rows = [(h, t, *v) for (h, t), v in total.items()]
-        cols = list(zip(*rows, strict=True)) if rows else [[], [], [], [], []]
-        sign = np.array([x & ((1 << 63) - 1) for x in cols[4]], np.int64)
-        return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.int64()), pa.array(sign % (1 << 40))], names=["host", "token", "pages", "n", "signature"])
+        cols = list(zip(*rows, strict=True)) if rows else [[], [], [], [], [], []]
+        return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), pa.array(cols[1], pa.string()), *(pa.array(c, pa.int64()) for c in cols[2:])], names=["host", "token", "pages", "n", "signature", "chars"])
+
+    def add(host, token, n, seed, chars):
+        v = total.setdefault((host, token), [0, 0, 0, 0])
+        v[0] += 1
+        v[1] += n
+        v[2] = (v[2] + mix_int(seed + n)) & ((1 << 40) - 1)
+        v[3] += chars
 
     for batch in batches:
         for page_id, url, page in zip(*(batch.column(c).to_pylist() for c in ("page_id", "url", "html")), strict=True):
-            counts: dict[str, int] = {}
-            for path, _, _, block in page_blocks(page or ""):
+            counts, chars = {"\n": 1}, {}  # the first is the page itself
+            for path, dropped, block in page_blocks(page or ""):
                 if len(block) <= LONGEST_TOKEN:
                     token = f"{path}\n{block}"
-                    counts[token] = counts.get(token, 0) + 1
+                    counts[token] = counts.get(token, 0) + (bool(block) or bool(path))
+                    if block and not dropped:
+                        chars[token] = chars.get(token, 0) + len(block)
+                if block and not dropped:
+                    chars[f"{path}\n"] = chars.get(f"{path}\n", 0) + len(block)
+            if len(counts) == 1 and not chars:
+                continue
             host, seed = host_of(url), mix_int(hash_of(page_id))
-            counts["\n"] = 1  # the page itself
             for token, n in counts.items():
-                v = total.setdefault((host, token), [0, 0, 0])
-                v[0] += 1
-                v[1] += n
-                v[2] = (v[2] + mix_int(seed + n)) & ((1 << 40) - 1)
+                add(host, token, n, seed, chars.get(token, 0))
+                if token.endswith("\n"):
+                    add(EVERY, token, n, seed, chars.get(token, 0))
         if len(total) > 300_000:
             yield out()
             total.clear()
@@ -138,44 +165,119 @@ def hash_of(page_id: int | None) -> int:
     return (page_id if page_id is not None else -1) & ((1 << 64) - 1)
 
 
+def token_sums(pages: DataFrame) -> DataFrame:
+    """(host, token, pages, n, signature, chars): the classes' keys of all tokens, for each host and for all hosts together."""
+    parts = pages.select("page_id", "url", "html").mapInArrow(_vectors, "host string, token string, pages long, n long, signature long, chars long")
+    return parts.groupBy("host", "token").agg(F.sum("pages").alias("pages"), F.sum("n").alias("n"), F.pmod(F.sum("signature"), F.lit(1 << 40)).alias("signature"), F.sum("chars").alias("chars"))
+
+
 def templates(pages: DataFrame, support: float = SUPPORT, fewest: int = FEWEST) -> DataFrame:
-    """(host, token, class_id): the tokens of valid equivalence classes. A token is a path, a line break, and a text or nothing."""
-    parts = pages.select("page_id", "url", "html").mapInArrow(_vectors, "host string, token string, pages long, n long, signature long")
-    # Tokens of single pages are no template anywhere; they are most of all, and summed away first.
-    tokens = parts.groupBy("host", "token").agg(F.sum("pages").alias("pages"), F.sum("n").alias("n"), F.pmod(F.sum("signature"), F.lit(1 << 40)).alias("signature")).where(F.col("pages") >= fewest)
-    tokens = cut(tokens)
+    """(host, token, class_id, own, below): the tokens of valid equivalence classes; host EVERY is all hosts together.
+
+    A token is a path, a line break, and a text or nothing. own is the number of characters of its text on all pages
+    that is not left out; below, for paths, that of all text in and under the path which is not left out, and of the host's for the token '\\n'.
+    """
+    # Texts of single pages are no template anywhere; they are most of all tokens, and summed away first.
+    tokens = cut(token_sums(pages).where((F.col("pages") >= fewest) | (F.col("token").endswith("\n") & (F.col("chars") > 0))))
+    at = F.substring_index("token", "\n", 1)
+    levels = F.split(at, "/")
+    above = F.transform(F.sequence(F.lit(0), F.size(levels)), lambda k: F.array_join(F.slice(levels, 1, k), "/"))
+    below = tokens.where(F.col("token").endswith("\n") & (F.col("chars") > 0)).select("host", "chars", F.explode(F.array_distinct(F.when(at == "", F.array(F.lit(""))).otherwise(above))).alias("path"))
+    below = below.groupBy("host", F.concat("path", F.lit("\n")).alias("token")).agg(F.sum("chars").alias("below"))
     sizes = tokens.where("token = '\n'").select("host", F.col("pages").alias("host_pages"))
-    enough = tokens.join(sizes, "host").where((F.col("pages") >= F.col("host_pages") * support) & (F.col("token") != "\n"))
-    classes = enough.withColumn("class_id", F.xxhash64("host", "pages", "n", "signature")).withColumn("path", F.substring_index("token", "\n", 1))
+    enough = tokens.where(F.col("pages") >= fewest).join(sizes, "host").where(F.col("pages") >= F.col("host_pages") * support)
+    classes = enough.withColumn("class_id", F.xxhash64("host", "pages", "n", "signature")).withColumn("path", at)
     # Nesting: a path is valid if its parent is a token of the template as well, or it is a root.
-    parents = classes.select("host", F.col("path").alias("parent")).distinct()
-    nested = classes.withColumn("parent", F.regexp_replace("path", "(^|/)[^/]*$", "")).join(parents, ["host", "parent"], "left_semi")
-    return nested.unionByName(classes.where(~F.col("path").contains("/")).withColumn("parent", F.lit(""))).select("host", "token", "class_id").distinct()
+    has_text = ~F.col("token").endswith("\n")
+    parents = classes.where(~has_text).select("host", F.col("path").alias("parent"))
+    parent = F.when(has_text, F.col("path")).otherwise(F.regexp_replace("path", "(^|/)[^/]*$", ""))
+    nested = classes.withColumn("parent", parent).join(parents, ["host", "parent"], "left_semi")
+    own = F.when(has_text, F.col("chars")).otherwise(F.lit(0))
+    return nested.join(below, ["host", "token"], "left").select("host", "token", "class_id", own.alias("own"), F.coalesce("below", F.lit(0)).alias("below"))
 
 
-def main_text(page: str | None, template: frozenset | set) -> str:
-    found = [b for b in page_blocks(page or "") if b[3]]
-    left = [b for b in found if not b[2]]
-    if any(b[1] for b in left):  # the article's slot
-        return "\n".join(b[3] for b in left if b[1])
-    return "\n".join(b[3] for b in left if f"{b[0]}\n{b[3]}" not in template)
+def _element(path: str) -> str:
+    return path.rpartition("/")[2].partition(".")[0]
 
 
-def _extracted(batches: Iterator[pa.RecordBatch], known: dict[str, frozenset] | None) -> Iterator[pa.RecordBatch]:
+def main_slot(tokens: list[tuple[str, int, int]]) -> str | None:
+    """The path of the main slot of one template, given its (token, own, below); None if it has no text at all."""
+    fixed: dict[str, int] = {}
+    for token, own, _ in tokens:
+        if own:
+            path = token[: token.index("\n")]
+            while True:
+                fixed[path] = fixed.get(path, 0) + own
+                if not path:
+                    break
+                path = path.rpartition("/")[0]
+    paths = {token[:-1]: below for token, _, below in tokens if token.endswith("\n") and below > 0}
+    if not paths:
+        return None
+    mass = {p: max(0, below - fixed.get(p, 0)) for p, below in paths.items()}
+    if not mass.get("", 0):  # all pages are alike
+        mass = paths
+    chain = sorted((p for p in mass if _element(p) in CONTAINERS and 2 * mass[p] > mass[""]), key=lambda p: (p.count("/"), p))
+    for p in chain:
+        if _element(p) in ARTICLES:
+            return p
+    headings = [p for p in mass if _element(p) in HEADINGS]
+    for p in reversed(chain):
+        if not headings or any(h.startswith(p + "/") for h in headings):
+            return p
+    return chain[-1] if chain else ""
+
+
+def main_text(page: str | None, texts: frozenset | set, slots: tuple[str | None, ...] = ()) -> str:
+    """The blocks in the first of the slots that the page has, or all; texts that the template repeats stay in articles only,
+    or if the slot would be empty without them."""
+    left = [(path, block) for path, dropped, block in page_blocks(page or "") if block and not dropped]
+    for slot in slots:
+        if slot is not None:
+            inside = [(path, block) for path, block in left if not slot or path == slot or path.startswith(slot + "/")]
+            if inside:
+                varied = inside if _element(slot) in ARTICLES else [b for b in inside if f"{b[0]}\n{b[1]}" not in texts]
+                return "\n".join(block for _, block in varied or inside)
+    return "\n".join(block for path, block in left if f"{path}\n{block}" not in texts)
+
+
+def _extracted(batches: Iterator[pa.RecordBatch], known: dict[str, tuple] | None, common: str | None) -> Iterator[pa.RecordBatch]:
+    """known: (main slot, repeated texts) by host; None if each row has its host's as columns."""
     for batch in batches:
-        sets = batch.column("tokens").to_pylist() if known is None else None
         urls, pages = batch.column("url").to_pylist(), batch.column("html")
-        texts = [main_text(pages[k].as_py(), known.get(host_of(u), frozenset()) if known is not None else set(sets[k] or ())) for k, u in enumerate(urls)]
+        if known is None:
+            held = [(m, frozenset(t or ())) for m, t in zip(batch.column("main").to_pylist(), batch.column("texts").to_pylist(), strict=True)]
+        else:
+            held = [known.get(host_of(u), (None, frozenset())) for u in urls]
+        texts = [main_text(pages[k].as_py(), repeated, (main, common)) for k, (main, repeated) in enumerate(held)]
         yield pa.RecordBatch.from_arrays([batch.column("page_id"), batch.column("url"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
 
+def slots(template: DataFrame) -> DataFrame:
+    """(host, main, texts): each host's main slot and the texts that its template repeats.
+
+    A host's tokens are gathered: each is on half of the host's pages at least, so they are no more than two pages' tokens.
+    """
+
+    @F.udf("string")
+    def chosen(tokens):
+        return main_slot([tuple(t) for t in tokens])
+
+    rows = template.groupBy("host").agg(F.collect_list(F.struct("token", "own", "below")).alias("tokens"), F.collect_set(F.when(F.col("own") > 0, F.col("token"))).alias("texts"))
+    return rows.select("host", chosen("tokens").alias("main"), "texts")
+
+
 def extract(pages: DataFrame, template: DataFrame | None = None) -> DataFrame:
     """(page_id, url, text, n_chars) for each row of pages (page_id, url, html)."""
-    rows = cut((template if template is not None else templates(pages)).where("not endswith(token, '\n')").groupBy("host").agg(F.collect_set("token").alias("tokens")))
+    rows = cut(slots(template if template is not None else templates(pages)))
     schema = "page_id long, url string, text string, n_chars long"
-    n = rows.agg(F.sum(F.size("tokens"))).first()[0] or 0
+    pages = pages.select("page_id", "url", "html")
+    every = rows.where(F.col("host") == EVERY).select("main").first()
+    common = every.main if every is not None else None
+    rows = rows.where(F.col("host") != EVERY)
+    n = rows.agg(F.sum(F.size("texts") + 1)).first()[0] or 0
     if n <= BROADCAST_TOKENS:
-        known = {r.host: frozenset(r.tokens) for r in rows.collect()}
-        return pages.select("page_id", "url", "html").mapInArrow(lambda it: _extracted(it, known), schema)
-    host = F.lower(F.coalesce(F.try_parse_url("url", F.lit("HOST")), F.lit("")))
-    return pages.select("page_id", "url", "html").join(rows, host == F.col("host"), "left").mapInArrow(lambda it: _extracted(it, None), schema)
+        known = {r.host: (r.main, frozenset(r.texts)) for r in rows.collect()}
+        return pages.mapInArrow(lambda it: _extracted(it, known, common), schema)
+    host = F.udf(host_of, "string")("url")
+    return pages.withColumn("host", host).join(rows, "host", "left").mapInArrow(lambda it: _extracted(it, None, common), schema)

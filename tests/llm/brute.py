@@ -1,6 +1,7 @@
 """Plain Python versions of the operators' results, for small tables."""
 
 import hashlib
+import html.parser
 import re
 from collections import Counter, defaultdict
 
@@ -90,3 +91,47 @@ def figures(text):
             seen.add(line)
     n = len(w)
     return (n, sum(map(len, w)), len(re.findall(r"[#*$%&|<>]", t)), dup, len(cover), n < 20 or 100 * len(cover) > 30 * n)
+
+
+class _Article(html.parser.HTMLParser):
+    """Blocks of the article element, which the given pages all have."""
+
+    ENDS = {"h1", "h2", "h3", "p", "br", "div", "ul", "li", "article", "blockquote", "section", "table", "tr", "td"}
+
+    def __init__(self):
+        super().__init__(convert_charrefs=True)
+        self.inside, self.skip, self.now, self.blocks = False, 0, [], []
+
+    def flush(self):
+        text = " ".join("".join(self.now).split())
+        self.now.clear()
+        if text:
+            self.blocks.append(text)
+
+    def handle_starttag(self, tag, attrs):
+        if tag in self.ENDS:
+            self.flush()
+        if tag == "article":
+            self.inside = True
+        elif tag in ("script", "style", "nav", "aside", "form") or (tag == "div" and self.inside):
+            self.skip += 1
+
+    def handle_endtag(self, tag):
+        if tag in self.ENDS:
+            self.flush()
+        if tag == "article":
+            self.inside = False
+        elif tag in ("script", "style", "nav", "aside", "form") or (tag == "div" and self.inside):
+            self.skip -= 1
+
+    def handle_data(self, data):
+        if self.inside and not self.skip:
+            self.now.append(data)
+
+
+def article(page):
+    parser = _Article()
+    parser.feed(page or "")
+    parser.close()
+    parser.flush()
+    return "\n".join(parser.blocks)

@@ -1,6 +1,7 @@
 """Operators that learn: held-out accuracy on the given tables, and awkward rows."""
 
 import pytest
+from brute import article
 from conftest import DATA
 from test_exact import AWKWARD, awkward
 
@@ -63,6 +64,29 @@ def test_pages(spark):
     assert got == {**{i: f"Body {i} text" for i in range(6)}, 9: ""}
 
 
+def test_pages_against_articles(spark):
+    pages = {r.page_id: r.html for r in table(spark, SF, "pages").collect()}
+    got = {r.page_id: r.text for r in registry.op7_html_extraction(spark, SF).collect()}
+    assert got == {i: article(h) for i, h in pages.items()}
+
+
+def test_template_chooses_the_slot(spark):
+    def page(i, body):
+        return f"<html><body><div class='top'><p>Menu {i % 7}</p></div><div class='page'><h1>Head {i}</h1><div class='text'>{body}</div></div><div class='end'>Seen {i} times</div></body></html>"
+
+    body = [f"<p>{'word %d ' % i * 9}</p><p>Same in all</p><ul><li>{i}.5</li></ul>" for i in range(8)]
+    rows = [(i, "http://a.org/%d" % i, page(i, body[i])) for i in range(8)] + [(20, "http://once.org", page(20, "<p>The only page of its host, long enough</p>")), (21, "http://a.org", "<p>no slot</p>"), (22, "http://a.org", "")]
+    rows += [(30 + k, "http://same.org", page(1, body[1])) for k in range(4)] + [(30, "http://same.org", page(1, body[1]))]
+    df = spark.createDataFrame([(*r, 0) for r in rows], "page_id long, url string, html string, text int")
+    got = {r.page_id: r.text for r in extraction.extract(df).collect()}
+    for i in range(8):
+        assert got[i] == f"Head {i}\n{('word %d ' % i * 9).strip()}\n{i}.5"
+    assert got[20] == "Head 20\nThe only page of its host, long enough" and got[21] == "no slot" and got[22] == ""
+    assert got[30] == got[33] == f"Head 1\n{('word 1 ' * 9).strip()}\nSame in all\n1.5"
+    tokens = {(r.host, r.token) for r in extraction.templates(df).collect()}
+    assert ("a.org", "html/body/div.page/div.text/p\nSame in all") in tokens and not any(h == "once.org" for h, _ in tokens)
+
+
 def test_quality_keeps_trusted(spark):
     docs = table(spark, SF, "documents")
     rows = registry.op10_quality_rules(spark, SF).join(table(spark, SF, "labels"), "doc_id").where("not base_failed").collect()
