@@ -120,3 +120,9 @@ def timed(df: DataFrame, repeats: int = 3) -> float:
         df.write.format("noop").mode("overwrite").save()
         took.append(1000 * (time.perf_counter() - start))
     return sorted(took)[len(took) // 2]
+
+
+def stability(by_seed: DataFrame) -> DataFrame:
+    """(method, runs, low, mean, high, sd) of accuracies over seeds; by_seed (method, seed, accuracy)."""
+    a = F.col("accuracy")
+    return by_seed.groupBy("method").agg(F.count("*").alias("runs"), F.min(a).alias("low"), F.avg(a).alias("mean"), F.max(a).alias("high"), F.coalesce(F.stddev_samp(a), F.lit(0.0)).alias("sd"))

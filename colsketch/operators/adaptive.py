@@ -58,6 +58,57 @@ def assign(m: DataFrame, centres: DataFrame, r: int) -> DataFrame:
     return everything.select("feature_id", F.coalesce(picked["bucket"], F.lit(order[0][1])).alias("bucket"))
 
 
+def free_signs(m: DataFrame, centres: DataFrame, r: int) -> DataFrame:
+    """(feature_id, bucket, flip): the nearest of centres and their mirror images (extension).
+
+    With a mirror image the cross term is -2 |product|, so only pairs that share a row and the centre of least norm can win.
+    """
+    norms = {b: 0.0 for b in range(r)} | {x.bucket: x.sq for x in l1ball.stats(centres).select("bucket", "sq").collect()}  # r rows
+    low, first = min((v, b) for b, v in norms.items())
+    sq = F.broadcast(m.sparkSession.createDataFrame([(b, float(v)) for b, v in norms.items()], "bucket int, centre_sq double"))
+    near = cross_products(m, centres).join(sq, "bucket")
+    near = near.select("feature_id", F.struct((F.col("centre_sq") - 2 * F.abs("product")).alias("dist"), "bucket", F.when(F.col("product") < 0, -1).otherwise(1).alias("flip")).alias("c"))
+    best = near.groupBy("feature_id").agg(F.min("c").alias("best"))
+    else_ = F.struct(F.lit(float(low)).alias("dist"), F.lit(first).cast("int").alias("bucket"), F.lit(1).alias("flip"))
+    picked = F.least(F.coalesce("best", else_), else_)
+    return m.select("feature_id").distinct().join(best, "feature_id", "left").select("feature_id", picked["bucket"].alias("bucket"), picked["flip"].alias("flip"))
+
+
+def row_sketched(df: DataFrame, key: str, rows: int, seed: int) -> DataFrame:
+    """Rows hashed to `rows` signed sums, so that columns of any length are short ones with nearly the same distances (extension)."""
+    at, sign = bucket_of(F.col("row_id"), rows, seed + 1), sign_of(F.col("row_id"), seed + 1)
+    short = df.select(at.cast("long").alias("row_id"), key, (F.col("value") * sign).alias("value"))
+    return short.groupBy("row_id", key).agg(F.sum("value").alias("value")).where("value != 0")
+
+
+def ball_size(m: DataFrame, lam) -> float | None:
+    """lam itself, or for ('relative', f) the f-th part of the mean L1 norm of the columns (extension)."""
+    if not isinstance(lam, tuple):
+        return lam
+    total = m.agg(F.sum(F.abs("value")).alias("l1"), F.countDistinct("feature_id").alias("d")).first()
+    return lam[1] * total.l1 / total.d if total.d else None
+
+
+def moved_share(before: DataFrame, after: DataFrame) -> float:
+    """Share of the features whose bucket differs between two maps."""
+    old = before.select("feature_id", F.col("bucket").alias("old"))
+    return after.join(old, "feature_id", "left").agg(F.avg((~F.col("bucket").eqNullSafe(F.col("old"))).cast("double"))).first()[0] or 0.0
+
+
+def kmeans_reference(fm: FeatureMatrix, r: int, seed: int, signs: str = "random") -> DataFrame:
+    """(feature_id, bucket) by plain k-means on the signed columns as dense vectors; for small numbers of rows only."""
+    from pyspark.ml.clustering import KMeans
+    from pyspark.ml.functions import array_to_vector
+
+    ids = [x.row_id for x in fm.rows.orderBy("row_id").limit(20_001).collect()]
+    if len(ids) > 20_000:
+        raise ValueError("the reference takes 20,000 rows at most")
+    m = signed(fm, seed, signs).groupBy("feature_id").agg(F.map_from_entries(F.collect_list(F.struct("row_id", "value"))).alias("v"))
+    every = F.from_json(F.lit(json.dumps(ids)), "array<bigint>")
+    data = m.select("feature_id", array_to_vector(F.transform(every, lambda i: F.coalesce(F.try_element_at("v", i), F.lit(0.0)))).alias("features"))
+    return KMeans(k=r, seed=seed).fit(data).transform(data).select("feature_id", F.col("prediction").alias("bucket"))
+
+
 def group_sums(m: DataFrame, fmap: DataFrame) -> DataFrame:
     return m.join(fmap.select("feature_id", "bucket"), "feature_id").groupBy("row_id", "bucket").agg(F.sum("value").alias("total"))
 
@@ -140,38 +191,58 @@ class SketchModel:
         return SketchModel(spark.read.parquet(f"{path}/map"), spark.read.parquet(f"{path}/groups"), None, meta)
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that the session names for checkpoints; one of our own only where none is named, as in tests."""
+    import tempfile
+
+    return spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="colsketch-")
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Reliable checkpoint in the folder that the session names, so that a lost executor costs no earlier pass."""
     context = df.sparkSession.sparkContext
     if not context.getCheckpointDir():
-        import tempfile
-
-        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="colsketch-"))
+        context.setCheckpointDir(shared_dir(df.sparkSession))
     return df.checkpoint()
 
 
 def _model(m: DataFrame, fmap: DataFrame, theta: DataFrame | None, centres: DataFrame, seed: int, signs: str, meta: dict) -> SketchModel:
     sizes = group_sizes(fmap)
     groups = sizes.join(theta, "bucket", "left") if theta is not None else sizes.withColumn("theta", F.lit(0.0))
-    fmap = fmap.select("feature_id", "bucket", sign_of(F.col("feature_id"), seed, signs).alias("sign"))
+    sign = sign_of(F.col("feature_id"), seed, "random" if signs == "learned" else signs)
+    fmap = fmap.select("feature_id", "bucket", (sign * F.col("flip") if "flip" in fmap.columns else sign).alias("sign"))
     return SketchModel(cut(fmap), cut(groups.select("bucket", "size", F.coalesce("theta", F.lit(0.0)).alias("theta"))), centres, meta | {"d": m.select("feature_id").distinct().count()})
 
 
-def learn_full(fm: FeatureMatrix, r: int, iters: int = 5, lam: float | None = None, eps: float = 0.1, seed: int = 0, rate="per_centre", init: str = "columns", signs: str = "random") -> SketchModel:
-    """Full batch: assign every column, step every centre, project every centre; iters times. lam None is plain k-means."""
-    m = cut(signed(fm, seed, signs).repartition("row_id"))
-    centres, fmap, theta = cut(init_centres(m, r, seed, init, signs)), None, None
+def learn_full(fm: FeatureMatrix, r: int, iters: int = 5, lam=None, eps: float = 0.1, seed: int = 0, rate="per_centre", init: str = "columns", signs: str = "random", tol: float | None = None, row_sketch: int | None = None) -> SketchModel:
+    """Full batch: assign every column, step every centre, project every centre; iters times. lam None is plain k-means.
+
+    Extensions: lam ('relative', f); signs 'learned'; tol ends when at most that share of columns moved; row_sketch
+    assigns on rows hashed to that many sums, while centres stay exact.
+    """
+    drawn = "random" if signs == "learned" else signs
+    m = cut(signed(fm, seed, drawn).repartition("row_id"))
+    lam = ball_size(m, lam)
+    short = cut(row_sketched(m, "feature_id", row_sketch, seed)) if row_sketch else m
+    centres, fmap, theta, turns = cut(init_centres(m, r, seed, init, drawn)), None, None, 0
     for turn in range(1, iters + 1):
-        fmap = cut(assign(m, centres, r))
-        moved = cut(step(m, fmap, centres, rate, turn=turn))
+        seen = row_sketched(centres, "bucket", row_sketch, seed) if row_sketch else centres
+        before, fmap, now = fmap, cut(free_signs(short, seen, r) if signs == "learned" else assign(short, seen, r)), m
+        if signs == "learned":
+            now = m.join(fmap.select("feature_id", "flip"), "feature_id").select("row_id", "feature_id", (F.col("value") * F.col("flip")).alias("value"))
+        moved = cut(step(now, fmap, centres, rate, turn=turn))
         theta = cut(l1ball.thresholds(moved, lam, eps).select("bucket", "theta")) if lam else None
         centres = cut(moved.join(F.broadcast(theta), "bucket", "left").select("row_id", "bucket", l1ball.soft(F.col("value"), F.coalesce("theta", F.lit(0.0))).alias("value")).where("value != 0")) if lam else moved
-    return _model(m, fmap, theta, centres, seed, signs, {"method": "learned_full", "r": r, "iters": iters, "lam": lam, "eps": eps, "seed": seed, "signs": signs, "init": init})
+        turns = turn
+        if tol is not None and before is not None and moved_share(before, fmap) <= tol:
+            break
+    return _model(m, fmap, theta, centres, seed, signs, {"method": "learned_full", "r": r, "iters": turns, "lam": lam, "eps": eps, "seed": seed, "signs": signs, "init": init})
 
 
-def learn_minibatch(fm: FeatureMatrix, r: int, iters: int = 10, batch_fraction: float = 0.1, lam: float | None = None, eps: float = 0.1, seed: int = 0, rate="running_mean", signs: str = "random") -> SketchModel:
+def learn_minibatch(fm: FeatureMatrix, r: int, iters: int = 10, batch_fraction: float = 0.1, lam=None, eps: float = 0.1, seed: int = 0, rate="running_mean", signs: str = "random") -> SketchModel:
     """As learn_full() on a fresh hash sample of columns each pass, r at least; all columns are assigned at the end."""
     m = cut(signed(fm, seed, signs).repartition("row_id"))
+    lam = ball_size(m, lam)
     features = cut(m.select("feature_id").distinct())
     n = max(r, int(features.count() * batch_fraction))
     centres, counts, theta = cut(init_centres(m, r, seed, "columns", signs)), {}, None

@@ -97,6 +97,34 @@ def least_squares(sketch: DataFrame, y: DataFrame, r: int, ridge: float = 1e-9)
     return np.linalg.solve(a + ridge * np.eye(r), b)
 
 
+def low_rank(fm: FeatureMatrix, k: int, seed: int, oversample: int = 8) -> tuple[float, float]:
+    """(error, energy) in squared Frobenius norm of the best rank-k matrix in the range of a Gaussian sketch.
+
+    With Q an orthonormal basis of the sketch, the error is the energy less the k largest eigenvalues of Q'X X'Q; Q and
+    Q'X stay tables, and the driver sees two square matrices of k + oversample rows.
+    """
+    from ..operators.oblivious import gaussian
+
+    m = k + oversample
+
+    def square(a: DataFrame, key: str) -> np.ndarray:
+        out, x, y = np.zeros((m, m)), a.alias("x"), a.alias("y")
+        for i, j, v in x.join(y, key).groupBy("x.bucket", "y.bucket").agg(F.sum(F.col("x.value") * F.col("y.value"))).collect():
+            out[i, j] = v
+        return out
+
+    y = gaussian(fm, m, seed, "per_r")
+    values, vectors = np.linalg.eigh(square(y, "row_id"))
+    live = values > 1e-12 * max(values.max(), 1e-300)
+    turn = vectors[:, live] / np.sqrt(values[live])
+    w = F.broadcast(fm.entries.sparkSession.createDataFrame([(i, j, float(turn[i, j])) for i in range(m) for j in range(turn.shape[1])], "bucket int, b int, w double"))
+    q = y.join(w, "bucket").groupBy("row_id", F.col("b").alias("bucket")).agg(F.sum(F.col("value") * F.col("w")).alias("q"))
+    qx = fm.entries.join(q, "row_id").groupBy("feature_id", "bucket").agg(F.sum(F.col("value") * F.col("q")).alias("value"))
+    kept = np.sort(np.linalg.eigvalsh(square(qx, "feature_id")))[::-1][:k].sum()
+    energy = fm.entries.agg(F.sum(F.col("value") * F.col("value"))).first()[0] or 0.0
+    return max(0.0, energy - float(kept)), energy
+
+
 def kmeans_rows(sketch: DataFrame, rows: DataFrame, r: int, k: int, seed: int = 0) -> DataFrame:
     data = vectors(sketch, rows, r)
     return KMeans(k=k, seed=seed).fit(data).transform(data).select("row_id", F.col("prediction").alias("cluster"))

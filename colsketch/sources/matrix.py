@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -140,6 +140,25 @@ def min_max(fm: FeatureMatrix) -> FeatureMatrix:
     return FeatureMatrix(fm.entries.join(span, "feature_id").select("row_id", "feature_id", v.alias("value")).where("value != 0"), fm.rows)
 
 
+def dense_ids(fm: FeatureMatrix) -> tuple[FeatureMatrix, DataFrame]:
+    """The matrix with features numbered from 0 in the order of their ids, and (feature_id, dense_id).
+
+    Ranks come from range partitions and the partitions' sizes; no partition holds all features.
+    """
+    from ..operators.adaptive import cut
+
+    placed = cut(fm.features().repartitionByRange("feature_id").select("feature_id", F.spark_partition_id().alias("part")))
+    sizes, start, offsets = {x.part: x.n for x in placed.groupBy("part").agg(F.count("*").alias("n")).collect()}, 0, []  # one figure a partition
+    for part in sorted(sizes):
+        offsets.append((part, start))
+        start += sizes[part]
+    at = F.broadcast(fm.entries.sparkSession.createDataFrame(offsets, "part int, start long"))
+    rank = F.row_number().over(Window.partitionBy("part").orderBy("feature_id")) - 1
+    ids = placed.join(at, "part").select("feature_id", (F.col("start") + rank).alias("dense_id"))
+    e = fm.entries.join(ids, "feature_id").select("row_id", F.col("dense_id").alias("feature_id"), "value")
+    return FeatureMatrix(e, fm.rows, start), ids
+
+
 def custpart(spark: SparkSession, sf_dir: str) -> FeatureMatrix:
     """Customers x parts, summed quantities: exact integers."""
     o, li = table(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"]), table(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey", "l_quantity"])

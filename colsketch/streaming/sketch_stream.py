@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import bucket_of, sign_of
+from ..operators.adaptive import SketchModel, shared_dir
 
 
 def read_events(spark: SparkSession, path: str, schema) -> DataFrame:
@@ -45,7 +46,7 @@ def drain(df: DataFrame, mode: str = "complete", checkpoint: str | None = None)
     """Runs a streaming frame over all that is there now and returns the sink's rows."""
     name = f"sink_{uuid.uuid4().hex}"
     spark = df.sparkSession
-    q = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint or tempfile.mkdtemp(prefix="colsketch-stream-")).trigger(availableNow=True).start()
+    q = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint or f"{shared_dir(spark)}/{name}").trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.table(name)
 
@@ -56,3 +57,28 @@ def merged(*sketches: DataFrame) -> DataFrame:
     for s in sketches[1:]:
         out = out.unionByName(s)
     return out.groupBy("user_id", "bucket").agg(F.sum("value").alias("value"))
+
+
+def learned_increments(rows: DataFrame, model: SketchModel, feature: str = "feature_id") -> DataFrame:
+    """Arriving (user_id, ..., feature_id) rows sent through a learned map: a stream-static join without state."""
+    fmap = model.feature_map.select(F.col("feature_id").alias("known"), "bucket", "sign").join(F.broadcast(model.groups.select("bucket", "size")), "bucket")
+    return rows.join(F.broadcast(fmap), F.col(feature) == F.col("known")).drop("known").withColumn("delta", F.col("sign") / F.col("size"))
+
+
+def followed_by(left: DataFrame, right: DataFrame, within: str = "1 hour", late: str = "2 hours") -> DataFrame:
+    """Pairs (user_id, first_id, then_id) of events of the two streams, the right one at most `within` later; rows (event_id, user_id, ts)."""
+    a = left.select(F.col("event_id").alias("first_id"), "user_id", F.col("ts").alias("first_ts")).withWatermark("first_ts", late)
+    b = right.select(F.col("event_id").alias("then_id"), F.col("user_id").alias("then_user"), F.col("ts").alias("then_ts")).withWatermark("then_ts", late)
+    on = F.expr(f"user_id = then_user and then_ts >= first_ts and then_ts <= first_ts + interval {within}")
+    return a.join(b, on).select("user_id", "first_id", "then_id")
+
+
+def apply_models(rows: DataFrame, model_of: Callable[[int], SketchModel], path: str, checkpoint: str) -> None:
+    """Each micro-batch through the model that is current when it starts; a batch that runs twice replaces its own folder,
+    so every row is written once."""
+
+    def one(batch: DataFrame, number: int) -> None:
+        out = learned_increments(batch, model_of(number)).groupBy("user_id", "bucket").agg(F.sum("delta").alias("value"))
+        out.write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    rows.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
