@@ -11,9 +11,11 @@ from ..operators import adaptive as K
 from ..operators import l1ball as P
 from ..operators import oblivious as O
 from ..session import ship
+from ..sources import formats
 from ..sources import matrix as M
 from ..streaming import sketch_stream as S
 from . import solve as V
+from . import workloads as W
 
 SEED, R = 42, 16
 CUST = "e AS (SELECT o_custkey AS row_id, l_partkey AS feature_id, CAST(sum(l_quantity) AS DOUBLE) AS value FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1, 2 HAVING sum(l_quantity) <> 0)"
@@ -462,6 +464,121 @@ def stream_merge_of_sites(spark, d):
     return S.merged(*halves)
 
 
+@query(f"WITH {KSQL} SELECT CAST(epoch(w) AS BIGINT) AS start, bucket, CAST(sum(delta) AS BIGINT) AS value FROM (SELECT *, unnest([to_timestamp(21600 * (floor(epoch(ts) / 21600) - k)) FOR k IN range(0, 4)]) AS w FROM i) GROUP BY 1, 2")
+def stream_sliding_sketch(spark, d):
+    return S.drain(S.windowed_sketch(_increments(spark, d), "1 day", "6 hours")).select(F.unix_timestamp("w.start").alias("start"), "bucket", "value")
+
+
+@query(f"WITH {KSQL}, g AS (SELECT *, CASE WHEN epoch(ts) - lag(epoch(ts)) OVER (PARTITION BY user_id ORDER BY ts) < 21600 THEN 0 ELSE 1 END AS fresh FROM i), s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS n FROM g) SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, CAST(sum(delta) AS BIGINT) AS value FROM s GROUP BY user_id, n")
+def stream_session_sketch(spark, d):
+    return S.drain(S.session_sketch(_increments(spark, d), "6 hours"), "complete").select("user_id", F.unix_timestamp("w.start").alias("start"), "value")
+
+
+@query("SELECT a.user_id, a.event_id AS first_id, b.event_id AS then_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'view' AND b.event_type = 'purchase'")
+def stream_followed_by(spark, d):
+    schema = M.table(spark, d, "events").schema
+    of = lambda kind: S.read_events(spark, f"{d}/events.parque[t]", schema).where(F.col("event_type") == kind)
+    return S.drain(S.followed_by(of("view"), of("purchase")), "append")
+
+
+# Forms of matrices
+
+
+@query(f"WITH {TOK} SELECT row_id, CAST(dense_rank() OVER (ORDER BY feature_id) - 1 AS BIGINT) AS feature_id, value FROM e")
+def dense_ids_documents(spark, d):
+    return M.dense_ids(M.from_tokens(M.table(spark, d, "documents", ["doc_id", "text"]), "doc_id", F.col("text")))[0].entries
+
+
+@query(f"WITH {EMB}, s AS (SELECT * FROM e WHERE feature_id < 8 AND value <> 0) SELECT * FROM s UNION ALL SELECT a.row_id, 8 + a.feature_id * 8 + b.feature_id, a.value * b.value FROM s a JOIN s b ON a.row_id = b.row_id AND a.feature_id <= b.feature_id")
+def quadratic_embeddings(spark, d):
+    fm = M.embeddings(spark, d)
+    return M.quadratic(M.FeatureMatrix(fm.entries.where("feature_id < 8"), fm.rows), 8).entries
+
+
+ID = "('0x' || substr(md5({}), 1, 13))::BIGINT"
+
+
+@query(f"SELECT p_partkey AS row_id, {ID.format(chr(39) + 'p_size' + chr(39))} AS feature_id, CAST(p_size AS DOUBLE) AS value FROM part WHERE p_size <> 0 UNION ALL SELECT p_partkey, {ID.format(chr(39) + 'p_brand=' + chr(39) + ' || p_brand')}, 1.0::DOUBLE FROM part WHERE p_brand IS NOT NULL")
+def columns_part(spark, d):
+    return M.from_columns(M.table(spark, d, "part"), "p_partkey", ["p_size"], ["p_brand"]).entries
+
+
+@query("SELECT page_id, trim(regexp_replace(regexp_replace(html, '(?is)<(?:script\\b.*?</script\\s*|style\\b.*?</style\\s*)>|<!--.*?-->|<[^>]*>', ' ', 'g'), '[ \\t\\r\\n]+', ' ', 'g')) AS text FROM pages")
+def strip_tags_pages(spark, d):
+    return M.table(spark, d, "pages", ["page_id", "html"]).select("page_id", formats.strip_tags(F.col("html")).alias("text"))
+
+
+# Variants of the learned sketch
+
+
+@query(f"WITH {CUST} SELECT round(0.2 * sum(abs(value)) / count(DISTINCT feature_id), 6) AS lam FROM e")
+def relative_ball(spark, d):
+    m = _m(spark, d)
+    return m.agg(F.round(F.lit(0.2) * F.sum(F.abs("value")) / F.countDistinct("feature_id"), 6).alias("lam"))
+
+
+@query(f"WITH {CUST}, {SIGNED} SELECT CAST({H.bucket_of_sql('row_id', 256, SEED + 1)} AS BIGINT) AS row_id, feature_id, sum(value * {H.sign_of_sql('row_id', SEED + 1)}) AS value FROM m GROUP BY 1, 2 HAVING sum(value * {H.sign_of_sql('row_id', SEED + 1)}) <> 0")
+def row_sketch_custpart(spark, d):
+    return K.row_sketched(_m(spark, d), "feature_id", 256, SEED)
+
+
+@query(f"WITH {CUST}, {SIGNED}, {PICK}, {INIT}, {ASSIGN}, flips AS (SELECT feature_id, sq.bucket, sq.s - 2 * abs(coalesce(p, 0)) AS d, CASE WHEN p < 0 THEN -1 ELSE 1 END AS flip FROM (SELECT DISTINCT feature_id FROM e) f CROSS JOIN sq LEFT JOIN cross_ x USING (feature_id, bucket)) SELECT feature_id, CAST(bucket AS INTEGER) AS bucket, CAST(flip AS INTEGER) AS flip FROM (SELECT *, row_number() OVER (PARTITION BY feature_id ORDER BY d, bucket) AS k FROM flips) WHERE k = 1")
+def assign_free_signs(spark, d):
+    m = _m(spark, d)
+    return K.free_signs(m, K.init_centres(m, R, SEED), R)
+
+
+# Experiments
+
+
+@query(f"WITH {CUST}, {CS} SELECT 'countsketch' AS method, (SELECT count(*) FROM e) AS projection, (SELECT count(*) FROM cs) AS classification UNION ALL SELECT 'gaussian', (SELECT count(DISTINCT row_id) FROM e) * (SELECT count(DISTINCT feature_id) FROM e) * {R}, (SELECT count(DISTINCT row_id) FROM e) * {R}")
+def prediction_cost(spark, d):
+    fm = M.custpart(spark, d)
+    sketch = O.countsketch(fm, R, SEED)
+    return W.prediction_cost(fm, {"countsketch": sketch, "gaussian": sketch}, R, fm.features().count())
+
+
+@query()
+def workload_methods(spark, d):
+    return W.compare(spark, d, "bigram", [16])
+
+
+@query()
+def workload_embedding_time(spark, d):
+    return W.embedding_time(spark, d, "bigram", 16)
+
+
+@query()
+def workload_stability(spark, d):
+    return W.stability(spark, d, "bigram", 16, k=2)
+
+
+@query()
+def workload_widths(spark, d):
+    return W.compare(spark, d, "bigram", [4, 16, 64], ["countsketch", "gaussian", "learned_full"], k=2)
+
+
+@query()
+def workload_accuracy_by_zeros(spark, d):
+    return W.compare(spark, d, "bigram", [16], ["countsketch", "learned_full"], lams=[("relative", f) for f in (1.0, 0.5, 0.2, 0.1, 0.05)], k=2)
+
+
+@query()
+def workload_tuning(spark, d):
+    return W.tuning(spark, d, "bigram", 16, (0.1, 1.0), (10.0, 40.0), k=2)
+
+
+@query()
+def workload_ablations(spark, d):
+    return W.ablations(spark, d, "bigram", 16, k=2)
+
+
+@query()
+def low_rank_embeddings(spark, d):
+    error, energy = V.low_rank(M.embeddings(spark, d), 8, SEED)
+    return spark.createDataFrame([(8, error, energy)], "k int, error double, energy double")
+
+
 def queries() -> dict:
     return dict(_queries)
 
