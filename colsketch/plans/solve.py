@@ -40,7 +40,7 @@ def cross_validate(fm: FeatureMatrix, labels: DataFrame, sketch_of, r: int, c: f
     """
     rows = folds(fm.rows.join(labels, "row_id"), key, k).cache()
     classes = rows.select("label").distinct().count()
-    apply, out = (sketch_of(fm) if protocol == "transductive" else None), None
+    apply, data, out = (sketch_of(fm) if protocol == "transductive" else None), None, None
     for f in range(k):
         train_rows, test_rows = rows.where(F.col("fold") != f), rows.where(F.col("fold") == f)
         if test_rows.isEmpty() or train_rows.isEmpty():
@@ -48,8 +48,8 @@ def cross_validate(fm: FeatureMatrix, labels: DataFrame, sketch_of, r: int, c: f
         if protocol == "inductive":
             inside = train_rows.select("row_id")
             apply = sketch_of(FeatureMatrix(fm.entries.join(inside, "row_id", "left_semi"), inside, fm.d))
-        sketch = apply(fm)
-        data = vectors(sketch, rows.select("row_id", "label", "fold"), r).cache()
+        if protocol == "inductive" or data is None:  # one sketch serves all folds if it is fitted on all rows
+            data = vectors(apply(fm), rows.select("row_id", "label", "fold"), r).cache()
         model = classifier(loss, train_rows.count(), c, classes).fit(data.where(F.col("fold") != f).withColumn("label", F.col("label").cast("double")))
         got = model.transform(data.where(F.col("fold") == f).withColumn("label", F.col("label").cast("double"))).select("row_id", "fold", F.col("label").cast("int").alias("label"), F.col("prediction").cast("int").alias("predicted"))
         out = got if out is None else out.unionByName(got)
