@@ -106,11 +106,15 @@ def from_tokens(df: DataFrame, row: str, text: str, min_df: int = 1, weight: str
     return FeatureMatrix(e, df.select(F.col(row).cast("long").alias("row_id")))
 
 
-def from_ngrams(df: DataFrame, row: str, text: str, n: int = 2, limit: int = 2000, min_df: int = 3) -> FeatureMatrix:
-    """Character n-grams of the first `limit` characters, 1 + ln tf, rows of unit length (the recipe of the bigram set)."""
-    t = F.substring(F.lower(text), 1, limit)
-    at = F.sequence(F.lit(1), F.greatest(F.length(t) - n + 1, F.lit(1)))
-    grams = df.select(F.col(row).cast("long").alias("row_id"), F.explode(F.transform(at, lambda k: F.substring(t, k, F.lit(n)))).alias("g")).where(F.length("g") == n)
+def from_ngrams(df: DataFrame, row: str, text: str, n: int = 2, limit: int | None = None, min_df: int = 3) -> FeatureMatrix:
+    """Character n-grams of whole texts, or of their first `limit` characters, 1 + ln tf, rows of unit length."""
+    t = F.lower(text) if limit is None else F.substring(F.lower(text), 1, limit)
+    letters = F.split(t, "")
+    gram = letters
+    for k in range(1, n):  # each shift of the characters is made once for a text, so the time is linear in its length
+        left = F.greatest(F.size(letters) - k, F.lit(0))
+        gram = F.zip_with(F.slice(gram, F.lit(1), left), F.slice(letters, F.lit(k + 1), left), lambda x, y: F.concat(x, y))
+    grams = df.select(F.col(row).cast("long").alias("row_id"), F.explode(gram).alias("g")).where(F.length("g") == n)
     counts = grams.groupBy("row_id", "g").agg(F.count("*").alias("tf"))
     counts = counts.join(counts.groupBy("g").agg(F.count("*").alias("df")).where(F.col("df") >= min_df), "g")
     e = counts.select("row_id", token_id(F.col("g")).alias("feature_id"), (1 + F.log("tf")).alias("value"))
