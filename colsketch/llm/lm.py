@@ -6,8 +6,10 @@ gets back the totals of the n-grams it asked for. So n-grams are exploded, count
 instead of a row each, and neither the table nor a group's share of it is ever in one place.
 
 A text's own n-grams are not counted for it: the score uses the corpus count less the text's own, so that a text does
-not vouch for itself. S(w | v) = c(v w) / c(v) if the rest of the corpus has v w, else alpha c(w) / N, and words that
-the rest lacks count as one occurrence. Scores are mean log10 S by word.
+not vouch for itself. Of the n-grams that end in a word w, the longest that the rest of the corpus has counts: for v w of
+m words, S(w | v) = alpha^(order - m) c(v w) / c(v); without any, S is alpha^(order - 1) c(w) / N. The first words of a
+text, whose context is shorter, pay alpha for each word that lacks. Words that the rest lacks count as one occurrence.
+Scores are mean log10 S by word.
 
 Null and empty texts have 0 words and score 0. Repeated rows and copies vouch for each other: each is a text.
 """
@@ -28,11 +30,11 @@ GROUP_BYTES = 8_000_000
 _WIDTH = 6  # bytes of a hash that are sent; of its 54 bits the leading ones, 6 or more, are the bucket
 
 
-def group_grams(column: pa.Array) -> tuple[list[Block], np.ndarray, np.ndarray]:
-    """Blocks of the texts, the distinct unigram and bigram hashes of all of them, sorted, and their counts."""
+def group_grams(column: pa.Array, order: int) -> tuple[list[Block], np.ndarray, np.ndarray]:
+    """Blocks of the texts, the distinct hashes of their n-grams of 1 to `order` words, sorted, and their counts."""
     found, keys, counts = [], [], []
     for _, _, block in blocks(column):
-        k, n = np.unique(np.concatenate([words_of(block), pairs_of(block)[0]]), return_counts=True)
+        k, n = np.unique(np.concatenate([words_of(block), *(grams_of(block, m)[0] for m in range(2, order + 1))]), return_counts=True)
         found.append(block)
         keys.append(k)
         counts.append(n)
@@ -50,8 +52,9 @@ def words_of(block: Block) -> np.ndarray:
     return block.hash & _LOW
 
 
-def pairs_of(block: Block) -> tuple[np.ndarray, np.ndarray]:
-    grams, good = block.grams(2)
+def grams_of(block: Block, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """54-bit hashes of n-grams, and the place of the first word of each."""
+    grams, good = block.grams(n)
     return grams[good] & _LOW, np.flatnonzero(good)
 
 
@@ -59,10 +62,10 @@ def _pack(keys: np.ndarray) -> bytes:
     return keys.view(np.uint8).reshape(-1, 8)[:, :_WIDTH].tobytes()
 
 
-def _asked(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.RecordBatch]:
+def _asked(batches: Iterator[pa.RecordBatch], bits: int, order: int) -> Iterator[pa.RecordBatch]:
     """One row for each group and bucket: the group's n-grams there, sorted, and their counts."""
     for group, table in _groups(batches):
-        found, keys, counts = group_grams(table.column("text"))
+        found, keys, counts = group_grams(table.column("text"), order)
         del found
         edge = np.searchsorted(keys, np.arange((1 << bits) + 1, dtype=np.uint64) << np.uint64(54 - bits))
         small = np.minimum(counts, 65535).astype(np.uint16)
@@ -120,21 +123,23 @@ def _answered(table: pa.Table) -> pa.Table:
     return pa.table({"grp": pa.array([r["grp"] for r in rows], pa.int64()), "bucket": pa.array([r["bucket"] for r in rows], pa.int32()), "totals": pa.array(out, pa.binary())})
 
 
-def _scores(texts: pa.Table, answers: pa.Table, words: int) -> pa.Table:
+def _scores(texts: pa.Table, answers: pa.Table, words: int, order: int) -> pa.Table:
     texts = texts.combine_chunks()
-    found, keys, _ = group_grams(texts.column("text"))
+    found, keys, _ = group_grams(texts.column("text"), order)
     rows = sorted(answers.select(["bucket", "totals"]).to_pylist(), key=lambda r: r["bucket"])
     total = np.frombuffer(b"".join(r["totals"] for r in rows), np.uint32).astype(np.int64)
     score, n_words = [], []
     for block in found:
-        word, (pair, first) = words_of(block), pairs_of(block)
-        n = block.n_words
-        doc = block.doc
-        c1 = total[np.searchsorted(keys, word)] - _own(word, doc)
-        c2 = total[np.searchsorted(keys, pair)] - _own(pair, doc[first])
-        logs = np.log10(ALPHA * np.maximum(c1, 1) / words)  # the backoff, which the first word of a text gets too
-        seen = c2 > 0
-        logs[first[seen] + 1] = np.log10(c2[seen] / np.maximum(c1[first[seen]], c2[seen]))
+        word, n, doc = words_of(block), block.n_words, block.doc
+        count = total[np.searchsorted(keys, word)] - _own(word, doc)  # by first word, of the n-grams one word shorter
+        logs = np.log10(ALPHA ** (order - 1) * np.maximum(count, 1) / words)
+        for m in range(2, order + 1):
+            gram, first = grams_of(block, m)
+            c = total[np.searchsorted(keys, gram)] - _own(gram, doc[first])
+            seen = c > 0
+            logs[first[seen] + m - 1] = np.log10(ALPHA ** (order - m) * c[seen] / np.maximum(count[first[seen]], c[seen]))
+            count = np.zeros(len(word), np.int64)
+            count[first] = c
         score.append(np.bincount(doc, logs, minlength=block.n_docs) / np.maximum(n, 1))
         n_words.append(n)
     return pa.table({"doc_id": texts.column("doc_id"), "n_words": pa.array(np.concatenate(n_words).astype(np.int64)), "score": pa.array(np.concatenate(score))})
@@ -151,8 +156,10 @@ def _own(keys: np.ndarray, doc: np.ndarray) -> np.ndarray:
     return out
 
 
-def backoff_scores(docs: DataFrame, group_bytes: int = GROUP_BYTES) -> DataFrame:
-    """(doc_id, n_words, score) for each row of docs (doc_id, text)."""
+def backoff_scores(docs: DataFrame, group_bytes: int = GROUP_BYTES, order: int = 2) -> DataFrame:
+    """(doc_id, n_words, score) for each row of docs (doc_id, text), by n-grams of up to `order` words."""
+    if order < 1:
+        raise ValueError(f"order {order} is less than 1")
     texts = docs.select("doc_id", "text")
     n_bytes, rows = texts.agg(F.sum(F.octet_length("text")), F.count("*")).first()
     groups = max(1, -(-(n_bytes or 0) // group_bytes))
@@ -160,6 +167,6 @@ def backoff_scores(docs: DataFrame, group_bytes: int = GROUP_BYTES) -> DataFrame
     grp = F.pmod(F.xxhash64(F.col("doc_id"), F.length("text")), F.lit(groups)).alias("grp")
     dealt = texts.select("doc_id", "text", grp).repartition(min(groups, max(1, int(rows or 1))), "grp")
     bits = max(6, (groups - 1).bit_length() - 1)  # buckets grow with the groups, so a partition's table keeps its size
-    asked = dealt.sortWithinPartitions("grp").mapInArrow(lambda it: _asked(it, bits), "bucket int, grp long, grams binary, counts binary, over binary")
+    asked = dealt.sortWithinPartitions("grp").mapInArrow(lambda it: _asked(it, bits, order), "bucket int, grp long, grams binary, counts binary, over binary")
     answers = asked.groupBy("bucket").applyInArrow(_answered, "grp long, bucket int, totals binary")
-    return dealt.groupBy("grp").cogroup(answers.groupBy("grp")).applyInArrow(lambda a, b: _scores(a, b, words), "doc_id long, n_words long, score double")
+    return dealt.groupBy("grp").cogroup(answers.groupBy("grp")).applyInArrow(lambda a, b: _scores(a, b, words, order), "doc_id long, n_words long, score double")

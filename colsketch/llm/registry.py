@@ -53,7 +53,7 @@ def op7_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return lm.backoff_scores(table(spark, sf_dir, "documents"))
+    return lm.backoff_scores(table(spark, sf_dir, "documents"), order=3)
 
 
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

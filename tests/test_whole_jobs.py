@@ -6,6 +6,7 @@ from collections import Counter
 import pytest
 from pyspark.sql import functions as F
 
+from colsketch.llm import lm, registry
 from colsketch.sources import matrix as M
 
 
@@ -18,3 +19,33 @@ def test_ngrams_of_whole_texts(spark):
     ids = {r.g: r.id for r in spark.createDataFrame([(g,) for g in names], "g string").select("g", M.token_id(F.col("g")).alias("id")).collect()}
     size = {i: math.sqrt(sum((1 + math.log(n)) ** 2 for n in c.values())) for i, c in tf.items()}
     assert got == pytest.approx({(i, ids[g]): (1 + math.log(n)) / size[i] for i, c in tf.items() for g, n in c.items()})
+
+
+def brute_scores(texts, order, alpha=0.4):
+    words = {i: (t or "").split() for i, t in texts.items()}
+    grams = {i: Counter(tuple(w[k : k + m]) for m in range(1, order + 1) for k in range(len(w) - m + 1)) for i, w in words.items()}
+    every, n, out = sum(grams.values(), Counter()), sum(map(len, words.values())), {}
+    for i, w in words.items():
+        c, total = every - grams[i], 0.0
+        for k in range(len(w)):
+            s = alpha ** (order - 1) * max(c[(w[k],)], 1) / n
+            for m in range(2, min(order, k + 1) + 1):
+                gram = tuple(w[k - m + 1 : k + 1])
+                s = alpha ** (order - m) * c[gram] / max(c[gram[:-1]], c[gram]) if c[gram] else s
+            total += math.log10(s)
+        out[i] = total / max(len(w), 1)
+    return out
+
+
+def test_lm_scores_of_order_three(spark):
+    texts = {1: "a b c d a b", 2: "a b c e", 3: "x b c d a b d", 4: None, 5: "a", 6: "q q q q"}
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    for order in (1, 2, 3, 4):
+        got = {r.doc_id: r.score for r in lm.backoff_scores(df, group_bytes=8, order=order).collect()}
+        assert got == pytest.approx(brute_scores(texts, order))
+
+
+def test_op8_uses_trigrams(spark, tmp_path):
+    texts = {1: "a b c d a b", 2: "a b c e", 3: "x b c d a b d"}
+    spark.createDataFrame(list(texts.items()), "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    assert {r.doc_id: r.score for r in registry.op8_lm_scoring(spark, str(tmp_path)).collect()} == pytest.approx(brute_scores(texts, 3))
