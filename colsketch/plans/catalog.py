@@ -398,6 +398,19 @@ def distortion_pairs(spark, d):
     return rounded(A.distortion(fm, O.countsketch(fm, R, SEED), pairs, 0.5), "mean_ratio")
 
 
+NEXT = "p AS (SELECT vec_id AS i, vec_id + k AS j FROM embeddings CROSS JOIN range(1, 8) t(k))"
+
+
+@query(f"WITH {EMB}, {CS}, {NEXT}, t AS (SELECT i, j, sum((a.value - b.value) * (a.value - b.value)) AS t FROM p JOIN e a ON a.row_id = i JOIN e b ON b.row_id = j AND a.feature_id = b.feature_id GROUP BY 1, 2), g AS (SELECT i, j, sum(d * d) AS g FROM (SELECT i, j, bucket, sum(s * value) AS d FROM (SELECT i, j, i AS row_id, 1 AS s FROM p UNION ALL SELECT i, j, j, -1 FROM p) JOIN cs USING (row_id) GROUP BY 1, 2, 3) GROUP BY 1, 2) SELECT count(*) AS pairs, round(avg(coalesce(g, 0) / t), 6) AS mean_ratio, avg(CASE WHEN coalesce(g, 0) / t BETWEEN 0.5 AND 1.5 THEN 1.0::DOUBLE ELSE 0 END) AS share FROM t LEFT JOIN g USING (i, j) WHERE t > 0")
+def distortion_every_row(spark, d):
+    """Each row with the next seven ids."""
+    fm = M.embeddings(spark, d)
+    rows = fm.rows.distinct()
+    pairs = rows.select(F.col("row_id").alias("i"), F.explode(F.sequence(F.col("row_id") + 1, F.col("row_id") + 7)).alias("j"))
+    pairs = pairs.join(rows.withColumnRenamed("row_id", "j"), "j", "left_semi").select("i", "j")
+    return rounded(A.distortion(fm, O.countsketch(fm, R, SEED), pairs, 0.5), "mean_ratio")
+
+
 @query()
 def l1_feasible(spark, d):
     return A.l1_feasible(P.project(K.init_centres(_m(spark, d), R, SEED), 500.0, 0.1), 500.0, 0.1)
@@ -495,6 +508,12 @@ def quadratic_embeddings(spark, d):
     return M.quadratic(M.FeatureMatrix(fm.entries.where("feature_id < 8"), fm.rows), 8).entries
 
 
+@query(f"WITH {EMB}, s AS (SELECT * FROM e WHERE value <> 0) SELECT * FROM s UNION ALL SELECT a.row_id, 64 + a.feature_id * 64 + b.feature_id, a.value * b.value FROM s a JOIN s b ON a.row_id = b.row_id AND a.feature_id <= b.feature_id")
+def quadratic_embeddings_all(spark, d):
+    """All 64 dimensions: 2,144 features a row without zeros."""
+    return M.quadratic(M.embeddings(spark, d), 64).entries
+
+
 ID = "('0x' || substr(md5({}), 1, 13))::BIGINT"
 
 
