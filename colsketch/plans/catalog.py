@@ -557,39 +557,30 @@ def prediction_cost(spark, d):
     return W.prediction_cost(fm, {"countsketch": sketch, "gaussian": sketch}, R, fm.features().count())
 
 
-@query()
-def workload_methods(spark, d):
-    return W.compare(spark, d, "bigram", [16])
-
-
-@query()
-def workload_embedding_time(spark, d):
-    return W.embedding_time(spark, d, "bigram", 16)
-
-
-@query()
-def workload_stability(spark, d):
-    return W.stability(spark, d, "bigram", 16, k=2)
-
-
-@query()
-def workload_widths(spark, d):
-    return W.compare(spark, d, "bigram", [4, 16, 64], ["countsketch", "gaussian", "learned_full"], k=2)
-
-
-@query()
-def workload_accuracy_by_zeros(spark, d):
-    return W.compare(spark, d, "bigram", [16], ["countsketch", "learned_full"], lams=[("relative", f) for f in (1.0, 0.5, 0.2, 0.1, 0.05)], k=2)
-
-
-@query()
-def workload_tuning(spark, d):
-    return W.tuning(spark, d, "bigram", 16, (0.1, 1.0), (10.0, 40.0), k=2)
-
-
-@query()
-def workload_ablations(spark, d):
-    return W.ablations(spark, d, "bigram", 16, k=2)
+#: Widths by data set, as in the published table of accuracies.
+WIDTHS = {"emb10": 30, "bigram": 100, "embquad": 256, "bow_quality": 256, "bow_en": 256, "bow_multi": 256}
+PANELS = ("bigram", "bow_quality", "bow_en", "bow_multi")
+CS_GRID = tuple(10.0**k for k in range(-5, 6))
+LAMS = (10.0, 20.0, 30.0, 40.0)
+BALLS = [*LAMS, *(("relative", f) for f in (1.0, 0.5, 0.2, 0.1, 0.05))]
+
+
+def _experiment(name: str, dataset: str, run) -> None:
+    """Registers an experiment on one data set; the bare name is the one on bigrams. All use five folds."""
+    f = lambda spark, d: run(spark, d, dataset)
+    f.__name__ = name if dataset == "bigram" else f"{name}_{dataset}"
+    query()(f)
+
+
+for _set, _r in WIDTHS.items():
+    _experiment("workload_methods", _set, lambda s, d, x, r=_r: W.compare(s, d, x, [r]))
+    _experiment("workload_embedding_time", _set, lambda s, d, x, r=_r: W.embedding_time(s, d, x, r))
+    _experiment("workload_stability", _set, lambda s, d, x: W.stability(s, d, x, 16))
+    _experiment("workload_tuning", _set, lambda s, d, x, r=_r: W.tuning(s, d, x, r, CS_GRID, LAMS))
+    _experiment("workload_ablations", _set, lambda s, d, x: W.ablations(s, d, x, 16))
+for _set in PANELS:
+    _experiment("workload_widths", _set, lambda s, d, x: W.compare(s, d, x, [4, 8, 16, 32, 64, 128, 256]))
+    _experiment("workload_accuracy_by_zeros", _set, lambda s, d, x: W.compare(s, d, x, [16], ["countsketch", "learned_full"], lams=BALLS))
 
 
 @query()

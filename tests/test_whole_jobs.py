@@ -1,5 +1,6 @@
 """Operators and experiments that read the whole input."""
 
+import inspect
 import math
 from collections import Counter
 
@@ -9,7 +10,7 @@ from pyspark.sql import functions as F
 
 from colsketch.llm import lm, registry
 from colsketch.operators import oblivious as O
-from colsketch.plans import catalog
+from colsketch.plans import catalog, solve, workloads
 from colsketch.sources import matrix as M
 
 
@@ -78,3 +79,22 @@ def test_both_sql_twins(spark):
         got = sorted(tuple(r) for r in catalog.queries()[name](spark, "/root/testdata/sf0.01").collect())
         want = sorted(con.execute(catalog.oracle_sql()[name]).fetchall())
         assert len(got) == len(want) and all(a == pytest.approx(b) for a, b in zip(got, want, strict=True))
+
+
+def test_registered_experiments_are_the_published_ones(monkeypatch):
+    seen = {}
+    monkeypatch.setattr(catalog, "ship", lambda s: s)
+    for f in ("compare", "embedding_time", "stability", "tuning", "ablations"):
+        whole = inspect.signature(getattr(workloads, f))
+        monkeypatch.setattr(workloads, f, lambda *a, whole=whole, **k: whole.bind(*a, **k))
+    for name, run in catalog.queries().items():
+        if name.startswith("workload_"):
+            bound = run(None, "d")
+            bound.apply_defaults()
+            seen[name] = bound.arguments
+            assert not bound.arguments.get("more"), name  # five folds are the default
+    assert inspect.signature(workloads.measured).parameters["k"].default == 5 == inspect.signature(solve.cross_validate).parameters["k"].default
+    for base in ("methods", "embedding_time", "stability", "tuning", "ablations"):
+        assert {a["dataset"] for n, a in seen.items() if n.startswith(f"workload_{base}")} == set(workloads.DATASETS)
+    assert all(list(a["methods"]) == workloads.METHODS for n, a in seen.items() if n.startswith(("workload_methods", "workload_widths")))
+    assert all(a["cs"] == tuple(10.0**k for k in range(-5, 6)) and a["lams"] == (10.0, 20.0, 30.0, 40.0) for n, a in seen.items() if n.startswith("workload_tuning"))
