@@ -1,9 +1,10 @@
 """Main text of web pages by deduction of each host's page template.
 
 Tokens of a page are its element paths (names and classes from the root, digits as 0) and its short text blocks with
-their path. Tokens of a host with the same occurrence vector, the count on each page, form an equivalence class; a class
-is valid if its pages are enough of the host's and its paths nest in one another or lie side by side under valid ones.
-The valid classes together are the host's template, and each of its paths bounds a slot. Text in menus, headers, footers,
+their path. A token is template if at least SUPPORT of a host's pages have it and its parent path is template too; this
+threshold stands in for equivalence classes of tokens with the same occurrence vector (the count on each page), whose id
+is put out but decides nothing. The tokens together are the host's template, and each of its paths bounds a slot.
+Text in menus, headers, footers,
 sidebars, notices, adverts, forms, scripts, styles or reader comments is left out of every slot.
 
 The main slot of a host is found from the template alone: of its container paths, those below which more than half of
@@ -42,7 +43,7 @@ NAMED = re.compile(r"(?:^|[\s_-])(?:ad|ads|advert\w*|banner|sponsor\w*|menu|navb
 _ATTRIBUTE = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 #: Digits, and what separates levels and tokens, are one character in labels.
 _PLAIN = re.compile(r"[\d/\s]+")
-#: Share of a host's pages that a class needs, and the fewest pages.
+#: Share of a host's pages that a token needs, and the fewest pages.
 SUPPORT, FEWEST = 0.5, 3
 #: Longest text block that can be a template token.
 LONGEST_TOKEN = 200
@@ -172,7 +173,7 @@ def token_sums(pages: DataFrame) -> DataFrame:
 
 
 def templates(pages: DataFrame, support: float = SUPPORT, fewest: int = FEWEST) -> DataFrame:
-    """(host, token, class_id, own, below): the tokens of valid equivalence classes; host EVERY is all hosts together.
+    """(host, token, class_id, own, below): the tokens with enough support, and their classes; host EVERY is all hosts together.
 
     A token is a path, a line break, and a text or nothing. own is the number of characters of its text on all pages
     that is not left out; below, for paths, that of all text in and under the path which is not left out, and of the host's for the token '\\n'.
@@ -187,7 +188,7 @@ def templates(pages: DataFrame, support: float = SUPPORT, fewest: int = FEWEST)
     sizes = tokens.where("token = '\n'").select("host", F.col("pages").alias("host_pages"))
     enough = tokens.where(F.col("pages") >= fewest).join(sizes, "host").where(F.col("pages") >= F.col("host_pages") * support)
     classes = enough.withColumn("class_id", F.xxhash64("host", "pages", "n", "signature")).withColumn("path", at)
-    # Nesting: a path is valid if its parent is a token of the template as well, or it is a root.
+    # A path is kept if its parent is a token of the template as well, or it is a root.
     has_text = ~F.col("token").endswith("\n")
     parents = classes.where(~has_text).select("host", F.col("path").alias("parent"))
     parent = F.when(has_text, F.col("path")).otherwise(F.regexp_replace("path", "(^|/)[^/]*$", ""))
