@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..session import ship
 from . import contamination, extraction, language, lm, mixing, near, quality, sharding, substrings, toxicity
-from .common import label_sample, table
+from .common import bit_map, in_bit_map, label_sample, table
 
 
 def _remainder(column: str, by: int) -> F.Column:
@@ -63,10 +63,18 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.identify(docs, language.fit(sample)).select("doc_id", held_out.alias("held_out"), "lang_pred", "score")
 
 
+def trusted_texts(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """The texts of all documents with quality label 1; a bit map rules most others out before texts are moved."""
+    ids = labels.where("doc_id is not null").groupBy("doc_id").agg(F.max("quality").alias("quality")).where("quality = 1").select("doc_id")
+    sent = docs.sparkSession.sparkContext.broadcast(bit_map(ids, "doc_id"))
+    return docs.select("doc_id", "text").where(in_bit_map("doc_id", sent)).join(ids, "doc_id", "left_semi").select("text")
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    sample = label_sample(docs, table(spark, sf_dir, "labels"), "quality", F.lit(True), quality.MAX_LABELLED)
-    return quality.quality(docs, quality.fit(docs, sample))
+    labels = table(spark, sf_dir, "labels")
+    sample = label_sample(docs, labels, "quality", F.lit(True), quality.MAX_LABELLED)
+    return quality.quality(docs, quality.fit(docs, sample, trusted_texts(docs, labels)))
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:

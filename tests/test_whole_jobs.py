@@ -8,7 +8,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from colsketch.llm import lm, registry
+from colsketch.llm import lm, quality, registry
 from colsketch.operators import oblivious as O
 from colsketch.plans import catalog, solve, workloads
 from colsketch.sources import matrix as M
@@ -98,3 +98,14 @@ def test_registered_experiments_are_the_published_ones(monkeypatch):
         assert {a["dataset"] for n, a in seen.items() if n.startswith(f"workload_{base}")} == set(workloads.DATASETS)
     assert all(list(a["methods"]) == workloads.METHODS for n, a in seen.items() if n.startswith(("workload_methods", "workload_widths")))
     assert all(a["cs"] == tuple(10.0**k for k in range(-5, 6)) and a["lams"] == (10.0, 20.0, 30.0, 40.0) for n, a in seen.items() if n.startswith("workload_tuning"))
+
+
+def test_op10_counts_all_trusted_texts(spark, tmp_path, monkeypatch):
+    spark.createDataFrame([(i, f"w{i} same") for i in range(40)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(i, int(i < 30)) for i in range(40)] + [(0, 0), (99, 1), (None, 1)], "doc_id long, quality int").write.parquet(str(tmp_path / "labels.parquet"))
+    counted = []
+    monkeypatch.setattr(quality, "MAX_LABELLED", 5)
+    whole = quality.multinomial
+    monkeypatch.setattr(quality, "multinomial", lambda texts, buckets: counted.append(sorted(r.text for r in texts.select("text").collect())) or whole(texts, buckets))
+    assert registry.op10_quality_rules(spark, str(tmp_path)).count() == 40
+    assert counted[1] == sorted(f"w{i} same" for i in range(30))
