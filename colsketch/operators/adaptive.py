@@ -25,6 +25,8 @@ def signed(fm: FeatureMatrix, seed: int, signs: str = "random") -> DataFrame:
 
 def init_centres(m: DataFrame, r: int, seed: int, init: str = "columns", signs: str = "random") -> DataFrame:
     """r signed columns picked by hash; or the means of count-sketch's own groups (extension), from which error cannot rise."""
+    if init not in ("columns", "oblivious_groups"):
+        raise ValueError(f"unknown init {init!r}")
     features = m.select("feature_id").distinct()
     if init == "oblivious_groups":
         return means(m, feature_map(features, r, seed, signs))

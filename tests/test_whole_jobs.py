@@ -9,6 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from colsketch.llm import lm, quality, registry
+from colsketch.operators import adaptive
 from colsketch.operators import oblivious as O
 from colsketch.plans import catalog, solve, workloads
 from colsketch.sources import matrix as M
@@ -109,3 +110,9 @@ def test_op10_counts_all_trusted_texts(spark, tmp_path, monkeypatch):
     monkeypatch.setattr(quality, "multinomial", lambda texts, buckets: counted.append(sorted(r.text for r in texts.select("text").collect())) or whole(texts, buckets))
     assert registry.op10_quality_rules(spark, str(tmp_path)).count() == 40
     assert counted[1] == sorted(f"w{i} same" for i in range(30))
+
+
+def test_unknown_init_raises(spark):
+    m = spark.createDataFrame([(1, 1, 1.0)], "row_id long, feature_id long, value double")
+    with pytest.raises(ValueError, match="plusplus"):
+        adaptive.init_centres(m, 1, 0, "plusplus")
