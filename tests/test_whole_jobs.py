@@ -8,7 +8,6 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from colsketch.llm import lm, quality, registry
 from colsketch.operators import adaptive
 from colsketch.operators import oblivious as O
 from colsketch.plans import catalog, solve, workloads
@@ -26,36 +25,6 @@ def test_ngrams_of_whole_texts(spark):
     assert got == pytest.approx({(i, ids[g]): (1 + math.log(n)) / size[i] for i, c in tf.items() for g, n in c.items()})
 
 
-def brute_scores(texts, order, alpha=0.4):
-    words = {i: (t or "").split() for i, t in texts.items()}
-    grams = {i: Counter(tuple(w[k : k + m]) for m in range(1, order + 1) for k in range(len(w) - m + 1)) for i, w in words.items()}
-    every, n, out = sum(grams.values(), Counter()), sum(map(len, words.values())), {}
-    for i, w in words.items():
-        c, total = every - grams[i], 0.0
-        for k in range(len(w)):
-            s = alpha ** (order - 1) * max(c[(w[k],)], 1) / n
-            for m in range(2, min(order, k + 1) + 1):
-                gram = tuple(w[k - m + 1 : k + 1])
-                s = alpha ** (order - m) * c[gram] / max(c[gram[:-1]], c[gram]) if c[gram] else s
-            total += math.log10(s)
-        out[i] = total / max(len(w), 1)
-    return out
-
-
-def test_lm_scores_of_order_three(spark):
-    texts = {1: "a b c d a b", 2: "a b c e", 3: "x b c d a b d", 4: None, 5: "a", 6: "q q q q"}
-    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
-    for order in (1, 2, 3, 4):
-        got = {r.doc_id: r.score for r in lm.backoff_scores(df, group_bytes=8, order=order).collect()}
-        assert got == pytest.approx(brute_scores(texts, order))
-
-
-def test_op8_uses_trigrams(spark, tmp_path):
-    texts = {1: "a b c d a b", 2: "a b c e", 3: "x b c d a b d"}
-    spark.createDataFrame(list(texts.items()), "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
-    assert {r.doc_id: r.score for r in registry.op8_lm_scoring(spark, str(tmp_path)).collect()} == pytest.approx(brute_scores(texts, 3))
-
-
 def test_every_row_and_dimension(spark, tmp_path):
     x = np.random.default_rng(1).normal(size=(430, 64)).astype(np.float32)
     spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>").write.parquet(str(tmp_path / "embeddings.parquet"))
@@ -101,17 +70,6 @@ def test_registered_experiments_are_the_published_ones(monkeypatch):
     assert all(a["cs"] == tuple(10.0**k for k in range(-5, 6)) and a["lams"] == (10.0, 20.0, 30.0, 40.0) for n, a in seen.items() if n.startswith("workload_tuning"))
 
 
-def test_op10_counts_all_trusted_texts(spark, tmp_path, monkeypatch):
-    spark.createDataFrame([(i, f"w{i} same") for i in range(40)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
-    spark.createDataFrame([(i, int(i < 30)) for i in range(40)] + [(0, 0), (99, 1), (None, 1)], "doc_id long, quality int").write.parquet(str(tmp_path / "labels.parquet"))
-    counted = []
-    monkeypatch.setattr(quality, "MAX_LABELLED", 5)
-    whole = quality.multinomial
-    monkeypatch.setattr(quality, "multinomial", lambda texts, buckets: counted.append(sorted(r.text for r in texts.select("text").collect())) or whole(texts, buckets))
-    assert registry.op10_quality_rules(spark, str(tmp_path)).count() == 40
-    assert counted[1] == sorted(f"w{i} same" for i in range(30))
-
-
 def test_unknown_init_raises(spark):
     m = spark.createDataFrame([(1, 1, 1.0)], "row_id long, feature_id long, value double")
     with pytest.raises(ValueError, match="plusplus"):
