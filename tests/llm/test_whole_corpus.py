@@ -1,8 +1,10 @@
 """Corpus operators that count over the whole input."""
 
 import math
+import random
 from collections import Counter
 
+import numpy as np
 import pytest
 
 from colsketch.llm import lm, quality, registry
@@ -47,3 +49,33 @@ def test_op10_counts_all_trusted_texts(spark, tmp_path, monkeypatch):
     monkeypatch.setattr(quality, "multinomial", lambda texts, buckets: counted.append(sorted(r.text for r in texts.select("text").collect())) or whole(texts, buckets))
     assert registry.op10_quality_rules(spark, str(tmp_path)).count() == 40
     assert counted[1] == sorted(f"w{i} same" for i in range(30))
+
+
+def test_lm_scores_of_many_random_texts(spark):
+    r = random.Random(4)
+    texts = {i: " ".join(f"w{min(r.randrange(1, 60), r.randrange(1, 60))}" for _ in range(r.choice([0, 1, 2, 7, 40, 90]))) for i in range(150)}
+    texts |= {200: None, 201: "", 202: texts[3], 203: "hot " * 700, 204: "w1 w2 w3 " * 400}
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(5, "doc_id")
+    for order, group in ((2, 1_000), (3, 300), (3, 8_000_000)):
+        got = {r.doc_id: r.score for r in lm.backoff_scores(df, group, order).collect()}
+        assert got == pytest.approx(brute_scores(texts, order))
+    counts = sorted(r.n for r in lm.count_table(df, 700, 3).collect())
+    words = [(t or "").split() for t in texts.values()]
+    assert counts == sorted(Counter(tuple(w[k : k + m]) for w in words for m in (1, 2, 3) for k in range(len(w) - m + 1)).values())
+
+
+def test_lm_packing():
+    r = np.random.default_rng(2)
+    for n in (0, 1, 9, 4000):
+        keys = np.unique(r.integers(0, 1 << 54, n, dtype=np.uint64))
+        assert (lm.unpack_keys(lm.pack_keys(keys), len(keys)) == keys).all()
+        counts = r.choice([1, 1, 2, 254, 255, 256, 1 << 40], len(keys))
+        assert (lm.unpack_counts(lm.pack_counts(counts), len(keys)) == counts).all()
+
+
+def test_lm_rows_are_linear(spark):
+    """Rows between groups and buckets never outnumber n-grams, however many groups there are."""
+    df = spark.createDataFrame([(i, f"a{i} b{i}") for i in range(300)], "doc_id long, text string").repartition(2)
+    _, asked, words = lm._grouped(df, 20, 2)
+    rows = asked.select("grp", "bucket", "n").collect()
+    assert words == 600 and len(rows) <= sum(r.n for r in rows) == 900 and len({r.grp for r in rows}) > 100
