@@ -3,8 +3,6 @@
 from __future__ import annotations
 
 import atexit
-import os
-import tempfile
 import uuid
 
 import numpy as np
@@ -12,30 +10,13 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import cut, shared_dir
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or one of our own where that is unset (tests)."""
-    context = spark.sparkContext
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        if not context.getCheckpointDir():
-            context.setCheckpointDir(named)
-        return named
-    if not context.getCheckpointDir():
-        context.setCheckpointDir(os.path.join(tempfile.gettempdir(), "colsketch-checkpoints"))
-    return context.getCheckpointDir()
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """The rows, written to the shared checkpoint folder: later jobs read them there even if executors are lost."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
 def stored(df: DataFrame) -> DataFrame:
     """As cut(), for large results: a Parquet table in the shared folder, read again. It stays until the process ends."""
     spark = df.sparkSession

@@ -178,17 +178,20 @@ def _scores(groups: pa.Table, answers: pa.Table, words: int, order: int) -> pa.T
         grams = [grams_of(block, order) for block in found]
         keys = np.concatenate([g for one in grams for g, _ in one])
         # Numbers of texts rise along each n-gram length of a block only, so the stable order is by key, block, length and text.
-        docs = np.concatenate([block.doc[first] + at for at, block, one in zip(np.cumsum([0, *(b.n_docs for b in found)]), found, grams, strict=False) for _, first in one])
+        docs = np.concatenate([(block.doc[first] + at).astype(np.int32) for at, block, one in zip(np.cumsum([0, *(b.n_docs for b in found)]), found, grams, strict=False) for _, first in one])
         order_ = np.argsort(keys, kind="stable")
         sorted_, owner = keys[order_], docs[order_]
-        new = np.append(True, sorted_[1:] != sorted_[:-1]) if len(keys) else np.zeros(0, bool)
+        del keys, docs
+        new = np.append(True, sorted_[1:] != sorted_[:-1]) if len(sorted_) else np.zeros(0, bool)
         fresh = new.copy()
         fresh[1:] |= owner[1:] != owner[:-1]
-        run = np.cumsum(fresh) - 1
-        rest = np.empty(len(keys), np.int64)
+        del sorted_, owner
+        run = np.cumsum(fresh, dtype=np.int32) - 1
+        rest = np.empty(len(run), np.int64)
         # The corpus count of each n-gram's occurrence less the count in its own text.
-        rest[order_] = (total[np.cumsum(new) - 1] - np.bincount(run)[run]) if len(keys) else 0
-        del keys, docs, sorted_, owner, new, fresh, run, order_
+        if len(run):
+            rest[order_] = total[np.cumsum(new, dtype=np.int32) - 1] - np.bincount(run)[run]
+        del new, fresh, run, order_
         at = 0
         for block, one in zip(found, grams, strict=True):
             n, doc = block.n_words, block.doc
