@@ -7,9 +7,12 @@ from __future__ import annotations
 
 import hashlib
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..session import cut
+
 PRIME = (1 << 31) - 1
 
 
@@ -49,6 +52,42 @@ def sign_of_sql(i: str, seed: int) -> str:
     return f"CAST(({h} % 2) * 2 - 1 AS INTEGER)"
 
 
+def _cubic(seed: int, role: str) -> list[int]:
+    return [coefficient(seed, role, k) for k in range(4)]
+
+
+def drawn(i: Column, fraction: float, seed: int, role: str) -> Column:
+    """Whether i is in a hash sample of that share: a cubic polynomial modulo 2^31 - 1 below fraction x (2^31 - 1)."""
+    c, x = _cubic(seed, role), F.pmod(i.cast("long"), F.lit(PRIME))
+    h = F.lit(c[0]).cast("long")
+    for k in c[1:]:
+        h = F.pmod(h * x + k, F.lit(PRIME))
+    return h < int(fraction * PRIME)
+
+
+def drawn_sql(i: str, fraction: float, seed: int, role: str) -> str:
+    c = _cubic(seed, role)
+    h = f"{c[0]}::BIGINT"
+    for k in c[1:]:
+        h = f"(({h} * ({i} % {PRIME}) + {k}) % {PRIME})"
+    return f"({h} < {int(fraction * PRIME)})"
+
+
+def drawn_array(i: np.ndarray, fraction: float, seed: int, role: str) -> np.ndarray:
+    """drawn() for an array of ids that are not negative."""
+    c, x = _cubic(seed, role), (i % PRIME).astype(np.uint64)
+    h = np.full(len(x), c[0], np.uint64)
+    for k in c[1:]:
+        h = (h * x + np.uint64(k)) % np.uint64(PRIME)
+    return h < int(fraction * PRIME)
+
+
+def random_columns(features: DataFrame, r: int, seed: int) -> DataFrame:
+    """(feature_id, bucket, sign) from Spark's generator, for statistics only: written once to the checkpoint folder, as
+    another evaluation could draw anew. The hash families give the same values everywhere and are the ones to sketch with."""
+    return cut(features.select("feature_id", F.floor(F.rand(seed) * r).cast("int").alias("bucket"), F.when(F.randn(seed + 1) < 0, -1).otherwise(1).alias("sign")))
+
+
 def uniform_of(seed: int, *parts: Column) -> Column:
     """A uniform draw in (0, 1) from the first 8 digits of an MD5."""
     text = F.concat_ws(":", F.lit(str(seed)), *[p.cast("string") for p in parts])

@@ -23,24 +23,24 @@ def energy(fm: FeatureMatrix) -> DataFrame:
 
 def reconstruction_error(fm: FeatureMatrix, fmap: DataFrame) -> DataFrame:
     """(error, relative): energy less the sum of squared group sums over group sizes."""
-    kept = signed_group_sums(fm, fmap).join(F.broadcast(group_sizes(fmap)), "bucket").agg(F.sum(F.col("t") * F.col("t") / F.col("size")).alias("kept"))
+    kept = signed_group_sums(fm, fmap).join(F.broadcast(group_sizes(fmap)), "bucket").agg(F.coalesce(F.sum(F.col("t") * F.col("t") / F.col("size")), F.lit(0.0)).alias("kept"))
     both = energy(fm).crossJoin(kept)  # one row each
-    return both.select((F.col("energy") - F.col("kept")).alias("error"), ((F.col("energy") - F.col("kept")) / F.col("energy")).alias("relative"))
+    return both.select((F.col("energy") - F.col("kept")).alias("error"), F.try_divide(F.col("energy") - F.col("kept"), F.col("energy")).alias("relative"))
 
 
 def kmeans_objective(fm: FeatureMatrix, fmap: DataFrame, centres: DataFrame) -> DataFrame:
     """Sum of squared distances of signed columns to their centres: energy - 2 products + sizes x squared norms."""
     sums = signed_group_sums(fm, fmap)
-    cross = sums.join(centres.select("row_id", "bucket", F.col("value").alias("c")), ["row_id", "bucket"]).agg(F.sum(F.col("t") * F.col("c")).alias("cross"))
-    norms = centres.groupBy("bucket").agg(F.sum(F.col("value") * F.col("value")).alias("sq")).join(F.broadcast(group_sizes(fmap)), "bucket").agg(F.sum(F.col("sq") * F.col("size")).alias("norms"))
+    cross = sums.join(centres.select("row_id", "bucket", F.col("value").alias("c")), ["row_id", "bucket"]).agg(F.coalesce(F.sum(F.col("t") * F.col("c")), F.lit(0.0)).alias("cross"))
+    norms = centres.groupBy("bucket").agg(F.sum(F.col("value") * F.col("value")).alias("sq")).join(F.broadcast(group_sizes(fmap)), "bucket").agg(F.coalesce(F.sum(F.col("sq") * F.col("size")), F.lit(0.0)).alias("norms"))
     return energy(fm).crossJoin(cross).crossJoin(norms).select((F.col("energy") - 2 * F.col("cross") + F.col("norms")).alias("objective"))
 
 
 def sparsity(sketch: DataFrame, rows: DataFrame, r: int) -> DataFrame:
-    """Share of zeros among rows x r cells."""
+    """Share of zeros among rows x r cells; null without rows."""
     n = rows.agg(F.count("*").alias("n"))
     filled = sketch.where("value != 0").agg(F.count("*").alias("filled"))
-    return n.crossJoin(filled).select("n", "filled", (1 - F.col("filled") / (F.col("n") * r)).alias("zeros"))
+    return n.crossJoin(filled).select("n", "filled", (1 - F.try_divide(F.col("filled"), F.col("n") * r)).alias("zeros"))
 
 
 def group_profile(fmap: DataFrame, r: int) -> DataFrame:
@@ -56,13 +56,17 @@ def orthonormality(fmap: DataFrame) -> DataFrame:
 def profile(fm: FeatureMatrix, labels: DataFrame | None = None, d: int | None = None) -> DataFrame:
     one = fm.entries.agg(F.count("*").alias("nnz"), F.countDistinct("feature_id").alias("met"))
     out = fm.rows.agg(F.count("*").alias("n")).crossJoin(one).withColumn("d", F.lit(d).cast("long") if d else F.col("met"))
-    out = out.select("n", "d", "nnz", (1 - F.col("nnz") / (F.col("n") * F.col("d"))).alias("zeros"))
+    out = out.select("n", "d", "nnz", (1 - F.try_divide(F.col("nnz"), F.col("n") * F.col("d"))).alias("zeros"))
     return out.crossJoin(labels.agg(F.countDistinct("label").alias("classes"))) if labels is not None else out
 
 
-def l1_feasible(centres: DataFrame, lam: float, eps: float) -> DataFrame:
+def l1_feasible(centres: DataFrame, lam: float, eps: float, before: DataFrame | None = None) -> DataFrame:
+    """(centres, outside, below): projected centres with too large a norm, and, of those that lay outside the ball before, with too small a one."""
     norms = centres.groupBy("bucket").agg(F.sum(F.abs("value")).alias("l1"))
-    return norms.agg(F.count("*").alias("centres"), F.count_if(F.col("l1") > lam * (1 + eps) * (1 + 1e-9)).alias("outside"))
+    was = (before if before is not None else centres).groupBy("bucket").agg(F.sum(F.abs("value")).alias("was"))
+    both = was.join(norms, "bucket", "full").select(F.coalesce("l1", F.lit(0.0)).alias("l1"), F.coalesce("was", F.lit(0.0)).alias("was"))
+    low = (F.col("was") > lam * (1 + eps)) & (F.col("l1") < lam * (1 - 1e-9))
+    return both.agg(F.count("*").alias("centres"), F.count_if(F.col("l1") > lam * (1 + eps) * (1 + 1e-9)).alias("outside"), F.count_if(low).alias("below"))
 
 
 def prediction_ops(fm: FeatureMatrix, sketch: DataFrame | None, method: str, r: int, d: int) -> DataFrame:

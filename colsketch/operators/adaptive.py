@@ -1,8 +1,13 @@
 """The learned sketch: k-means on signed columns whose centres are kept inside an L1 ball, in full batch and in mini-batches.
 
-Centres are stored by row, (row_id, bucket, value): no centre is ever in one place. A pass has one join on row_id whose
-result is combined to (feature, bucket) sums, one argmin for each feature, and one sum for each (row, bucket). Marked
-choices: rate 1 / (2 size) by default, 5 passes, ties to the lowest bucket, empty groups keep their centres.
+Centres are stored by row: no centre is ever in one place. The steps are given as relations over (row_id, bucket, value)
+and, for learning, as row-local kernels (row_kernels) over lists, which the matrix is written to once. A pass joins the
+rows with their part of the centres, without moving the matrix, sends (feature, bucket) products once, takes an argmin for
+each feature, and sums each row by bucket through the map, which is sent to all tasks up to MAX_BROADCAST features and
+joined beyond. A pass's thresholds stay pending: they are applied where centres are read, which are never rewritten for it.
+
+Choices: rate 1 / (2 size) by default, 5 passes, ties to the lowest bucket, empty groups keep their centres unless
+reseed_empty. A matrix with fewer columns than r raises ValueError; one without entries has no model.
 """
 
 from __future__ import annotations
@@ -10,28 +15,63 @@ from __future__ import annotations
 import json
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import bucket_of, sample_features, sign_of
+from ..functions.hashing import bucket_of, sample_features, sign_of, uniform_of
+from ..session import cut
 from ..sources.matrix import FeatureMatrix
-from . import l1ball
+from . import l1ball, row_kernels
 from .oblivious import feature_map, group_sizes
 
+#: Features whose (id, bucket, flip) go to every task, about 50 MB; larger maps are joined.
+MAX_BROADCAST = 4_000_000
+#: Non-zeros that a partition of the matrix has at least while there are fewer partitions than the session's.
+PART_ENTRIES = 50_000
+
 
 def signed(fm: FeatureMatrix, seed: int, signs: str = "random") -> DataFrame:
     return fm.entries.select("row_id", "feature_id", (F.col("value") * sign_of(F.col("feature_id"), seed, signs)).alias("value"))
 
 
+INITS = ("columns", "nonempty", "oblivious_groups", "plusplus")
+
+
 def init_centres(m: DataFrame, r: int, seed: int, init: str = "columns", signs: str = "random") -> DataFrame:
-    """r signed columns picked by hash; or the means of count-sketch's own groups (extension), from which error cannot rise."""
-    if init not in ("columns", "oblivious_groups"):
+    """r signed columns picked by hash; the means of count-sketch's own groups (extension), from which error cannot rise; or
+    'plusplus' (extension): each next column drawn in proportion to its squared distance from those picked so far.
+
+    A column without entries has no id, so 'columns' never picks one and 'nonempty' is the same.
+    """
+    if init not in INITS:
         raise ValueError(f"unknown init {init!r}")
     features = m.select("feature_id").distinct()
     if init == "oblivious_groups":
         return means(m, feature_map(features, r, seed, signs))
-    picked = F.broadcast(sample_features(features, r, seed))  # r rows
-    return m.join(picked, "feature_id").select("row_id", "bucket", "value")
+    picked = spread_columns(m, r, seed) if init == "plusplus" else sample_features(features, r, seed)
+    return m.join(F.broadcast(picked), "feature_id").select("row_id", "bucket", "value")  # r rows
+
+
+def spread_columns(m: DataFrame, r: int, seed: int) -> DataFrame:
+    """(feature_id, bucket): r passes, each with the products of one column; the draw is the least -ln(u) / distance."""
+    sizes = column_norms(m)
+    first = sample_features(m.select("feature_id").distinct(), 1, seed, "/spread").first()
+    picked = [first.feature_id] if first is not None else []
+    least = cut(sizes.withColumn("least", F.lit(float("inf"))))
+    while picked and len(picked) < r:
+        one = m.where(F.col("feature_id") == picked[-1]).select("row_id", F.col("value").alias("c"))
+        sq = sizes.where(F.col("feature_id") == picked[-1]).first().sq
+        cross = m.join(one, "row_id").groupBy("feature_id").agg(F.sum(F.col("value") * F.col("c")).alias("product"))
+        near = F.greatest(F.lit(0.0), F.col("sq") - 2 * F.coalesce("product", F.lit(0.0)) + sq)
+        least = cut(least.join(cross, "feature_id", "left").select("feature_id", "sq", F.least("least", near).alias("least")))
+        left = least.where(~F.col("feature_id").isin(picked))
+        found = left.orderBy(F.try_divide(-F.log(uniform_of(seed + len(picked), F.col("feature_id"))), "least").asc_nulls_last(), "feature_id").first()
+        if found is None:
+            break
+        picked.append(found.feature_id)
+    return m.sparkSession.createDataFrame([(f, b) for b, f in enumerate(picked)], "feature_id long, bucket int")
 
 
 def cross_products(m: DataFrame, centres: DataFrame) -> DataFrame:
@@ -129,23 +169,40 @@ def gradient(m: DataFrame, fmap: DataFrame, centres: DataFrame) -> DataFrame:
     return both.join(sizes, "bucket").select("row_id", "bucket", (-2 * (F.col("t") - F.col("size") * F.col("c"))).alias("value"))
 
 
-def step(m: DataFrame, fmap: DataFrame, centres: DataFrame, rate="per_centre", counts: dict | None = None, turn: int = 1) -> DataFrame:
-    """One gradient step. rate: 'per_centre', ('constant', eta), ('decay', eta0), or 'running_mean' with cumulative counts."""
-    sizes = {x.bucket: x.size_ for x in group_sizes(fmap).withColumnRenamed("size", "size_").collect()}  # r rows
+def rates(sizes: dict[int, int], rate, counts: dict | None = None, turn: int = 1) -> dict[int, float]:
+    """The rate of each group by its size. rate: 'per_centre' (or 'per_batch', the same on a batch's sizes), ('constant', eta),
+    ('decay', eta0), or 'running_mean' with cumulative counts, which it adds to."""
     if rate == "running_mean":
         for b, n in sizes.items():
             counts[b] = counts.get(b, 0) + n
-        eta = {b: 1 / (2 * counts[b]) for b in sizes}
-    elif rate == "per_centre":
-        eta = {b: 1 / (2 * n) for b, n in sizes.items()}
-    else:
-        kind, e = rate
-        eta = {b: e / (turn if kind == "decay" else 1) for b in sizes}
-        if kind == "constant" and sizes and e >= 1 / max(sizes.values()):
-            raise ValueError("a constant rate must be below 1 / the largest group's size")
-    spark = m.sparkSession
-    keep = {b: 0.0 if abs(1 - 2 * eta[b] * n) < 1e-12 else 1 - 2 * eta[b] * n for b, n in sizes.items()}
-    plan = F.broadcast(spark.createDataFrame([(b, float(keep[b]), float(2 * eta[b]), int(sizes[b])) for b in sizes] or [(-1, 1.0, 0.0, 1)], "bucket int, keep double, gain double, n long"))
+        return {b: 1 / (2 * counts[b]) for b in sizes}
+    if rate in ("per_centre", "per_batch"):
+        return {b: 1 / (2 * n) for b, n in sizes.items()}
+    kind, e = rate
+    if kind not in ("constant", "decay"):
+        raise ValueError(f"unknown rate {rate!r}")
+    if kind == "constant" and sizes and e >= 1 / max(sizes.values()):
+        raise ValueError("a constant rate must be below 1 / the largest group's size")
+    return {b: e / (turn if kind == "decay" else 1) for b in sizes}
+
+
+def moves(sizes: dict[int, int], eta: dict[int, float]) -> list[tuple[int, float, float, int]]:
+    """(bucket, keep, gain, size): a step is keep x centre + gain x the group's sum, or the group's mean where keep is 0."""
+    return [(b, 0.0 if abs(1 - 2 * eta[b] * n) < 1e-12 else 1 - 2 * eta[b] * n, 2 * eta[b], n) for b, n in sizes.items()]
+
+
+def sizes_of(fmap: DataFrame) -> dict[int, int]:
+    return {b: n for b, n in group_sizes(fmap).select("bucket", "size").collect()}  # r rows
+
+
+def step(m: DataFrame, fmap: DataFrame, centres: DataFrame, rate="per_centre", counts: dict | None = None, turn: int = 1) -> DataFrame:
+    """One gradient step of the groups in fmap; others keep their centres. For rate see rates()."""
+    sizes = sizes_of(fmap)
+    return stepped(m, fmap, centres, moves(sizes, rates(sizes, rate, counts, turn)))
+
+
+def stepped(m: DataFrame, fmap: DataFrame, centres: DataFrame, plan: list[tuple[int, float, float, int]]) -> DataFrame:
+    plan = F.broadcast(m.sparkSession.createDataFrame([(b, float(k), float(g), int(n)) for b, k, g, n in plan], "bucket int, keep double, gain double, n long"))
     sums = group_sums(m, fmap).select("row_id", "bucket", F.col("total").alias("t"), F.lit(0.0).alias("c"))
     held = centres.select("row_id", "bucket", F.lit(0.0).alias("t"), F.col("value").alias("c"))
     both = sums.unionByName(held).groupBy("row_id", "bucket").agg(F.sum("t").alias("t"), F.sum("c").alias("c"))
@@ -161,9 +218,10 @@ class SketchModel:
     meta: dict = field(default_factory=dict)
 
     def training_sketch(self) -> DataFrame:
+        """The sparse centres of the last pass, one column of the sketch each."""
         return self.centres
 
-    def transform(self, fm: FeatureMatrix, shrink: str = "theta", unseen: str = "drop", max_broadcast: int = 20_000_000) -> DataFrame:
+    def transform(self, fm: FeatureMatrix, shrink: str = "theta", unseen: str = "drop", max_broadcast: int = MAX_BROADCAST) -> DataFrame:
         """New rows: group means of signed values; shrink 'none', 'theta' (stored thresholds, extension) or 'project'.
 
         unseen 'hash' gives features that were not met the group of a count-sketch.
@@ -193,66 +251,185 @@ class SketchModel:
         return SketchModel(spark.read.parquet(f"{path}/map"), spark.read.parquet(f"{path}/groups"), None, meta)
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the session names for checkpoints; one of our own only where none is named, as in tests."""
-    import tempfile
+@dataclass
+class PendingCentres:
+    """Centres before their projection, in lists by row, and the thresholds that a reader applies; none where already applied."""
+
+    rows: DataFrame  # row_id, cb, cv
+    theta: dict[int, float] | None
+    parts: int
+
+    @staticmethod
+    def of(coordinates: DataFrame, parts: int) -> PendingCentres:
+        lists = coordinates.repartition(parts, "row_id").groupBy("row_id").agg(F.collect_list("bucket").alias("cb"), F.collect_list("value").alias("cv"))
+        return PendingCentres(cut(lists), None, parts)
 
-    return spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="colsketch-")
+    def raw(self) -> DataFrame:
+        return self.rows.select("row_id", F.explode(F.arrays_zip("cb", "cv")).alias("x")).select("row_id", F.col("x.cb").alias("bucket"), F.col("x.cv").alias("value"))
 
+    def sketch(self) -> DataFrame:
+        if not self.theta:
+            return self.raw()
+        t = self.rows.sparkSession.createDataFrame(list(self.theta.items()), "bucket int, theta double")
+        return l1ball.shrunk(self.raw(), t)
 
-def cut(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint in the folder that the session names, so that a lost executor costs no earlier pass."""
-    context = df.sparkSession.sparkContext
-    if not context.getCheckpointDir():
-        context.setCheckpointDir(shared_dir(df.sparkSession))
-    return df.checkpoint()
+    def thresholds(self, r: int) -> np.ndarray:
+        out = np.zeros(r)
+        for b, t in (self.theta or {}).items():
+            out[b] = t
+        return out
 
 
-def _model(m: DataFrame, fmap: DataFrame, theta: DataFrame | None, centres: DataFrame, seed: int, signs: str, meta: dict) -> SketchModel:
-    sizes = group_sizes(fmap)
-    groups = sizes.join(theta, "bucket", "left") if theta is not None else sizes.withColumn("theta", F.lit(0.0))
-    sign = sign_of(F.col("feature_id"), seed, "random" if signs == "learned" else signs)
-    fmap = fmap.select("feature_id", "bucket", (sign * F.col("flip") if "flip" in fmap.columns else sign).alias("sign"))
-    return SketchModel(cut(fmap), cut(groups.select("bucket", "size", F.coalesce("theta", F.lit(0.0)).alias("theta"))), centres, meta | {"d": m.select("feature_id").distinct().count()})
+@dataclass
+class _Map:
+    """The groups of features: on the driver up to MAX_BROADCAST features, else a table (feature_id, bucket, flip, dist)."""
 
+    ids: np.ndarray | None
+    bucket: np.ndarray | None
+    flip: np.ndarray | None
+    table: DataFrame
 
-def learn_full(fm: FeatureMatrix, r: int, iters: int = 5, lam=None, eps: float = 0.1, seed: int = 0, rate="per_centre", init: str = "columns", signs: str = "random", tol: float | None = None, row_sketch: int | None = None) -> SketchModel:
+    @staticmethod
+    def of(found: DataFrame, d: int) -> _Map:
+        if d > MAX_BROADCAST:
+            return _Map(None, None, None, cut(found))
+        t = found.toArrow()
+        order = np.argsort(np.asarray(t.column("feature_id")))
+        ids, bucket, flip = (np.asarray(t.column(c))[order] for c in ("feature_id", "bucket", "flip"))
+        return _Map(ids, bucket, flip, found.sparkSession.createDataFrame(t.select(["feature_id", "bucket", "flip", "dist"]).cast(pa.schema([("feature_id", pa.int64()), ("bucket", pa.int32()), ("flip", pa.int32()), ("dist", pa.float64())]))))
+
+    def sizes(self) -> dict[int, int]:
+        if self.ids is None:
+            return sizes_of(self.table)
+        return {b: int(n) for b, n in enumerate(np.bincount(self.bucket)) if n}
+
+    def moved(self, before: _Map) -> float:
+        if self.ids is None:
+            return moved_share(before.table, self.table)
+        return float((self.bucket != before.bucket).mean()) if len(self.ids) else 0.0
+
+
+class _Learner:
+    """A matrix written once as signed rows, and the passes over it."""
+
+    def __init__(self, fm: FeatureMatrix, r: int, seed: int, signs: str, lam, eps: float):
+        self.r, self.seed, self.signs, self.eps = r, seed, signs, eps
+        self.drawn = "random" if signs == "learned" else signs
+        m = signed(fm, seed, self.drawn)
+        nnz, self.d, l1 = m.agg(F.count("*"), F.countDistinct("feature_id"), F.sum(F.abs("value"))).first()
+        if self.d < r:
+            raise ValueError(f"{self.d} columns with entries are fewer than the {r} centres")
+        self.lam = lam[1] * l1 / self.d if isinstance(lam, tuple) else lam
+        spark = m.sparkSession
+        most = int(spark.conf.get("spark.sql.shuffle.partitions"))
+        self.parts = max(1, min(most, -(-nnz // PART_ENTRIES)))
+        # Products of a feature partition's columns with all centres fit a task.
+        self.feature_parts = max(self.parts, -(-self.d * r // 4_000_000))
+        lists = m.repartition(self.parts, "row_id").groupBy("row_id").agg(F.collect_list("feature_id").alias("idx"), F.collect_list("value").alias("val"))
+        self.rows = cut(lists.sortWithinPartitions("row_id"))
+        self.counts: dict[int, int] = {}
+
+    def entries(self) -> DataFrame:
+        return self.rows.select("row_id", F.explode(F.arrays_zip("idx", "val")).alias("x")).select("row_id", F.col("x.idx").alias("feature_id"), F.col("x.val").alias("value"))
+
+    def start(self, init: str) -> PendingCentres:
+        return PendingCentres.of(init_centres(self.entries(), self.r, self.seed, init, self.drawn), self.parts)
+
+    def norms(self, centres: PendingCentres) -> np.ndarray:
+        out = np.zeros(self.r)
+        for x in l1ball.stats(centres.sketch()).select("bucket", "sq").collect():  # r rows
+            out[x.bucket] = x.sq
+        return out
+
+    def assign(self, centres: PendingCentres, norms: np.ndarray, batch: tuple[float, str] | None = None) -> _Map:
+        """batch: the share of the features that take part, and the role of the draw."""
+        theta, parts, r, seed, both = centres.thresholds(self.r), self.feature_parts, self.r, self.seed, self.signs == "learned"
+        joined = self.rows.join(centres.rows, "row_id", "left")
+        products = joined.mapInArrow(lambda it: row_kernels.products(it, theta, parts, r, seed, batch), row_kernels.PRODUCTS)
+        found = products.groupBy("part").applyInArrow(lambda t: row_kernels.nearest(t, norms, both), row_kernels.NEAREST)
+        return _Map.of(found, self.d)
+
+    def step(self, centres: PendingCentres, fmap: _Map, rate, turn: int) -> tuple[PendingCentres, np.ndarray]:
+        """The centres after a gradient step, with pending thresholds, and their squared norms."""
+        sizes = fmap.sizes()
+        plan = moves(sizes, rates(sizes, rate, self.counts, turn))
+        if fmap.ids is None:
+            m = self.entries().join(fmap.table.select("feature_id", "flip"), "feature_id").select("row_id", "feature_id", (F.col("value") * F.col("flip")).alias("value"))
+            moved = PendingCentres.of(stepped(m, fmap.table, centres.sketch(), plan), self.parts)
+        else:
+            theta, r = centres.thresholds(self.r), self.r
+            table = row_kernels.move_table(plan, r)
+            sent = self.rows.sparkSession.sparkContext.broadcast((fmap.ids, fmap.bucket.astype(np.int32), fmap.flip.astype(np.int8)))
+            joined = self.rows.join(centres.rows, "row_id", "left")
+            moved = PendingCentres(cut(joined.mapInArrow(lambda it: row_kernels.steps(it, theta, sent, table, r), row_kernels.CENTRES).repartition(self.parts, "row_id")), None, self.parts)
+        norms = np.zeros(self.r)
+        if self.lam:
+            found = l1ball.solved(moved.raw(), self.lam, self.eps)  # r rows
+            moved.theta = {b: t for b, t, *_ in found}
+            for b, *_, sq in found:
+                norms[b] = sq
+            return moved, norms
+        return moved, self.norms(moved)
+
+    def model(self, centres: PendingCentres, fmap: _Map, meta: dict) -> SketchModel:
+        sign = sign_of(F.col("feature_id"), self.seed, self.drawn) * F.col("flip")
+        spark = self.rows.sparkSession
+        theta = centres.theta or {}
+        groups = spark.createDataFrame([(b, n, float(theta.get(b, 0.0))) for b, n in fmap.sizes().items()], "bucket int, size long, theta double")
+        meta = {"r": self.r, "lam": self.lam, "eps": self.eps, "seed": self.seed, "signs": self.signs, "d": self.d} | meta
+        return SketchModel(cut(fmap.table.select("feature_id", "bucket", sign.cast("int").alias("sign"))), groups, centres.sketch(), meta)
+
+
+def learn_full(fm: FeatureMatrix, r: int, iters: int = 5, lam=None, eps: float = 0.1, seed: int = 0, rate="per_centre", init: str = "columns", signs: str = "random", tol: float | None = None, row_sketch: int | None = None, reseed_empty: bool = False) -> SketchModel:
     """Full batch: assign every column, step every centre, project every centre; iters times. lam None is plain k-means.
 
     Extensions: lam ('relative', f); signs 'learned'; tol ends when at most that share of columns moved; row_sketch
-    assigns on rows hashed to that many sums, while centres stay exact.
+    assigns on rows hashed to that many sums, while centres stay exact; reseed_empty moves the centres of empty groups to
+    the columns that are farthest from theirs.
     """
-    drawn = "random" if signs == "learned" else signs
-    m = cut(signed(fm, seed, drawn).repartition("row_id"))
-    lam = ball_size(m, lam)
-    short = cut(row_sketched(m, "feature_id", row_sketch, seed)) if row_sketch else m
-    centres, fmap, theta, turns = cut(init_centres(m, r, seed, init, drawn)), None, None, 0
+    work = _Learner(fm, r, seed, signs, lam, eps)
+    centres = work.start(init)
+    norms, fmap, turn = work.norms(centres), None, 0
+    short = cut(row_sketched(work.entries(), "feature_id", row_sketch, seed)) if row_sketch else None
     for turn in range(1, iters + 1):
-        seen = row_sketched(centres, "bucket", row_sketch, seed) if row_sketch else centres
-        before, fmap, now = fmap, cut(free_signs(short, seen, r) if signs == "learned" else assign(short, seen, r)), m
-        if signs == "learned":
-            now = m.join(fmap.select("feature_id", "flip"), "feature_id").select("row_id", "feature_id", (F.col("value") * F.col("flip")).alias("value"))
-        moved = cut(step(now, fmap, centres, rate, turn=turn))
-        theta = cut(l1ball.thresholds(moved, lam, eps).select("bucket", "theta")) if lam else None
-        centres = cut(moved.join(F.broadcast(theta), "bucket", "left").select("row_id", "bucket", l1ball.soft(F.col("value"), F.coalesce("theta", F.lit(0.0))).alias("value")).where("value != 0")) if lam else moved
-        turns = turn
-        if tol is not None and before is not None and moved_share(before, fmap) <= tol:
+        before = fmap
+        if short is None:
+            fmap = work.assign(centres, norms)
+        else:
+            seen = row_sketched(centres.sketch(), "bucket", row_sketch, seed)
+            found = free_signs(short, seen, r) if signs == "learned" else assign(short, seen, r).withColumn("flip", F.lit(1))
+            fmap = _Map.of(found.withColumn("dist", F.lit(0.0)), work.d)
+        centres, norms = work.step(centres, fmap, rate, turn)
+        if reseed_empty and short is None:
+            centres, norms = _reseeded(work, centres, norms, fmap)
+        if tol is not None and before is not None and fmap.moved(before) <= tol:
             break
-    return _model(m, fmap, theta, centres, seed, signs, {"method": "learned_full", "r": r, "iters": turns, "lam": lam, "eps": eps, "seed": seed, "signs": signs, "init": init})
-
-
-def learn_minibatch(fm: FeatureMatrix, r: int, iters: int = 10, batch_fraction: float = 0.1, lam=None, eps: float = 0.1, seed: int = 0, rate="running_mean", signs: str = "random") -> SketchModel:
-    """As learn_full() on a fresh hash sample of columns each pass, r at least; all columns are assigned at the end."""
-    m = cut(signed(fm, seed, signs).repartition("row_id"))
-    lam = ball_size(m, lam)
-    features = cut(m.select("feature_id").distinct())
-    n = max(r, int(features.count() * batch_fraction))
-    centres, counts, theta = cut(init_centres(m, r, seed, "columns", signs)), {}, None
+    return work.model(centres, fmap, {"method": "learned_full", "iters": turn, "init": init})
+
+
+def _reseeded(work: _Learner, centres: PendingCentres, norms: np.ndarray, fmap: _Map) -> tuple[PendingCentres, np.ndarray]:
+    empty = sorted(set(range(work.r)) - set(fmap.sizes()))
+    if not empty:
+        return centres, norms
+    far = fmap.table.join(column_norms(work.entries()), "feature_id").orderBy(F.desc(F.col("dist") + F.col("sq")), "feature_id").limit(len(empty)).select("feature_id").collect()
+    picked = work.rows.sparkSession.createDataFrame([(x.feature_id, b) for x, b in zip(far, empty, strict=False)], "feature_id long, bucket int")
+    fresh = work.entries().join(F.broadcast(picked), "feature_id").select("row_id", "bucket", "value")
+    if work.lam:
+        fresh = l1ball.project(fresh, work.lam, work.eps)
+    kept = centres.sketch().join(F.broadcast(picked.select("bucket")), "bucket", "left_anti").select("row_id", "bucket", "value")
+    centres = PendingCentres.of(kept.unionByName(fresh), work.parts)
+    return centres, work.norms(centres)
+
+
+def learn_minibatch(fm: FeatureMatrix, r: int, iters: int = 10, batch_fraction: float = 0.1, lam=None, eps: float = 0.1, seed: int = 0, rate="running_mean", signs: str = "random", init: str = "columns") -> SketchModel:
+    """As learn_full() on a fresh hash sample of columns each pass, batch_fraction of them; all columns are assigned at the end."""
+    if not 0 < batch_fraction <= 1:
+        raise ValueError("batch_fraction must be above 0 and at most 1")
+    work = _Learner(fm, r, seed, signs, lam, eps)
+    centres = work.start(init)
+    norms = work.norms(centres)
     for turn in range(1, iters + 1):
-        picked = sample_features(features, n, seed, f"/batch{turn}").select("feature_id")
-        batch = cut(m.join(picked, "feature_id", "left_semi"))
-        fmap = cut(assign(batch, centres, r))
-        moved = cut(step(batch, fmap, centres, rate, counts, turn))
-        theta = cut(l1ball.thresholds(moved, lam, eps).select("bucket", "theta")) if lam else None
-        centres = cut(moved.join(F.broadcast(theta), "bucket", "left").select("row_id", "bucket", l1ball.soft(F.col("value"), F.coalesce("theta", F.lit(0.0))).alias("value")).where("value != 0")) if lam else moved
-    return _model(m, cut(assign(m, centres, r)), theta, centres, seed, signs, {"method": "learned_minibatch", "r": r, "iters": iters, "batch": n, "lam": lam, "eps": eps, "seed": seed, "signs": signs})
+        batch = work.assign(centres, norms, (batch_fraction, f"batch{turn}"))
+        centres, norms = work.step(centres, batch, rate, turn)
+    fmap = work.assign(centres, norms)
+    return work.model(centres, fmap, {"method": "learned_minibatch", "iters": iters, "batch_fraction": batch_fraction})

@@ -12,6 +12,8 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..session import cut
+
 ENTRIES = T.StructType([T.StructField("row_id", T.LongType()), T.StructField("feature_id", T.LongType()), T.StructField("value", T.DoubleType())])
 SEPARATORS = "[ \\t\\r\\n]+"
 
@@ -149,8 +151,6 @@ def dense_ids(fm: FeatureMatrix) -> tuple[FeatureMatrix, DataFrame]:
 
     Ranks come from range partitions and the partitions' sizes; no partition holds all features.
     """
-    from ..operators.adaptive import cut
-
     placed = cut(fm.features().repartitionByRange("feature_id").select("feature_id", F.spark_partition_id().alias("part")))
     sizes, start, offsets = {x.part: x.n for x in placed.groupBy("part").agg(F.count("*").alias("n")).collect()}, 0, []  # one figure a partition
     for part in sorted(sizes):

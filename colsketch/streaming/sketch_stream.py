@@ -9,7 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import bucket_of, sign_of
-from ..operators.adaptive import SketchModel, shared_dir
+from ..operators.adaptive import SketchModel
+from ..session import shared_dir
 
 
 def read_events(spark: SparkSession, path: str, schema) -> DataFrame:
