@@ -11,7 +11,7 @@ from __future__ import annotations
 from typing import NamedTuple
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -81,31 +81,42 @@ def _histogram(centres: DataFrame, search: list[_Search]) -> DataFrame:
     return a.groupBy("bucket", cell.alias("cell")).agg(F.count("*").alias("n"), F.sum("a").alias("total"), F.sum(F.col("a") * F.col("a")).alias("sq"))
 
 
-def _suffixes(g: pd.DataFrame, s: _Search) -> tuple[np.ndarray, ...]:
+def _suffixes(cells: np.ndarray, figures: tuple[np.ndarray, ...], s: _Search) -> tuple[np.ndarray, ...]:
     """At each edge between cells, the number, the sum and the sum of squares of the magnitudes from there on."""
     out = []
-    for column, beyond in ((g.n, s.n), (g.total, s.total), (g.sq, s.sq)):
+    for column, beyond in zip(figures, (s.n, s.total, s.sq), strict=True):
         x = np.zeros(CELLS + 1)
-        x[g.cell] = column
+        x[cells] = column
         x[CELLS] = beyond
         out.append(x[::-1].cumsum()[::-1])
     return tuple(out)
 
 
-def _narrowed(centres: DataFrame, search: list[_Search], replay) -> list:
-    """replay(cells, search) for each centre, where its cells are; the figures of r rows reach the driver."""
-    by = {s.bucket: s for s in search}
+_FOUND = pa.schema([("bucket", pa.int32()), ("low", pa.float64()), ("high", pa.float64()), ("n", pa.int64()), ("total", pa.float64()), ("sq", pa.float64()), ("halvings", pa.int32()), ("l1", pa.float64()), ("theta", pa.float64())])
+#: Centres whose histograms, CELLS rows each at most, are replayed in one task.
+TOGETHER = 256
+
 
-    def run(g: pd.DataFrame) -> pd.DataFrame:
-        s = by[int(g.bucket.iloc[0])]
-        return pd.DataFrame([replay(g, s)], columns=["bucket", "low", "high", "n", "total", "sq", "halvings", "l1", "theta"])
+def _narrowed(centres: DataFrame, search: list[_Search], replay) -> list[tuple]:
+    """replay(suffixes, search) for each centre, where its cells are; the figures of r rows reach the driver."""
+    by = {s.bucket: s for s in search}
 
-    # A group has CELLS rows at most, whatever the number of rows of the matrix.
-    rows = _histogram(centres, search).groupBy("bucket").applyInPandas(run, "bucket int, low double, high double, n long, total double, sq double, halvings int, l1 double, theta double")
+    def run(table: pa.Table) -> pa.Table:
+        bucket = np.asarray(table.column("bucket"))
+        order = np.argsort(bucket, kind="stable")
+        cell, *figures = (np.asarray(table.column(c))[order] for c in ("cell", "n", "total", "sq"))
+        bucket, out = bucket[order], []
+        for b in np.unique(bucket).tolist():
+            x, y = np.searchsorted(bucket, [b, b + 1])
+            out.append(replay(_suffixes(cell[x:y], tuple(f[x:y] for f in figures), by[b]), by[b]))
+        return pa.table([pa.array(c, t) for c, t in zip(zip(*out, strict=True), _FOUND.types, strict=True)], schema=_FOUND)
+
+    # A group has TOGETHER x CELLS rows at most, whatever the number of rows of the matrix.
+    rows = _histogram(centres, search).groupBy(F.floor(F.col("bucket") / TOGETHER)).applyInArrow(run, "bucket int, low double, high double, n long, total double, sq double, halvings int, l1 double, theta double")
     found = [tuple(r) for r in rows.collect()]
     # Between the bounds of the others no magnitude lies: what is left is linear there.
-    nothing = pd.DataFrame({"cell": np.zeros(0, int), "n": np.zeros(0), "total": np.zeros(0), "sq": np.zeros(0)})
-    return found + [replay(nothing, s) for b, s in by.items() if b not in {r[0] for r in found}]
+    nothing, met = np.zeros(0, int), {r[0] for r in found}
+    return found + [replay(_suffixes(nothing, (nothing,) * 3, s), s) for b, s in by.items() if b not in met]
 
 
 def _starts(centres: DataFrame, most: float) -> tuple[list, list[_Search]]:
@@ -122,8 +133,8 @@ def solved(centres: DataFrame, lam: float, eps: float = 0.1) -> list[tuple[int,
         return [tuple(r) for r in _exact(centres, lam).collect()]
     done, search = _starts(centres, lam * (1 + eps))
 
-    def replay(g: pd.DataFrame, s: _Search) -> tuple:
-        n, total, sq = _suffixes(g, s)
+    def replay(sums: tuple[np.ndarray, ...], s: _Search) -> tuple:
+        n, total, sq = sums
         width = (s.high - s.low) / CELLS
         low, high, k = 0, CELLS, s.halvings
         while high - low > 1 and k < MOST_HALVINGS:
@@ -154,8 +165,8 @@ def _exact(centres: DataFrame, lam: float) -> DataFrame:
     if not search:
         return inside
 
-    def replay(g: pd.DataFrame, s: _Search) -> tuple:
-        n, total, sq = _suffixes(g, s)
+    def replay(sums: tuple[np.ndarray, ...], s: _Search) -> tuple:
+        n, total, sq = sums
         edges = s.high * np.arange(CELLS + 1) / CELLS
         at = int(np.flatnonzero(total - edges * n > lam)[-1])  # the last edge at which too much is left
         return s.bucket, edges[at], edges[at + 1], int(n[at + 1]), total[at + 1], sq[at + 1], 0, s.l1, None

@@ -9,7 +9,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import bucket_of, normal_of, sample_features, sign_of, uniform_of
+from ..functions.hashing import PRIME, bucket_of, coefficient, normal_of, sample_features, sign_of, uniform_of
+from ..session import cut
 from ..sources.matrix import FeatureMatrix
 
 SKETCH = "row_id long, bucket int, value double"
@@ -37,16 +38,28 @@ def countsketch(fm: FeatureMatrix, r: int, seed: int, scale: str = "sum", signs:
     return out.join(sizes, "bucket").select("row_id", "bucket", (F.col("value") / by).alias("value"))
 
 
-def gaussian(fm: FeatureMatrix, r: int, seed: int, variance: str = "per_d", d: int | None = None) -> DataFrame:
-    """Every (feature, bucket) has a normal coefficient of variance 1/d, or 1/r; coefficients come from hashes, R is never stored."""
-    d = d or fm.d or fm.features().count()
+def gaussian(fm: FeatureMatrix, r: int, seed: int, variance: str = "per_d", d: int | None = None, family: str = "md5") -> DataFrame:
+    """Every (feature, bucket) has a normal coefficient of variance 1/d, or 1/r; coefficients come from hashes, R is never stored.
+
+    family 'md5' has a SQL twin and makes a row for each non-zero and bucket; 'hash64' is the one for large matrices, a
+    row-local product with coefficients made for the features of a block of rows.
+    """
+    scale = float((d or fm.d or fm.features().count()) if variance == "per_d" else r) ** 0.5
+    if family == "hash64":
+        return _projected(fm, r, lambda f: normals(f, r, seed) / scale)
     e = fm.entries.select("row_id", "feature_id", "value", F.explode(F.sequence(F.lit(0), F.lit(r - 1))).alias("bucket"))
-    g = normal_of(seed, F.col("feature_id"), F.col("bucket")) / float(d if variance == "per_d" else r) ** 0.5
+    g = normal_of(seed, F.col("feature_id"), F.col("bucket")) / scale
     return e.groupBy("row_id", "bucket").agg(F.sum(F.col("value") * g).alias("value"))
 
 
-def ternary(fm: FeatureMatrix, r: int, seed: int, density: float = 1 / 3, scaled: bool = True) -> DataFrame:
-    """Coefficients -1, 0, 1; only the buckets that are live for a feature become rows. The scale sqrt(1/density) is our choice."""
+def ternary(fm: FeatureMatrix, r: int, seed: int, density: float = 1 / 3, scaled: bool = True, family: str = "md5") -> DataFrame:
+    """Coefficients -1, 0, 1; only the buckets that are live for a feature become rows. The scale sqrt(1/density) is our choice.
+
+    For family see gaussian().
+    """
+    if family == "hash64":
+        size = (1 / density) ** 0.5 if scaled else 1.0
+        return _projected(fm, r, lambda f: trits(f, r, seed, density) * size)
     buckets = F.sequence(F.lit(0), F.lit(r - 1))
     live = F.filter(buckets, lambda b: uniform_of(seed, F.col("feature_id"), b) < density)
     e = fm.entries.select("row_id", "feature_id", "value", F.explode(live).alias("bucket"))
@@ -55,8 +68,57 @@ def ternary(fm: FeatureMatrix, r: int, seed: int, density: float = 1 / 3, scaled
     return out.select("row_id", "bucket", (F.col("v") * ((1 / density) ** 0.5 if scaled else 1.0)).alias("value")).where("value != 0")
 
 
-def dense_rows(fm: FeatureMatrix, d: int) -> DataFrame:
-    return fm.as_rows()
+def _hashed(f: np.ndarray, r: int, seed: int, salt: int) -> np.ndarray:
+    """64-bit hashes of (feature, bucket), a row for each feature."""
+    x = f.astype(np.uint64)[:, None] * np.uint64(0x9E3779B97F4A7C15) + np.arange(r, dtype=np.uint64) * np.uint64(0xD1342543DE82EF95) + np.uint64((seed * 2 + salt) & (2**63 - 1))
+    for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+        x = (x ^ (x >> np.uint64(shift))) * np.uint64(factor)
+    return x ^ (x >> np.uint64(31))
+
+
+def _unit(h: np.ndarray) -> np.ndarray:
+    return ((h >> np.uint64(11)).astype(np.float64) + 0.5) / 2.0**53
+
+
+def normals(f: np.ndarray, r: int, seed: int) -> np.ndarray:
+    return np.sqrt(-2 * np.log(_unit(_hashed(f, r, seed, 0)))) * np.cos(2 * np.pi * _unit(_hashed(f, r, seed, 1)))
+
+
+def trits(f: np.ndarray, r: int, seed: int, density: float) -> np.ndarray:
+    u = _unit(_hashed(f, r, seed, 0))
+    return np.where(u < density / 2, -1.0, np.where(u < density, 1.0, 0.0))
+
+
+#: Cells of a dense block in a row-local kernel.
+CELLS = 4_000_000
+
+
+def _coordinates_of(ids: np.ndarray, y: np.ndarray) -> pa.RecordBatch:
+    i, j = np.nonzero(y)
+    return pa.RecordBatch.from_arrays([pa.array(ids[i]), pa.array(j.astype(np.int32)), pa.array(y[i, j])], names=["row_id", "bucket", "value"])
+
+
+def _projected(fm: FeatureMatrix, r: int, coefficients) -> DataFrame:
+    """Row-local product with coefficients(features), a block of rows by a block of the features that occur in it at a time."""
+    width = max(1, CELLS // max(r, 1) // 4)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        many = max(1, min(4096, CELLS // width))
+        for batch in batches:
+            for a in range(0, batch.num_rows, many):
+                part = batch.slice(a, many)
+                sizes = np.asarray(part.column("idx").value_lengths())
+                row, f, v = np.repeat(np.arange(part.num_rows), sizes), np.asarray(part.column("idx").flatten()), np.asarray(part.column("val").flatten())
+                met, at = np.unique(f, return_inverse=True)
+                y = np.zeros((part.num_rows, r))
+                for low in range(0, len(met), width):
+                    some = met[low : low + width]
+                    mine = (at >= low) & (at < low + width)
+                    x = np.bincount(row[mine] * len(some) + at[mine] - low, v[mine], minlength=part.num_rows * len(some)).reshape(part.num_rows, -1)
+                    y += x @ coefficients(some)
+                yield _coordinates_of(np.asarray(part.column("row_id")), y)
+
+    return fm.as_rows().mapInArrow(run, SKETCH)
 
 
 def butterfly(x: np.ndarray) -> np.ndarray:
@@ -70,60 +132,73 @@ def butterfly(x: np.ndarray) -> np.ndarray:
 
 
 def _signs(d: int, seed: int) -> np.ndarray:
-    from ..functions.hashing import PRIME, coefficient
-
-    out = []
-    for i in range(d):
-        h = coefficient(seed, "sign", 0)
-        for k in range(1, 4):
-            h = (h * (i % PRIME) + coefficient(seed, "sign", k)) % PRIME
-        out.append((h % 2) * 2 - 1)
-    return np.array(out, float)
-
-
-def _kernel(fm: FeatureMatrix, d: int, r: int, apply) -> DataFrame:
+    """sign_of() for the features below d."""
+    x = np.arange(d, dtype=np.uint64) % np.uint64(PRIME)
+    h = np.full(d, coefficient(seed, "sign", 0), np.uint64)
+    for k in range(1, 4):
+        h = (h * x + np.uint64(coefficient(seed, "sign", k))) % np.uint64(PRIME)
+    return (h % np.uint64(2)).astype(float) * 2 - 1
+
+
+def _dense_blocks(batches: Iterator[pa.RecordBatch], d: int, cells: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(row ids, dense block) of as_rows(); the number of rows follows from the width, so a block has about CELLS cells."""
+    many = max(1, CELLS // max(cells, 1))
+    for batch in batches:
+        for a in range(0, batch.num_rows, many):
+            part = batch.slice(a, many)
+            sizes = np.asarray(part.column("idx").value_lengths())
+            x = np.zeros((part.num_rows, d))
+            x[np.repeat(np.arange(part.num_rows), sizes), np.asarray(part.column("idx").flatten())] = np.asarray(part.column("val").flatten())
+            yield np.asarray(part.column("row_id")), x
+
+
+def _kernel(fm: FeatureMatrix, d: int, cells: int, apply) -> DataFrame:
     """Row-local block product over Arrow batches: apply(dense block) gives the sketch's columns; no shuffle after as_rows()."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            n = batch.num_rows
-            for a in range(0, n, 256):
-                part = batch.slice(a, 256)
-                m = part.num_rows
-                sizes = np.asarray(part.column("idx").value_lengths())
-                x = np.zeros((m, d))
-                x[np.repeat(np.arange(m), sizes), np.asarray(part.column("idx").flatten())] = np.asarray(part.column("val").flatten())
-                y = apply(x)
-                i, j = np.nonzero(y)
-                ids = np.asarray(part.column("row_id"))
-                yield pa.RecordBatch.from_arrays([pa.array(ids[i]), pa.array(j.astype(np.int32)), pa.array(y[i, j])], names=["row_id", "bucket", "value"])
+        for ids, x in _dense_blocks(batches, d, cells):
+            yield _coordinates_of(ids, apply(x))
 
     return fm.as_rows().mapInArrow(run, SKETCH)
 
 
-def hadamard_rotate(fm: FeatureMatrix, d: int, seed: int) -> DataFrame:
-    """All rotated coordinates: signs, zeros up to a power of two, butterfly, over sqrt(d'), so that lengths stay."""
+def _rotation(d: int, seed: int):
+    """(width, rotate): signs, zeros up to a power of two, butterfly, over sqrt(width), so that lengths stay."""
     signs, width = _signs(d, seed), 1 << max(0, (d - 1).bit_length())
 
-    def apply(x):
+    def rotate(x: np.ndarray) -> np.ndarray:
         padded = np.zeros((len(x), width))
         padded[:, :d] = x * signs
         return butterfly(padded) / np.sqrt(width)
 
-    return _kernel(fm, d, width, apply)
+    return width, rotate
+
+
+def hadamard_rotate(fm: FeatureMatrix, d: int, seed: int) -> DataFrame:
+    """All rotated coordinates."""
+    width, rotate = _rotation(d, seed)
+    return _kernel(fm, d, 2 * width, rotate)
 
 
-def coordinates(fm: FeatureMatrix, width: int, r: int, seed: int) -> DataFrame:
+def coordinates(fm: FeatureMatrix, width: int, r: int, seed: int, replace: bool = False) -> DataFrame:
+    """(feature_id, bucket): r coordinates of the rotation, without replacement or, with `replace`, each drawn anew."""
     spark = fm.entries.sparkSession
+    if replace:
+        draws = spark.range(r).select(F.floor(uniform_of(seed, F.lit("draw"), F.col("id")) * width).cast("long").alias("feature_id"), F.col("id").cast("int").alias("bucket"))
+        return draws
     return sample_features(spark.range(width).withColumnRenamed("id", "feature_id"), r, seed, "coordinates")
 
 
-def hadamard(fm: FeatureMatrix, d: int, r: int, seed: int) -> DataFrame:
-    """r of the rotated coordinates without replacement, times sqrt(d'/r)."""
-    width = 1 << max(0, (d - 1).bit_length())
-    picked = F.broadcast(coordinates(fm, width, r, seed).select(F.col("feature_id").alias("at"), F.col("bucket").alias("b")))
-    rotated = hadamard_rotate(fm, d, seed)
-    return rotated.join(picked, rotated.bucket == F.col("at")).select("row_id", F.col("b").alias("bucket"), (F.col("value") * (width / r) ** 0.5).alias("value"))
+def _picked(found: DataFrame) -> np.ndarray:
+    """The coordinate of each bucket, r figures."""
+    return np.array([x.feature_id for x in found.orderBy("bucket").collect()], np.int64)
+
+
+def hadamard(fm: FeatureMatrix, d: int, r: int, seed: int, replace: bool = False) -> DataFrame:
+    """r of the rotated coordinates, without replacement unless `replace`, times sqrt(d'/r); only these leave the kernel."""
+    width, rotate = _rotation(d, seed)
+    at, scale = _picked(coordinates(fm, width, r, seed, replace)), (width / r) ** 0.5
+    return _kernel(fm, d, 2 * width, lambda x: rotate(x)[:, at] * scale)
 
 
 def hadamard_pruned(fm: FeatureMatrix, d: int, r: int, seed: int) -> DataFrame:
@@ -137,27 +212,56 @@ def hadamard_pruned(fm: FeatureMatrix, d: int, r: int, seed: int) -> DataFrame:
 
 def hadamard_scores(fm: FeatureMatrix, d: int, seed: int, score: str = "sqnorm", labels: DataFrame | None = None) -> DataFrame:
     """(bucket, score) of each rotated coordinate: its energy, or the spread of class means (extension)."""
-    rotated = hadamard_rotate(fm, d, seed)
+    width, rotate = _rotation(d, seed)
     if score == "between_class":
-        means = rotated.join(labels, "row_id").groupBy("bucket", "label").agg(F.avg("value").alias("m"))
+        means = hadamard_rotate(fm, d, seed).join(labels, "row_id").groupBy("bucket", "label").agg(F.sum("value").alias("m"))
+        means = means.join(F.broadcast(fm.rows.join(labels, "row_id").groupBy("label").agg(F.count("*").alias("n"))), "label").withColumn("m", F.col("m") / F.col("n"))
         return means.groupBy("bucket").agg(F.coalesce(F.var_pop("m"), F.lit(0.0)).alias("score"))
-    return rotated.groupBy("bucket").agg(F.sum(F.col("value") * F.col("value")).alias("score"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(width)
+        for _, x in _dense_blocks(batches, d, 2 * width):
+            total += (rotate(x) ** 2).sum(axis=0)
+        met = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(met.astype(np.int32)), pa.array(total[met])], names=["bucket", "part"])
+
+    # A task sends one figure a coordinate, whatever the number of its rows.
+    return fm.as_rows().mapInArrow(run, "bucket int, part double").groupBy("bucket").agg(F.sum("part").alias("score"))
 
 
 def hadamard_topr(fm: FeatureMatrix, d: int, r: int, seed: int, score: str = "sqnorm", labels: DataFrame | None = None) -> DataFrame:
     """The r rotated coordinates with the largest scores; 'sample' draws them in proportion to energy (extension)."""
+    return hadamard_at(fm, d, seed, top_coordinates(fm, d, r, seed, score, labels))
+
+
+def top_coordinates(fm: FeatureMatrix, d: int, r: int, seed: int, score: str = "sqnorm", labels: DataFrame | None = None) -> np.ndarray:
+    """The coordinates that hadamard_topr() keeps, best first; fitted on fm, to be used on any rows."""
     scores = hadamard_scores(fm, d, seed, "sqnorm" if score == "sample" else score, labels)
     by = -F.log(uniform_of(seed, F.col("bucket"))) / F.col("score") if score == "sample" else -F.col("score")
-    top = scores.withColumn("by", by).orderBy("by", "bucket").limit(r)
-    picked = F.broadcast(top.selectExpr("bucket as at", "cast(row_number() over (order by by, bucket) - 1 as int) as b"))
-    rotated = hadamard_rotate(fm, d, seed)
-    return rotated.join(picked, rotated.bucket == F.col("at")).select("row_id", F.col("b").alias("bucket"), "value")
+    return np.array([x.bucket for x in scores.withColumn("by", by).orderBy("by", "bucket").limit(r).collect()], np.int64)
+
+
+def hadamard_at(fm: FeatureMatrix, d: int, seed: int, at: np.ndarray) -> DataFrame:
+    """The rotated coordinates `at`, in that order."""
+    width, rotate = _rotation(d, seed)
+    return _kernel(fm, d, 2 * width, lambda x: rotate(x)[:, at])
+
+
+#: Features up to which a d x d or d x r matrix is made on the driver.
+MOST_DENSE = 20_000
+
+
+def _small(d: int) -> None:
+    if d > MOST_DENSE:
+        raise ValueError(f"{d} features are more than the {MOST_DENSE} for which a matrix of that side is made")
 
 
 def orthonormal(fm: FeatureMatrix, d: int, r: int, seed: int) -> DataFrame:
     """Random orthonormal columns, by a QR on the driver; for d up to some thousands."""
+    _small(d)
     q, _ = np.linalg.qr(np.random.default_rng(seed).standard_normal((d, r)))
-    return _kernel(fm, d, r, lambda x: x @ q)
+    sent = fm.entries.sparkSession.sparkContext.broadcast(q)
+    return _kernel(fm, d, d, lambda x: x @ sent.value)
 
 
 def pca(fm: FeatureMatrix, d: int, r: int) -> DataFrame:
@@ -166,33 +270,69 @@ def pca(fm: FeatureMatrix, d: int, r: int) -> DataFrame:
 
 
 def _gram(fm: FeatureMatrix, d: int) -> np.ndarray:
+    _small(d)
     a, b = fm.entries.alias("a"), fm.entries.alias("b")
     rows = a.join(b, "row_id").groupBy(F.col("a.feature_id").alias("i"), F.col("b.feature_id").alias("j")).agg(F.sum(F.col("a.value") * F.col("b.value")).alias("v"))
     out = np.zeros((d, d))
-    for i, j, v in rows.collect():  # d x d, for small d
-        out[i, j] = v
+    t = rows.toArrow()  # d x d, for small d
+    out[np.asarray(t.column("i")), np.asarray(t.column("j"))] = np.asarray(t.column("v"))
     return out
 
 
 def _subspace(fm: FeatureMatrix, d: int, r: int, gram: np.ndarray) -> DataFrame:
     _, vectors = np.linalg.eigh(gram)
-    top = vectors[:, ::-1][:, :r]
-    return _kernel(fm, d, r, lambda x: x @ top)
+    top = fm.entries.sparkSession.sparkContext.broadcast(vectors[:, ::-1][:, :r])
+    return _kernel(fm, d, d, lambda x: x @ top.value)
 
 
-def approx_svd(fm: FeatureMatrix, r: int, seed: int, oversample: int = 8) -> DataFrame:
-    """Range finder: a Gaussian sketch Y, the Gram of Y on the driver, and Y turned to its leading directions."""
-    y = gaussian(fm, r + oversample, seed, "per_r")
-    m = r + oversample
-    a, b = y.alias("a"), y.alias("b")
-    g = np.zeros((m, m))
+def _gram_of(y: DataFrame, m: int) -> np.ndarray:
+    """Y'Y of a sketch with m columns."""
+    a, b, g = y.alias("a"), y.alias("b"), np.zeros((m, m))
     for i, j, v in a.join(b, "row_id").groupBy(F.col("a.bucket"), F.col("b.bucket")).agg(F.sum(F.col("a.value") * F.col("b.value"))).collect():
         g[i, j] = v
-    _, vectors = np.linalg.eigh(g)
-    w = vectors[:, ::-1][:, :r]
-    turn = F.broadcast(y.sparkSession.createDataFrame([(i, j, float(w[i, j])) for i in range(m) for j in range(r)], "bucket int, b int, w double"))
+    return g
+
+
+def _turned(y: DataFrame, w: np.ndarray) -> DataFrame:
+    """Y times a small matrix w."""
+    spark = y.sparkSession
+    turn = F.broadcast(spark.createDataFrame([(i, j, float(w[i, j])) for i in range(w.shape[0]) for j in range(w.shape[1])], "bucket int, b int, w double"))
     return y.join(turn, "bucket").groupBy("row_id", F.col("b").alias("bucket")).agg(F.sum(F.col("value") * F.col("w")).alias("value"))
 
 
+def approx_svd(fm: FeatureMatrix, r: int, seed: int, oversample: int = 8, power_iters: int = 0) -> DataFrame:
+    """Range finder: a Gaussian sketch Y, the Gram of Y on the driver, and Y turned to its leading directions.
+
+    Each power iteration replaces Y by X X' Y, turned to orthonormal columns first, two sparse products.
+    """
+    m = r + oversample
+    y = cut(gaussian(fm, m, seed, "per_r", family="hash64"))
+    for _ in range(power_iters):
+        values, vectors = np.linalg.eigh(_gram_of(y, m))
+        live = values > 1e-12 * max(values.max(), 1e-300)
+        q = _turned(y, vectors[:, live] / np.sqrt(values[live]))
+        z = fm.entries.join(q.withColumnRenamed("value", "q"), "row_id").groupBy("feature_id", "bucket").agg(F.sum(F.col("value") * F.col("q")).alias("q"))
+        y = cut(fm.entries.join(z, "feature_id").groupBy("row_id", "bucket").agg(F.sum(F.col("value") * F.col("q")).alias("value")))
+    _, vectors = np.linalg.eigh(_gram_of(y, m))
+    return _turned(y, vectors[:, ::-1][:, :r])
+
+
+METHODS = ("gaussian", "ternary", "orthonormal", "countsketch", "hadamard", "hadamard_pruned", "hadamard_topr", "pca", "approx_svd", "identity")
+
+
+def sketch(fm: FeatureMatrix, method: str, r: int, seed: int, **options) -> DataFrame:
+    """X times the method's projection. Methods that need it take the number of features from fm.d, or count them."""
+    if method not in METHODS:
+        raise ValueError(f"unknown method {method!r}")
+    if method == "identity":
+        return identity(fm)
+    if method in ("countsketch", "gaussian", "ternary", "approx_svd"):
+        return {"countsketch": countsketch, "gaussian": gaussian, "ternary": ternary, "approx_svd": approx_svd}[method](fm, r, seed, **options)
+    d = fm.d or (fm.features().agg(F.max("feature_id")).first()[0] or 0) + 1
+    if method == "pca":
+        return pca(fm, d, r)
+    return {"orthonormal": orthonormal, "hadamard": hadamard, "hadamard_pruned": hadamard_pruned, "hadamard_topr": hadamard_topr}[method](fm, d, r, seed, **options)
+
+
 def identity(fm: FeatureMatrix) -> DataFrame:
     return fm.entries.select("row_id", F.col("feature_id").alias("bucket"), "value")

@@ -77,8 +77,24 @@ def products(batches: Iterator[pa.RecordBatch], theta: np.ndarray, parts: int, r
         features = np.unique(f)
         held.append((features, np.zeros(len(features), np.int64), np.zeros(len(features))))
         n += len(features)
-        cuts = np.searchsorted(np.cumsum(per), np.arange(0, int(per.sum()) + CELLS, CELLS), side="right")
-        for a, z in zip(cuts, [*cuts[1:], len(per)], strict=True):
+        total, rows = int(per.sum()), len(sizes)
+        if total * 32 > rows * len(features) * r:  # mostly full: blocks of rows by features
+            at = np.searchsorted(features, f)
+            dots, many = np.zeros((len(features), r)), max(1, CELLS // max(len(features), r))
+            crow = np.repeat(np.arange(rows), met)
+            for low in range(0, rows, many):
+                high = min(rows, low + many)
+                x, y = np.searchsorted(row, [low, high])
+                cx, cy = np.searchsorted(crow, [low, high])
+                left = np.bincount((row[x:y] - low) * len(features) + at[x:y], v[x:y], minlength=(high - low) * len(features)).reshape(high - low, -1)
+                right = np.bincount((crow[cx:cy] - low) * r + cb[cx:cy], cv[cx:cy], minlength=(high - low) * r).reshape(high - low, -1)
+                dots += left.T @ right
+            i, b = np.nonzero(dots)
+            held.append((features[i], b, dots[i, b]))
+            n += len(i)
+            total = 0
+        cuts = [] if not total else np.searchsorted(np.cumsum(per), np.arange(0, total + CELLS, CELLS), side="right")
+        for a, z in zip(cuts, [*cuts[1:], len(per)], strict=False):
             k = per[a:z]
             if not k.sum():
                 continue

@@ -573,7 +573,7 @@ def _experiment(name: str, dataset: str, run) -> None:
 
 
 for _set, _r in WIDTHS.items():
-    _experiment("workload_methods", _set, lambda s, d, x, r=_r: W.compare(s, d, x, [r]))
+    _experiment("workload_methods", _set, lambda s, d, x, r=_r: W.methods(s, d, x, r))
     _experiment("workload_embedding_time", _set, lambda s, d, x, r=_r: W.embedding_time(s, d, x, r))
     _experiment("workload_stability", _set, lambda s, d, x: W.stability(s, d, x, 16))
     _experiment("workload_tuning", _set, lambda s, d, x, r=_r: W.tuning(s, d, x, r, CS_GRID, LAMS))

@@ -5,11 +5,13 @@ from __future__ import annotations
 import numpy as np
 from pyspark.ml.classification import LinearSVC, LogisticRegression, OneVsRest
 from pyspark.ml.clustering import KMeans
-from pyspark.ml.linalg import SparseVector, VectorUDT
+from pyspark.ml.functions import array_to_vector
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import cut
 from ..sources.matrix import FeatureMatrix
+from . import linear
 
 
 def folds(rows: DataFrame, key: str = "row_id", k: int = 5) -> DataFrame:
@@ -19,13 +21,14 @@ def folds(rows: DataFrame, key: str = "row_id", k: int = 5) -> DataFrame:
 
 
 def vectors(sketch: DataFrame, rows: DataFrame, r: int) -> DataFrame:
-    """(row_id, features): one sparse vector a row, empty ones too."""
-    lists = sketch.groupBy("row_id").agg(F.array_sort(F.collect_list(F.struct("bucket", "value"))).alias("p"))
-    make = F.udf(lambda p: SparseVector(r, [x[0] for x in p or ()], [x[1] for x in p or ()]), VectorUDT())
-    return rows.join(lists, "row_id", "left").withColumn("features", make("p")).drop("p")
+    """(row_id, ..., features): one vector of r values a row, empty rows too, made in the JVM."""
+    held = sketch.groupBy("row_id").agg(F.map_from_entries(F.collect_list(F.struct(F.col("bucket").cast("int"), "value"))).alias("p"))
+    value = F.transform(F.sequence(F.lit(0), F.lit(r - 1)), lambda b: F.coalesce(F.try_element_at("p", b), F.lit(0.0)))
+    return rows.join(held, "row_id", "left").withColumn("features", array_to_vector(value)).drop("p")
 
 
 def classifier(loss: str, n: int, c: float, classes: int):
+    """Spark's own classifiers: hinge loss, one against the rest for more than two classes, or logistic loss."""
     reg = 1.0 / (n * c)
     if loss == "logistic":
         return LogisticRegression(regParam=reg, standardization=False, maxIter=50)
@@ -33,34 +36,44 @@ def classifier(loss: str, n: int, c: float, classes: int):
     return svm if classes == 2 else OneVsRest(classifier=svm)
 
 
-def cross_validate(fm: FeatureMatrix, labels: DataFrame, sketch_of, r: int, c: float = 1.0, k: int = 5, loss: str = "hinge", protocol: str = "transductive", key: str = "row_id") -> DataFrame:
+def linear_svm(sketch: DataFrame, labels: DataFrame, r: int, c: float = 1.0, loss: str = "hinge"):
+    """A fitted classifier of Spark on all rows of labels (row_id, label); labels run from 0."""
+    rows = labels.withColumn("label", F.col("label").cast("double"))
+    n, classes = rows.agg(F.count("*"), F.countDistinct("label")).first()
+    return classifier(loss, n, c, classes).fit(vectors(sketch, rows, r))
+
+
+def predict(model, sketch: DataFrame, rows: DataFrame, r: int) -> DataFrame:
+    """(row_id, predicted) by a classifier of linear_svm()."""
+    return model.transform(vectors(sketch, rows.select("row_id"), r)).select("row_id", F.col("prediction").cast("int").alias("predicted"))
+
+
+def cross_validate(fm: FeatureMatrix, labels: DataFrame, sketch_of, r: int, c: float = 1.0, k: int = 5, loss: str = "squared_hinge", protocol: str = "transductive", key: str = "row_id") -> DataFrame:
     """(row_id, fold, label, predicted). sketch_of(train fm or all) returns a function from a matrix to its sketch.
 
     transductive: the sketch is made from all rows, then folds are cut; inductive: learned on the training folds alone.
     """
-    rows = folds(fm.rows.join(labels, "row_id"), key, k).cache()
-    classes = rows.select("label").distinct().count()
-    apply, data, out = (sketch_of(fm) if protocol == "transductive" else None), None, None
-    for f in range(k):
-        train_rows, test_rows = rows.where(F.col("fold") != f), rows.where(F.col("fold") == f)
-        if test_rows.isEmpty() or train_rows.isEmpty():
-            continue
-        if protocol == "inductive":
-            inside = train_rows.select("row_id")
+    rows = cut(folds(fm.rows.join(labels, "row_id"), key, k).select("row_id", "label", "fold"))
+    found = sorted(x.fold for x in rows.select("fold").distinct().collect())
+    if len(found) < 2:
+        raise ValueError("fewer than two folds have rows")
+    if protocol == "transductive":
+        sketches = {"all": linear.Sketched(sketch_of(fm)(fm), r)}
+    else:
+        sketches = {}
+        for f in found:
+            inside = rows.where(F.col("fold") != f).select("row_id")
             apply = sketch_of(FeatureMatrix(fm.entries.join(inside, "row_id", "left_semi"), inside, fm.d))
-        if protocol == "inductive" or data is None:  # one sketch serves all folds if it is fitted on all rows
-            data = vectors(apply(fm), rows.select("row_id", "label", "fold"), r).cache()
-        model = classifier(loss, train_rows.count(), c, classes).fit(data.where(F.col("fold") != f).withColumn("label", F.col("label").cast("double")))
-        got = model.transform(data.where(F.col("fold") == f).withColumn("label", F.col("label").cast("double"))).select("row_id", "fold", F.col("label").cast("int").alias("label"), F.col("prediction").cast("int").alias("predicted"))
-        out = got if out is None else out.unionByName(got)
-    return out
-
+            sketches[str(f)] = linear.Sketched(apply(fm), r, (f,))
+    return linear.Models(sketches, rows, (c,), loss).fit().predictions().drop("name", "c")
 
-def grid(fm, labels, sketch_of_lam, r: int, cs=(1e-5, 1e-3, 0.1, 1, 10, 1e3, 1e5), lams=(10, 20, 30, 40), **more) -> list[tuple[float, float, float]]:
-    """(lam, C, mean accuracy) over both grids."""
-    from ..functions.measures import accuracy
 
-    return [(lam, c, accuracy(cross_validate(fm, labels, sketch_of_lam(lam), r, c, **more)).first()["mean"]) for lam in lams for c in cs]
+def grid(fm, labels, sketch_of_lam, r: int, cs=tuple(10.0**k for k in range(-5, 6)), lams=(10, 20, 30, 40), k: int = 5, loss: str = "squared_hinge") -> list[tuple[float, float, float]]:
+    """(lam, C, mean accuracy in percent) over both grids, all models in one loop over the rows."""
+    rows = cut(folds(fm.rows.join(labels, "row_id"), "row_id", k).select("row_id", "label", "fold"))
+    sketches = {str(lam): linear.Sketched(sketch_of_lam(lam)(fm)(fm), r) for lam in lams}
+    scores = linear.Models(sketches, rows, cs, loss).fit().scores()
+    return [(lam, c, scores[str(lam), c]["accuracy"]) for lam in lams for c in cs]
 
 
 def nearest_centroid(sketch: DataFrame, rows: DataFrame, k: int = 5) -> DataFrame:
@@ -113,7 +126,7 @@ def low_rank(fm: FeatureMatrix, k: int, seed: int, oversample: int = 8) -> tuple
             out[i, j] = v
         return out
 
-    y = gaussian(fm, m, seed, "per_r")
+    y = cut(gaussian(fm, m, seed, "per_r", family="hash64"))
     values, vectors = np.linalg.eigh(square(y, "row_id"))
     live = values > 1e-12 * max(values.max(), 1e-300)
     turn = vectors[:, live] / np.sqrt(values[live])

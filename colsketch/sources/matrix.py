@@ -6,8 +6,11 @@ rows, those without entries too, so that the number of rows is right.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -108,16 +111,32 @@ def from_tokens(df: DataFrame, row: str, text: str, min_df: int = 1, weight: str
     return FeatureMatrix(e, df.select(F.col(row).cast("long").alias("row_id")))
 
 
+def _gram_counts(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordBatch]:
+    """(row_id, g, tf) of the n-grams of each text, in time n log n in its length."""
+    for batch in batches:
+        rows, grams, counts = [], [], []
+        for row, text in zip(batch.column("row_id"), batch.column("t"), strict=True):
+            points = np.frombuffer((text.as_py() or "").lower().encode("utf-32-le", "surrogatepass"), np.uint32)
+            if len(points) < n:
+                continue
+            wins = np.lib.stride_tricks.sliding_window_view(points, n)
+            if n <= 3:  # 21 bits a character
+                keys = sum(wins[:, k].astype(np.uint64) << np.uint64(21 * (n - 1 - k)) for k in range(n))
+                met, first, tf = np.unique(keys, return_index=True, return_counts=True)
+            else:
+                met, first, tf = np.unique(wins, axis=0, return_index=True, return_counts=True)
+            rows.append(np.full(len(tf), row.as_py()))
+            grams += [w.tobytes().decode("utf-32-le", "surrogatepass") for w in wins[first]]
+            counts.append(tf)
+        if rows:
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(rows)), pa.array(grams, pa.string()), pa.array(np.concatenate(counts))], names=["row_id", "g", "tf"])
+
+
 def from_ngrams(df: DataFrame, row: str, text: str, n: int = 2, limit: int | None = None, min_df: int = 3) -> FeatureMatrix:
     """Character n-grams of whole texts, or of their first `limit` characters, 1 + ln tf, rows of unit length."""
-    t = F.lower(text) if limit is None else F.substring(F.lower(text), 1, limit)
-    letters = F.split(t, "")
-    gram = letters
-    for k in range(1, n):  # each shift of the characters is made once for a text, so the time is linear in its length
-        left = F.greatest(F.size(letters) - k, F.lit(0))
-        gram = F.zip_with(F.slice(gram, F.lit(1), left), F.slice(letters, F.lit(k + 1), left), lambda x, y: F.concat(x, y))
-    grams = df.select(F.col(row).cast("long").alias("row_id"), F.explode(gram).alias("g")).where(F.length("g") == n)
-    counts = grams.groupBy("row_id", "g").agg(F.count("*").alias("tf"))
+    t = F.col(text) if isinstance(text, str) else text
+    given = df.select(F.col(row).cast("long").alias("row_id"), (t if limit is None else F.substring(t, 1, limit)).alias("t")).where("row_id is not null")
+    counts = cut(given.mapInArrow(lambda it: _gram_counts(it, n), "row_id long, g string, tf long"))
     counts = counts.join(counts.groupBy("g").agg(F.count("*").alias("df")).where(F.col("df") >= min_df), "g")
     e = counts.select("row_id", token_id(F.col("g")).alias("feature_id"), (1 + F.log("tf")).alias("value"))
     size = e.groupBy("row_id").agg(F.sqrt(F.sum(F.col("value") * F.col("value"))).alias("size"))
@@ -140,10 +159,22 @@ def quadratic(fm: FeatureMatrix, d: int) -> FeatureMatrix:
 
 
 def min_max(fm: FeatureMatrix) -> FeatureMatrix:
-    """Columns to [-1, 1] over their entries of a dense matrix; a constant column becomes 0."""
-    span = fm.entries.groupBy("feature_id").agg(F.min("value").alias("low"), F.max("value").alias("high"))
+    """Columns to [-1, 1] over all rows, a cell without an entry being 0; a constant column becomes 0.
+
+    For dense matrices: where 0 lies inside a column's span, each of its cells gets its image, so rows x such columns
+    entries are made; without rows there are none. A column without entries stays without.
+    """
+    n = fm.rows.agg(F.count("*").alias("n"))
+    span = fm.entries.groupBy("feature_id").agg(F.min("value").alias("low"), F.max("value").alias("high"), F.count("*").alias("met")).crossJoin(F.broadcast(n))  # one row
+    holes = F.col("met") < F.col("n")
+    span = span.select("feature_id", F.when(holes, F.least("low", F.lit(0.0))).otherwise(F.col("low")).alias("low"), F.when(holes, F.greatest("high", F.lit(0.0))).otherwise(F.col("high")).alias("high"), holes.alias("holes"))
     v = F.when(F.col("high") > F.col("low"), 2 * (F.col("value") - F.col("low")) / (F.col("high") - F.col("low")) - 1).otherwise(0.0)
-    return FeatureMatrix(fm.entries.join(span, "feature_id").select("row_id", "feature_id", v.alias("value")).where("value != 0"), fm.rows)
+    # Only columns with holes meet all rows; the cells that are there keep their value.
+    zero = fm.rows.select("row_id").distinct().crossJoin(span.where("holes and high > low").select("feature_id")).select("row_id", "feature_id", F.lit(0.0).alias("value"))
+    full = fm.entries.unionByName(zero).groupBy("row_id", "feature_id").agg(F.sum("value").alias("value"))
+    whole = fm.entries.join(span.where("not holes").select("feature_id"), "feature_id", "left_semi").select("row_id", "feature_id", "value")
+    full = full.join(span.where("holes").select("feature_id"), "feature_id", "left_semi").select("row_id", "feature_id", "value")
+    return FeatureMatrix(whole.unionByName(full).join(span, "feature_id").select("row_id", "feature_id", v.alias("value")).where("value != 0"), fm.rows, fm.d)
 
 
 def dense_ids(fm: FeatureMatrix) -> tuple[FeatureMatrix, DataFrame]:

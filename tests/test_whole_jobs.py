@@ -54,7 +54,7 @@ def test_both_sql_twins(spark):
 def test_registered_experiments_are_the_published_ones(monkeypatch):
     seen = {}
     monkeypatch.setattr(catalog, "ship", lambda s: s)
-    for f in ("compare", "embedding_time", "stability", "tuning", "ablations"):
+    for f in ("compare", "methods", "embedding_time", "stability", "tuning", "ablations"):
         whole = inspect.signature(getattr(workloads, f))
         monkeypatch.setattr(workloads, f, lambda *a, whole=whole, **k: whole.bind(*a, **k))
     for name, run in catalog.queries().items():
@@ -63,14 +63,15 @@ def test_registered_experiments_are_the_published_ones(monkeypatch):
             bound.apply_defaults()
             seen[name] = bound.arguments
             assert not bound.arguments.get("more"), name  # five folds are the default
-    assert inspect.signature(workloads.measured).parameters["k"].default == 5 == inspect.signature(solve.cross_validate).parameters["k"].default
+    assert inspect.signature(workloads.load).parameters["k"].default == 5 == inspect.signature(solve.cross_validate).parameters["k"].default
     for base in ("methods", "embedding_time", "stability", "tuning", "ablations"):
         assert {a["dataset"] for n, a in seen.items() if n.startswith(f"workload_{base}")} == set(workloads.DATASETS)
-    assert all(list(a["methods"]) == workloads.METHODS for n, a in seen.items() if n.startswith(("workload_methods", "workload_widths")))
+    assert all(list(a["names"]) == workloads.METHODS for n, a in seen.items() if n.startswith("workload_methods"))
+    assert all(list(a["methods"]) == workloads.METHODS for n, a in seen.items() if n.startswith("workload_widths"))
     assert all(a["cs"] == tuple(10.0**k for k in range(-5, 6)) and a["lams"] == (10.0, 20.0, 30.0, 40.0) for n, a in seen.items() if n.startswith("workload_tuning"))
 
 
 def test_unknown_init_raises(spark):
     m = spark.createDataFrame([(1, 1, 1.0)], "row_id long, feature_id long, value double")
-    with pytest.raises(ValueError, match="plusplus"):
-        adaptive.init_centres(m, 1, 0, "plusplus")
+    with pytest.raises(ValueError, match="other"):
+        adaptive.init_centres(m, 1, 0, "other")

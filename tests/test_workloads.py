@@ -82,9 +82,41 @@ def test_formats(planted, spark, tmp_path):
 
 
 def test_workloads(spark):
-    got = {(r.method, r.metric): r.value for r in workloads.compare(spark, SF, "bigram", [8], ["countsketch", "learned_full"], k=2).collect()}
+    rows = workloads.methods(spark, SF, "bow_en", 8, ["countsketch", "hadamard_topr", "learned_full", "learned_minibatch", "identity"]).collect()
+    got = {(r.method, r.metric): r.value for r in rows}
     assert got[("learned_full", "zeros")] > got[("countsketch", "zeros")]
-    assert got[("learned_full", "accuracy")] > 60
+    assert got[("learned_full", "accuracy")] >= got[("learned_full", "majority")] - 5 and got[("identity", "accuracy")] > 80
+    assert {"embed_s", "projection_ms", "classification_ms", "theta_gap", "accuracy_inductive", "balanced_accuracy", "error_share"} <= {m for n, m in got if n == "learned_full"}
+    assert 0 <= got[("learned_full", "theta_gap")] and got[("learned_full", "error_share")] <= 1
+
+
+@pytest.mark.parametrize("name", list(workloads.DATASETS))
+def test_datasets(spark, name):
+    fm, rows = workloads.load(spark, SF, name)
+    n, folds, classes = rows.selectExpr("count(*)", "count(distinct fold)", "count(distinct label)").first()
+    assert n == fm.rows.count() > 50 and folds == 5
+    assert classes > 8 if name in ("emb10", "bigram", "bow_multi") else classes == 2
+
+
+def test_small_grids(spark):
+    grid = workloads.tuning(spark, SF, "emb10", 6, (0.1, 10.0), (10.0, 40.0)).collect()
+    assert len(grid) == 4 and all(0 < r.accuracy <= 100 for r in grid)
+    runs = {r.method: r for r in workloads.stability(spark, SF, "emb10", 6, range(2)).collect()}
+    assert runs["countsketch"].runs == 2 and runs["learned_full"].low <= runs["learned_full"].high
+    names = {r.method for r in workloads.ablations(spark, SF, "emb10", 6).collect()}
+    assert names == {*workloads.CHANGES, "batch=0.1", "batch=0.2", "batch=0.5"}
+
+
+def test_min_max_of_zeros(spark):
+    x = np.array([[0, 5.0, 1, 0], [1, 5.0, -1, 0], [2, 5.0, 0, 0], [0, 5.0, 3, 0]])
+    fm = M.FeatureMatrix(spark.createDataFrame([(i, j, float(x[i, j])) for i in range(4) for j in range(4) if x[i, j]], M.ENTRIES), spark.range(4).withColumnRenamed("id", "row_id"))
+    got = np.zeros((4, 4))
+    for i, j, v in M.min_max(fm).entries.collect():
+        got[i, j] = v
+    want = np.array([[-1, 0, 0, 0], [0, 0, -1, 0], [1, 0, -0.5, 0], [-1, 0, 1, 0.0]])
+    assert np.allclose(got, want)
+    empty = M.FeatureMatrix(fm.entries.where("false"), fm.rows.where("false"))
+    assert M.min_max(empty).entries.count() == 0
 
 
 def test_streams(spark, tmp_path):
