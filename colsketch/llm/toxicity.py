@@ -2,12 +2,14 @@
 
 Terms are words and word beginnings that labelled toxic texts have and others lack. They form a trie; its intersection
 with the Levenshtein automaton of distance one is walked as one deterministic automaton, whose states are made when
-they are first met, so most words leave it after a few letters. A hit counts by its context window: inside quotation
-marks, beside words of report, or bare; and by how many hits the window holds. A logistic model over these figures,
-fitted on the same bounded sample, gives the score.
+they are first met, so most words leave it after a few letters. A hit counts by its context window of WINDOW words to
+each side: quoted if an opening and a closing quotation mark inside the window enclose it, else reported if the window has
+words that labelled clean texts have around terms and toxic ones lack, else bare; and by how many hits the window holds.
+A logistic model over these figures, fitted on the same bounded sample, gives the score.
 
 Null and empty texts, and texts without letters, have no hits and get the score of a text without hits. Without
-labelled rows of both kinds no term is learned and every score is 0. Repeated rows are scored each.
+labelled rows of both kinds no term is learned and every score is 0. Repeated rows are scored each. An empty table gives
+no rows. Of equally near terms a word matches the first in code point order. Texts of any length are read whole.
 """
 
 from __future__ import annotations
@@ -26,13 +28,10 @@ from .kernels import lean
 
 #: Most labelled rows that the lexicon and the model are fitted on.
 MAX_LABELLED = 20_000
-#: Most terms of the lexicon.
-MAX_TERMS = 4_000
 PREFIXES = (4, 5, 6)
 WINDOW = 12
 WORD = re.compile(r"[^\W_]+")
 _QUOTES = re.compile('["“”„«»]')
-REPORT = frozenset("said says quoted quote wrote writes called calls sagte schrieb nannte dit disait appelle dijo dice llama".split())
 _MEMO = 300_000
 
 
@@ -117,7 +116,7 @@ class Automaton:
         return found
 
 
-FIGURES = ("bare", "quoted", "misspelled", "dense", "share")
+FIGURES = ("bare", "quoted", "reported", "misspelled", "dense", "share")
 
 
 @dataclass
@@ -125,9 +124,37 @@ class Model:
     words: dict[str, float] = field(default_factory=dict)
     beginnings: dict[str, float] = field(default_factory=dict)
     innocent: frozenset = frozenset()
+    report: frozenset = frozenset()
     weights: np.ndarray | None = None
 
 
+def quotations(text: str) -> list[tuple[int, int]]:
+    """(start, end) between an opening mark and the next closing one, in order.
+
+    A straight mark opens if text follows and none stands before it, and closes the other way round; one with text or
+    space on both sides is neither, as in 6" of rain. The German closing mark is an opening one elsewhere: it closes where
+    a low mark is open.
+    """
+    out, opened, low = [], -1, False
+    for m in _QUOTES.finditer(text):
+        at, mark = m.start(), m.group()
+        before, after = at > 0 and not text[at - 1].isspace() and text[at - 1] not in "([{-—–", at + 1 < len(text) and (text[at + 1].isalnum() or text[at + 1] in "¿¡'’.…")
+        if mark == '"':
+            opens, closes = after and not before, before and not after
+        elif mark == "“":
+            opens, closes = not low, low and opened >= 0
+        else:
+            opens, closes = mark in "„«", mark in "”»"
+            if mark in "«»" and ((mark == "«") == (before and not after)) and before != after:
+                opens, closes = closes, opens
+        if closes and opened >= 0:
+            out.append((opened + 1, at))
+            opened = -1
+        elif opens:
+            opened, low = at, mark == "„"
+    return out
+
+
 class Scorer:
     def __init__(self, model: Model):
         self.model, self.automaton = model, Automaton(model.words, model.beginnings)
@@ -137,42 +164,56 @@ class Scorer:
     def figures(self, text: str | None) -> tuple[list[float], int]:
         """FIGURES, and the number of hits."""
         low = (text or "").lower()
-        words = WORD.findall(low)
-        new = set(words) - self.seen
-        if new:
-            if len(self.seen) > _MEMO:
-                self.seen.clear()
-                self.hits.clear()
-                new = set(words)
-            self.seen |= new
-            for w in new:
-                m = self.automaton.match(w)
-                if m and not (m[1] and w in self.model.innocent):
-                    self.hits[w] = (self.automaton.weights[m[0]], m[1])
-        known = self.hits
-        at = [i for i, w in enumerate(words) if w in known]
+        words, at = self.found(low)
         if not at:
             return [0.0] * len(FIGURES), 0
-        spans = [m.start() for m in WORD.finditer(low)]
-        marks = [m.start() for m in _QUOTES.finditer(low)]
-        bare = quoted = wrong = 0.0
+        known, report = self.hits, self.model.report
+        spans = [m.span() for m in WORD.finditer(low)]
+        quotes = quotations(low)
+        bare = quoted = reported = wrong = 0.0
         dense, first, j = 0, 0, 0
         for place, i in enumerate(at):
             weight, edits = known[words[i]]
-            while j < len(marks) and marks[j] < spans[i]:
+            a, z = max(0, i - WINDOW), min(len(words), i + WINDOW + 1)
+            while j < len(quotes) and quotes[j][1] <= spans[i][0]:
                 j += 1
-            near = words[max(0, i - WINDOW) : i]
-            shielded = (j % 2 == 1) and j < len(marks) or any(w in REPORT for w in near[-4:]) and j > 0
+            # Both marks lie inside the window, or just beside its words.
+            inside = j < len(quotes) and quotes[j][0] <= spans[i][0] and quotes[j][0] >= (spans[a - 1][1] if a else 0) and quotes[j][1] <= (spans[z][0] if z < len(words) else len(low))
             if edits:
                 wrong += weight
-            elif shielded:
+            elif inside:
                 quoted += weight
+            elif report and any(w in report for w in words[a:z]):
+                reported += weight
             else:
                 bare += weight
             while at[first] < i - WINDOW:
                 first += 1
             dense = max(dense, place - first + 1)
-        return [np.log1p(bare), np.log1p(quoted), np.log1p(wrong), np.log1p(dense), min(1.0, 10 * len(at) / len(words))], len(at)
+        return [np.log1p(bare), np.log1p(quoted), np.log1p(reported), np.log1p(wrong), np.log1p(dense), min(1.0, 10 * len(at) / len(words))], len(at)
+
+    def found(self, low: str) -> tuple[list[str], list[int]]:
+        """The words of a lower-case text and the places of hits among them."""
+        words = WORD.findall(low)
+        new = set(words) - self.seen
+        if new:
+            if len(self.seen) > _MEMO:
+                self.seen.clear()
+                self.hits.clear()
+                new = set(words)
+            self.seen |= new
+            for w in new:
+                m = self.automaton.match(w)
+                if m and not (m[1] and w in self.model.innocent):
+                    self.hits[w] = (self.automaton.weights[m[0]], m[1])
+        return words, [i for i, w in enumerate(words) if w in self.hits]
+
+    def around(self, text: str | None) -> set[str] | None:
+        """The words in the windows of hits, without hits; None without hits."""
+        words, at = self.found((text or "").lower())
+        if not at:
+            return None
+        return {w for i in at for w in words[max(0, i - WINDOW) : i + WINDOW + 1]} - self.hits.keys()
 
     def score(self, x: np.ndarray) -> np.ndarray:
         w = self.model.weights
@@ -228,14 +269,17 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05, steps: int = 40)
 
 
 def fit(labelled: DataFrame, least: int = 4, odds: float = 3.0) -> Model:
-    """labelled: (text, label 0/1), a bounded sample. A term needs `least` toxic texts and log odds of `odds`."""
+    """labelled: (text, label 0/1), a bounded sample. A term needs `least` toxic texts and log odds of `odds`.
+
+    All terms, near misses and context words of the sample are kept; the sample's bound is theirs.
+    """
     counts = {r.label: r.n for r in labelled.groupBy("label").agg(F.count("*").alias("n")).collect()}
     toxic, other = sum(n for k, n in counts.items() if k), counts.get(0, 0)
     if not toxic or not other:
         return Model()
     rows = labelled.select("text", "label").mapInArrow(_counted, "term string, n long, toxic long").groupBy("term").agg(F.sum("n").alias("n"), F.sum("toxic").alias("toxic"))
     score = F.log((F.col("toxic") + 0.5) / (toxic + 1)) - F.log((F.col("n") - F.col("toxic") + 0.5) / (other + 1))
-    some = rows.where(F.col("toxic") >= least).withColumn("odds", score).where(F.col("odds") >= odds).orderBy(F.desc("toxic"), "term").limit(MAX_TERMS).collect()
+    some = rows.where(F.col("toxic") >= least).withColumn("odds", score).where(F.col("odds") >= odds).collect()  # terms of the sample, which is bounded
     words = {r.term: float(r.odds) for r in some if not r.term.endswith("*")}
     begins = {r.term[:-1]: float(r.odds) for r in some if r.term.endswith("*")}
     # A beginning that one word alone accounts for says no more than the word.
@@ -247,7 +291,13 @@ def fit(labelled: DataFrame, least: int = 4, odds: float = 3.0) -> Model:
     begins = {b: w for b, w in begins.items() if next(r.toxic for r in some if r.term == b + "*") > 1.5 * most.get(b, 0)}
     model = Model(words, begins)
     # Words of other texts that lie one edit from a term are no misspellings of it.
-    model.innocent = frozenset(r.word for r in labelled.where("label = 0").select("text").mapInArrow(lambda it: _close(it, Model(words, {})), "word string").distinct().limit(200_000).collect())
+    model.innocent = frozenset(r.word for r in labelled.where("label = 0").select("text").mapInArrow(lambda it: _close(it, Model(words, {})), "word string").distinct().collect())
+    # Words that clean texts have around hits, and toxic ones lack: the hit is then reported, not meant.
+    seen = labelled.select("text", "label").mapInArrow(lambda it: _surrounded(it, model), "term string, n long, toxic long").groupBy("term").agg(F.sum("n").alias("n"), F.sum("toxic").alias("toxic")).collect()
+    whole = next((r for r in seen if r.term == ""), None)
+    if whole is not None:
+        clean = whole.n - whole.toxic
+        model.report = frozenset(r.term for r in seen if r.term and r.n - r.toxic >= least and np.log((r.n - r.toxic + 0.5) / (clean + 1)) - np.log((r.toxic + 0.5) / (whole.toxic + 1)) >= odds)
     sample = labelled.select("text", "label").mapInArrow(lambda it: _sampled(it, model), "x array<double>, label int").collect()
     model.weights = logistic(np.array([r.x for r in sample]), np.array([float(r.label) for r in sample]))
     return model
@@ -264,6 +314,21 @@ def _close(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.Recor
     yield pa.RecordBatch.from_arrays([pa.array(sorted(out), pa.string())], names=["word"])
 
 
+@lean
+def _surrounded(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
+    """Texts with each word around their hits, by label; the empty word counts all texts with hits."""
+    scorer, n, toxic = Scorer(model), Counter(), Counter()
+    for batch in batches:
+        for text, label in zip(batch.column("text").to_pylist(), batch.column("label").to_pylist(), strict=True):
+            terms = scorer.around(text)
+            if terms is not None:
+                terms.add("")
+                n.update(terms)
+                if label:
+                    toxic.update(terms)
+    yield _counts(n, toxic)
+
+
 @lean
 def _scored(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
     scorer = Scorer(model)
