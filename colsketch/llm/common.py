@@ -13,6 +13,10 @@ from pyspark.sql import functions as F
 from ..session import cut, shared_dir
 
 
+#: Rows of small tables (a row for each source, label) that are broadcast; larger ones are joined.
+BROADCAST_ROWS = 100_000
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -97,3 +101,26 @@ def label_sample(docs: DataFrame, labels: DataFrame, wanted: str, train, limit:
     some = some.groupBy("doc_id").agg(F.max(wanted).alias("label"))
     some = some.orderBy(F.xxhash64("doc_id"), "doc_id").limit(limit)
     return docs.select("doc_id", "text").join(F.broadcast(some), "doc_id")
+
+
+def sample_of_each(docs: DataFrame, wanted: str, train, limit: int) -> DataFrame:
+    """As label_sample() for a label in docs itself, with about the same number of documents of each label, and all of those
+    of rare ones; about `limit` in all, by hash of doc_id."""
+    some = docs.where(F.col("doc_id").isNotNull() & F.col(wanted).isNotNull() & train).select("doc_id", "text", F.col(wanted).alias("label"))
+    sizes = cut(some.groupBy("label").agg(F.count("*").alias("n")))
+    labels = sizes.count()
+    share = sizes.select(F.col("label").alias("of"), (F.lit(max(1.0, limit / max(1, labels))) / F.col("n")).alias("share"))
+    drawn = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < F.col("share") * (1 << 30)
+    joined = some.join(F.broadcast(share) if labels <= BROADCAST_ROWS else share, F.col("label") == F.col("of"))
+    return joined.where(drawn).select("doc_id", "text", "label")
+
+
+def fresh(columns: list[str], *names: str) -> list[str]:
+    """The names, each with underscores after it until no column has it (in any case)."""
+    taken, out = {c.lower() for c in columns}, []
+    for n in names:
+        while n.lower() in taken:
+            n += "_"
+        taken.add(n.lower())
+        out.append(n)
+    return out

@@ -3,10 +3,12 @@
 The pieces are those of a fixed public vocabulary, with single bytes for all else. Each language has a probability for
 each piece, estimated by expectation maximisation over the segmentations of its training words. A word's probability in
 a language is the sum over all ways to cut it into pieces, by the forward recursion; a text's is the product over its
-words. Words are runs of ASCII letters and characters outside ASCII, A-Z lower-cased; runs of over 64 bytes count as
-consecutive words.
+words. Words are runs of ASCII letters and characters outside ASCII, A-Z lower-cased; runs of over LONGEST_WORD bytes count
+as consecutive words, so that the products of a word's probabilities stay in range. Every piece of the vocabulary that
+words can contain takes part, however long.
 
-The language of a null text or one without a letter is `und`, with score 0. Repeated rows are predicted each.
+The language of a null text or one without a letter is `und`, with score 0. Repeated rows are predicted each. Ties go to
+the first language in code point order. An empty table gives no rows; without labelled rows every language is `und`.
 """
 
 from __future__ import annotations
@@ -14,6 +16,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
@@ -25,7 +28,6 @@ from .kernels import Block, blocks
 #: Most labelled rows that the piece probabilities are fitted on.
 MAX_LABELLED = 12_000
 LONGEST_WORD = 64
-LONGEST_PIECE = 10
 _b = np.arange(256)
 LETTERS = ((_b >= 65) & (_b <= 90)) | ((_b >= 97) & (_b <= 122)) | (_b >= 128)
 _CODE = np.random.Generator(np.random.PCG64(5)).integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
@@ -47,6 +49,14 @@ def _hash(piece: bytes) -> int:
     return h
 
 
+class Lattice(NamedTuple):
+    """Pieces met in words: where each starts, its length in bytes, and its number."""
+
+    at: np.ndarray
+    size: np.ndarray
+    piece: np.ndarray
+
+
 class Pieces:
     """Looks pieces up at every place and length at once: a filter of 2^20 bits, then a sorted table of hashes."""
 
@@ -59,7 +69,7 @@ class Pieces:
             if not (model.is_byte(k) or model.is_control(k) or model.is_unknown(k)):
                 p = model.id_to_piece(k).replace("▁", " ").encode()
                 body = p.removeprefix(b" ")
-                if p and len(p) <= LONGEST_PIECE and LETTERS[list(body)].all() and body == body.lower():
+                if p and LETTERS[list(body)].all() and body == body.lower():
                     found.add(p)
         self.pieces = sorted(found)
         h = np.array([_hash(p) for p in self.pieces], np.uint64)
@@ -67,22 +77,28 @@ class Pieces:
         self.hash, self.ids = h[order], order.astype(np.int32)
         self.filter = np.zeros(1 << 20, bool)
         self.filter[h >> np.uint64(44)] = True
-        self.n = len(self.pieces)
-
-    def lattice(self, data: np.ndarray, left: np.ndarray) -> list[np.ndarray]:
-        """For each length l, the piece of l bytes from each place on, n where there is none. left: bytes to the word's end."""
-        out, h, n = [], np.zeros(len(data), np.uint64), len(data)
-        for length in range(1, LONGEST_PIECE + 1):
-            m = max(0, n - length + 1)
-            h = h[:m] * _STEP + _CODE[data[length - 1 :]]
-            found = np.full(n, self.n, np.int32)
-            at = np.flatnonzero(self.filter[h >> np.uint64(44)] & (left[:m] >= length))
-            place = np.searchsorted(self.hash, h[at])
+        self.n, self.longest = len(self.pieces), max(map(len, self.pieces))
+
+    def lattice(self, data: np.ndarray, left: np.ndarray) -> Lattice:
+        """Every piece at every place. left: bytes from a place to the end of its word."""
+        places, sizes, ids = [], [], []
+        at, h = np.arange(len(data)), np.zeros(len(data), np.uint64)
+        for length in range(1, self.longest + 1):
+            inside = left[at] >= length
+            at, h = at[inside], h[inside]
+            if not len(at):
+                break
+            h = h * _STEP + _CODE[data[at + length - 1]]
+            maybe = np.flatnonzero(self.filter[h >> np.uint64(44)])
+            place = np.searchsorted(self.hash, h[maybe])
             place[place == self.n] = 0
-            good = self.hash[place] == h[at]
-            found[at[good]] = self.ids[place[good]]
-            out.append(found)
-        return out
+            good = self.hash[place] == h[maybe]
+            places.append(at[maybe[good]])
+            sizes.append(np.full(int(good.sum()), length))
+            ids.append(self.ids[place[good]])
+        if not places:
+            return Lattice(*(np.zeros(0, np.int64) for _ in range(3)))
+        return Lattice(np.concatenate(places), np.concatenate(sizes), np.concatenate(ids))
 
 
 @lru_cache(maxsize=2)
@@ -119,36 +135,33 @@ class Words:
         self.left = np.repeat(self.size, self.size) - inner
         self.n = len(self.size)
 
-    def forward(self, lattice: list[np.ndarray], p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """alpha at each place of each word (a row of languages), words having one place more than bytes; and where words begin in it."""
+    def _swept(self, lattice: Lattice, p: np.ndarray, backwards: bool) -> np.ndarray:
+        """Sums over all ways to cut each word up to each place (backwards: from each place on); words have one place more
+        than bytes. The pieces that end (start) at the same distance are taken together, word by word."""
+        word = np.repeat(np.arange(self.n), self.size)
+        own = word[lattice.at]
+        start = lattice.at - self.at[own]
+        far = self.size[own] - start if backwards else start + lattice.size
+        order = np.lexsort((own, far))
+        own, far, piece = own[order], far[order], lattice.piece[order]
         begin = self.at + np.arange(self.n)
-        alpha = np.zeros((len(self.data) + self.n, p.shape[1]))
-        alpha[begin] = 1.0
-        for t in range(1, int(self.size[0]) + 1 if self.n else 0):
-            m = int(np.searchsorted(-self.size, -t, side="right"))
-            a, d = begin[:m], self.at[:m]
-            total = np.zeros((m, p.shape[1]))
-            for length in range(1, min(t, LONGEST_PIECE) + 1):
-                ids = lattice[length - 1][d + (t - length)]
-                hit = np.flatnonzero(ids < len(p) - 1)
-                total[hit] += alpha[a[hit] + (t - length)] * p[ids[hit]]
-            alpha[a + t] = total
-        return alpha, begin
-
-    def backward(self, lattice: list[np.ndarray], p: np.ndarray, begin: np.ndarray) -> np.ndarray:
-        beta = np.zeros((len(self.data) + self.n, p.shape[1]))
-        beta[begin + self.size] = 1.0
-        for back in range(1, int(self.size[0]) + 1 if self.n else 0):
-            m = int(np.searchsorted(-self.size, -back, side="right"))
-            at = self.size[:m] - back
-            a, d = begin[:m] + at, self.at[:m] + at
-            total = np.zeros((m, p.shape[1]))
-            for length in range(1, min(back, LONGEST_PIECE) + 1):
-                ids = lattice[length - 1][d]
-                hit = np.flatnonzero(ids < len(p) - 1)
-                total[hit] += beta[a[hit] + length] * p[ids[hit]]
-            beta[a] = total
-        return beta
+        near = begin[own] + (start + lattice.size if backwards else start)[order]
+        into = begin[own] + (start if backwards else start + lattice.size)[order]
+        out = np.zeros((len(self.data) + self.n, p.shape[1]))
+        out[begin + (self.size if backwards else 0)] = 1.0
+        edge = np.searchsorted(far, np.arange(1, int(self.size[0]) + 2 if self.n else 1))
+        for x, y in zip(edge[:-1], edge[1:], strict=True):
+            if y > x:
+                new = np.flatnonzero(np.append(True, own[x + 1 : y] != own[x : y - 1]))
+                out[into[x:y][new]] = np.add.reduceat(out[near[x:y]] * p[piece[x:y]], new, axis=0)
+        return out
+
+    def forward(self, lattice: Lattice, p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Sums up to each place (a row of languages), and where words begin among the places."""
+        return self._swept(lattice, p, False), self.at + np.arange(self.n)
+
+    def backward(self, lattice: Lattice, p: np.ndarray) -> np.ndarray:
+        return self._swept(lattice, p, True)
 
 
 @dataclass
@@ -160,7 +173,7 @@ class Model:
     def scaled(self) -> np.ndarray:
         table = pieces(self.vocabulary)
         size = np.array([len(x) for x in table.pieces])
-        return np.vstack([self.p * (_SCALE ** size)[:, None], np.zeros((1, self.p.shape[1]))])
+        return self.p * (_SCALE ** size)[:, None]
 
     def log_likelihoods(self, block: Block, scaled: np.ndarray) -> np.ndarray:
         """Documents x languages."""
@@ -192,21 +205,17 @@ def _expected(batches: Iterator[pa.RecordBatch], vocabulary: str, languages: lis
             n = np.zeros((words.n, len(languages)))
             np.add.at(n, (words.of, label[i:j][words.doc]), 1.0)
             word = np.repeat(np.arange(words.n), words.size)
+            own = word[lattice.at]
             if model is None:
-                for ids in lattice:
-                    hit = np.flatnonzero(ids < table.n)
-                    for k in range(len(languages)):
-                        total[:, k] += np.bincount(ids[hit], n[word[hit], k], minlength=table.n)
-                continue
-            alpha, begin = words.forward(lattice, scaled)
-            beta = words.backward(lattice, scaled, begin)
-            z = np.maximum(alpha[begin + words.size], 1e-280)
-            inner = np.arange(len(words.data)) - words.at[word] + begin[word]
-            for length, ids in enumerate(lattice, 1):
-                hit = np.flatnonzero(ids < table.n)
-                share = alpha[inner[hit]] * scaled[ids[hit]] * beta[inner[hit] + length] / z[word[hit]] * n[word[hit]]
-                for k in range(len(languages)):
-                    total[:, k] += np.bincount(ids[hit], share[:, k], minlength=table.n)
+                share = n[own]
+            else:
+                alpha, begin = words.forward(lattice, scaled)
+                beta = words.backward(lattice, scaled)
+                z = np.maximum(alpha[begin + words.size], 1e-280)
+                inner = lattice.at - words.at[own] + begin[own]
+                share = alpha[inner] * scaled[lattice.piece] * beta[inner + lattice.size] / z[own] * n[own]
+            for k in range(len(languages)):
+                total[:, k] += np.bincount(lattice.piece, share[:, k], minlength=table.n)
     at, lang = np.nonzero(total)
     yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int64)), pa.array(lang.astype(np.int64)), pa.array(total[at, lang])], names=["piece", "lang", "n"])
 

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..session import ship
 from . import contamination, extraction, language, lm, mixing, near, quality, sharding, substrings, toxicity
-from .common import bit_map, in_bit_map, label_sample, table
+from .common import bit_map, in_bit_map, label_sample, sample_of_each, table
 
 
 def _remainder(column: str, by: int) -> F.Column:
@@ -59,7 +59,7 @@ def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     held_out = F.coalesce(_remainder("doc_id", 4) == 2, F.lit(False))
-    sample = label_sample(docs, docs, "lang", _remainder("doc_id", 4) != 2, language.MAX_LABELLED)
+    sample = sample_of_each(docs, "lang", _remainder("doc_id", 4) != 2, language.MAX_LABELLED)
     return language.identify(docs, language.fit(sample)).select("doc_id", held_out.alias("held_out"), "lang_pred", "score")
 
 
