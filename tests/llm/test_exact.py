@@ -3,6 +3,7 @@
 import random
 
 import brute
+import corpus_pipeline
 import pytest
 from conftest import DATA
 
@@ -112,21 +113,36 @@ def test_mixing(spark):
     assert again == {tuple(r) for r in rows}
 
 
-def test_mixture_targets():
-    sizes, weights = [100, 1, 50, 0, 7], [5, 2, 1, 5, 2]
-    got, total = mixing.targets(sizes, weights), sum(sizes)
-    want, capped = [0.0] * 5, set()
-    while True:  # reshare until none is above
+@pytest.mark.parametrize("sizes", [[100, 1, 50, 0, 7], [5], [0, 0], [1, 1, 1000, 3, 2, 900], [10**9, 1, 2, 3]])
+def test_mixture_targets(spark, sizes):
+    weights = [(5, 2, 1)[i % 3] for i in range(len(sizes))]
+    df = spark.createDataFrame([(i, n, w) for i, (n, w) in enumerate(zip(sizes, weights, strict=True))], "i int, n long, weight long")
+    got, total = [r.target for r in mixing.targets(df).orderBy("i").collect()], sum(sizes)
+    want, capped = [0.0] * len(sizes), set()
+    while len(capped) < len(sizes):  # reshare until none is above
         left = total - sum(3 * sizes[i] for i in capped)
-        w = sum(weights[i] for i in range(5) if i not in capped)
-        want = [3.0 * sizes[i] if i in capped else left * weights[i] / w for i in range(5)]
-        above = {i for i in range(5) if want[i] > 3 * sizes[i]}
+        w = sum(weights[i] for i in range(len(sizes)) if i not in capped)
+        want = [3.0 * sizes[i] if i in capped else left * weights[i] / w for i in range(len(sizes))]
+        above = {i for i in range(len(sizes)) if want[i] > 3 * sizes[i]}
         if not above:
             break
         capped |= above
     assert got == pytest.approx(want)
 
 
+def test_clashing_columns(spark):
+    """Columns that operators use inside, or that differ in case alone, pass through."""
+    names = ["whole", "Top", "copy_", "cut_key", "cut_id", "CUT_SOURCE", "copy_of_other", "found_id", "part", "n", "key", "size", "at"]
+    base = " ".join(f"b{i}" for i in range(40))
+    rows = [(i, base if i % 2 else f"text {i} " * 9, f"s{i % 3}" if i % 4 else None, *["x"] * len(names)) for i in range(24)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string, " + ", ".join(f"{n} string" for n in names))
+    out = mixing.mixed_rows(df)
+    assert out.columns == df.columns and out.count() > 0
+    for stage in (corpus_pipeline.drop_near_copies, corpus_pipeline.drop_contaminated, corpus_pipeline.drop_toxic, corpus_pipeline.mix_sources):
+        assert stage(spark, df, SF).columns == df.columns
+    assert corpus_pipeline.drop_near_copies(spark, df, SF).count() == 13
+
+
 def test_mixed_rows(spark):
     df, _ = awkward(spark)
     plan = {r.doc_id: r.copies for r in mixing.mix(df).collect()}

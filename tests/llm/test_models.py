@@ -1,5 +1,7 @@
 """Operators that learn: held-out accuracy on the given tables, and awkward rows."""
 
+import random
+
 import pytest
 from brute import article
 from conftest import DATA
@@ -25,6 +27,88 @@ def test_misspellings_and_quotes():
     assert s.automaton.match("stoped") is None and s.automaton.match("loweix") == ("lowei*", 0)
     bare, quoted = s.figures("you clown")[0], s.figures('they said "you clown" once')[0]
     assert bare[0] > 0 == bare[1] and quoted[1] > 0 == quoted[0]
+    for text in ('a 6" pipe is here. you stupid clown. "ok', 'she said "hello" and then left. said you stupid', '"' + "x " * 40 + "clown " + "y " * 40 + '"'):
+        assert s.figures(text)[0][1] == 0 < s.figures(text)[0][0]
+    for text in ("„you clown“ sagte er", "il dit « you clown »", "“you clown,” he wrote", 'x "clown"'):
+        assert s.figures(text)[0][0] == 0 < s.figures(text)[0][1]
+    told = toxicity.Scorer(toxicity.Model({"clown": 5.0}, {}, report=frozenset(["reportedly"])))
+    assert told.figures("reportedly a clown")[0][:3] == [0.0, 0.0, pytest.approx(1.791759469)]
+
+
+def test_automaton_against_plain_distance():
+    def apart(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            row, old = [i], row
+            for j, y in enumerate(b, 1):
+                row.append(min(old[j] + 1, row[-1] + 1, old[j - 1] + (x != y)))
+        return row[-1]
+
+    r = random.Random(1)
+    terms = sorted({"".join(r.choices("abc", k=r.randrange(3, 8))) for _ in range(30)})
+    automaton = toxicity.Automaton(dict.fromkeys(terms, 1.0), {})
+    for _ in range(4000):
+        word = "".join(r.choices("abc", k=r.randrange(1, 9)))
+        found = [(apart(word, t), t) for t in terms if word == t or (len(t) >= 5 and apart(word, t) <= 1)]
+        best = automaton.match(word)
+        assert best == ((min(found)[1], min(found)[0]) if found else None)
+
+
+def test_report_words_are_learned(spark):
+    rows = [(f"you clown number{i} go home", 1) for i in range(12)] + [(f"historians note the word clown{i % 3} as an insult", 0) for i in range(9)] + [("historians note that clown is an insult", 0)] * 6 + [(f"plain text {i}", 0) for i in range(200)]
+    model = toxicity.fit(spark.createDataFrame(rows, "text string, label int"), odds=2.0)
+    assert "clown" in model.words and "historians" in model.report and "you" not in model.report
+    scores = {r.doc_id: r.score for r in toxicity.toxicity(spark.createDataFrame([(1, "you clown go home"), (2, "historians note that clown is an insult")], "doc_id long, text string"), model).collect()}
+    assert scores[1] > scores[2]
+    assert toxicity.fit(spark.createDataFrame([], "text string, label int")).words == {}
+
+
+def test_all_segmentations_count():
+    """The recursion against a sum over every way to cut a word into pieces."""
+    import numpy as np
+
+    table = language.pieces(language.default_vocabulary())
+    assert table.longest > 10
+    number = {p: k for k, p in enumerate(table.pieces)}
+    rng = np.random.default_rng(0)
+    p = rng.random((table.n, 2)) + 0.1
+    p /= p.sum(axis=0)
+    texts = ["the government", "использование", "internationale Verständigung ß", "a", "", "x" * 700]
+    model = language.Model(language.default_vocabulary(), ["a", "b"], p)
+
+    def whole(word):
+        sums = [np.ones(2)] + [np.zeros(2) for _ in word]
+        for end in range(1, len(word) + 1):
+            for start in range(max(0, end - table.longest), end):
+                k = number.get(word[start:end])
+                if k is not None:
+                    sums[end] = sums[end] + sums[start] * p[k]
+        return np.log(sums[-1])
+
+    import pyarrow as pa
+
+    from colsketch.llm.kernels import blocks
+
+    for _, _, block in blocks(pa.array(texts), language.LETTERS, lower=True):
+        got = model.log_likelihoods(block, model.scaled())
+    lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    for text, row in zip(texts, got, strict=True):
+        want = np.zeros(2)
+        for word in text.translate(lower).split():
+            data = word.encode()
+            for a in range(0, len(data), language.LONGEST_WORD):
+                want += whole(b" " + data[a : a + language.LONGEST_WORD])
+        assert np.allclose(row, want)
+
+
+def test_rare_languages_are_learned(spark):
+    from pyspark.sql import functions as F
+
+    from colsketch.llm.common import sample_of_each
+
+    df = spark.createDataFrame([(i, "some text", "en") for i in range(3000)] + [(5000 + i, "autre texte", "fr") for i in range(3)] + [(None, "x", "de"), (7, "y", None)], "doc_id long, text string, lang string")
+    got = {r.label: r["count"] for r in sample_of_each(df, "lang", F.lit(True), 100).groupBy("label").count().collect()}
+    assert got["fr"] == 3 and 20 < got["en"] < 90 and set(got) == {"en", "fr"}
 
 
 def test_language_held_out(spark):
