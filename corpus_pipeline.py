@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from colsketch.llm import contamination, mixing, near, registry, sharding, toxicity
-from colsketch.llm.common import shared_dir, stored, table
+from colsketch.llm.common import fresh, shared_dir, stored, table
 from colsketch.session import ship
 
 
@@ -22,14 +22,16 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of linked documents the one with the smallest doc_id; documents with a null doc_id stay."""
     ship(spark)
-    groups = near.near_duplicates(docs).where("doc_id != component_id").select(F.col("doc_id").alias("copy_of_other")).distinct()
-    return docs.join(groups, docs.doc_id == F.col("copy_of_other"), "left_anti")
+    (other,) = fresh(docs.columns, "copy_of_other")
+    groups = near.near_duplicates(docs).where("doc_id != component_id").select(F.col("doc_id").alias(other)).distinct()
+    return docs.join(groups, F.col("doc_id") == F.col(other), "left_anti")
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that are not contaminated by benchmark items."""
-    found = contamination.contamination(docs, table(spark, sf_dir, "benchmark")).where("contaminated").select(F.col("doc_id").alias("found_id")).distinct()
-    return docs.join(found, docs.doc_id == F.col("found_id"), "left_anti")
+    (hit,) = fresh(docs.columns, "found_id")
+    found = contamination.contamination(docs, table(spark, sf_dir, "benchmark")).where("contaminated").select(F.col("doc_id").alias(hit)).distinct()
+    return docs.join(found, F.col("doc_id") == F.col(hit), "left_anti")
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
