@@ -168,7 +168,58 @@ def test_template_chooses_the_slot(spark):
     assert got[20] == "Head 20\nThe only page of its host, long enough" and got[21] == "no slot" and got[22] == ""
     assert got[30] == got[33] == f"Head 1\n{('word 1 ' * 9).strip()}\nSame in all\n1.5"
     tokens = {(r.host, r.token) for r in extraction.templates(df).collect()}
-    assert ("a.org", "html/body/div.page/div.text/p\nSame in all") in tokens and not any(h == "once.org" for h, _ in tokens)
+    assert ("a.org", "html/body/div.page/div.text/p\n=Same in all") in tokens and not any(h == "once.org" for h, _ in tokens)
+
+
+def test_classes_decide_what_is_template(spark, monkeypatch):
+    """Notes on the same pages are one class and left out; a note with a vector of its own is kept, and so is one in no order."""
+
+    def page(i):
+        note = "<p>First fixed note</p><p>Second fixed note</p>" if i % 3 else ""
+        alone = "<p>Note of its own</p>" if i % 4 else ""
+        swapped = ("<p>One side</p>", "<p>Other side</p>")
+        turned = "".join(swapped if i % 2 else swapped[::-1]) if i != 5 else ""
+        return f"<html><body><div class='x'><h1>Title {i}</h1><p>{'varied %d ' % i * 12}</p>{note}{alone}{turned}</div></body></html>"
+
+    rows = [(i, "http://c.org/%d" % i, page(i)) for i in range(12)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for bound in (50_000, 0):
+        monkeypatch.setattr(extraction, "BROADCAST_TOKENS", bound)
+        got = {r.page_id: r.text for r in extraction.extract(df).collect()}
+        for i in range(12):
+            want = [f"Title {i}", ("varied %d " % i * 12).strip(), *(["Note of its own"] if i % 4 else [])]
+            sides = ["One side", "Other side"] if i % 2 else ["Other side", "One side"]
+            assert got[i] == "\n".join(want + (sides if i != 5 else []))
+    by = {}
+    for r in extraction.classes(extraction.token_sums(df)).collect():
+        by.setdefault((r.host, r.class_id), set()).add(r.token.partition("\n=")[2])
+    assert any({"First fixed note", "Second fixed note"} <= x for x in by.values()) and not any("Note of its own" in x for x in by.values())
+
+
+def test_orders_and_nesting():
+    table = {"a": (1, 2), "z": (1, 2), "b": (2, 2), "y": (2, 2), "c": (3, 3), "d": (3, 3), "e": (3, 3)}
+    good = extraction.orders(list("abybyz"), table)
+    assert good[1] == (True, "a\nz", (0, 0)) and good[2] == (True, "b\ny", (1, 1))
+    assert extraction.orders(list("abzy"), table)[1][0] != extraction.orders(list("abzy"), table)[2][0]
+    assert not extraction.orders(list("byyb"), table)[2][0]
+    assert not extraction.orders(list("abyzby"), table)[2][0]  # in two slots
+    crossing = extraction.orders(list("cbdye"), table)
+    assert crossing[3][0] and not crossing[2][0]
+    assert extraction.orders(list("cd"), table)[3][0] is False
+
+
+def test_markup_that_is_awkward():
+    def text(page):
+        return extraction.main_text(page, set())
+
+    assert text("<p>Hello <button>Click me</button> world</p>") == "Hello world"
+    assert text("<p>Pick <select><option>one<option>two</select> now <span class='ad'>buy</span>end</p>") == "Pick now end"
+    assert text('<p class=x">Hello</p><p class="y">World</p>') == "Hello\nWorld"
+    assert text("<p title='a > b'>in</p><p data-x=\"1\"class='k'>out</p>") == "in\nout"
+    assert text("<article><div class='social-policy'>Policy text</div><div class='share-prices'>Prices</div><div class='share-buttons'>Like</div></article>") == "Policy text\nPrices"
+    assert text("<div class='user-comments'><p>me too</p></div><p>a &lt; b</p>") == "a < b"
+    assert text("<p>a<b>b</b><i class='sponsored'>x<u>y</u></i>c") == "abc"
+    assert text("<scripty>kept</scripty><script>no</script >yes") == "keptyes"
 
 
 def test_quality_keeps_trusted(spark):
