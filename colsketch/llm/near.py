@@ -18,7 +18,9 @@ Sets that are equal are one class, joined as one row. In each bucket of equal bl
 last of them; what verification leaves in different components is then compared in full by sketches, chunk by chunk, and
 only pairs that these do not rule out become rows. Candidates are verified on the sets themselves (hashes of 48 bits).
 
-Null and empty texts and texts without words have no shingles and link with nothing. Rows with a null doc_id are left
+A block that very many sets may send, as it has frequent shingles alone, is dealt to SALTS parts, whose figures are summed.
+
+Null and empty texts and texts without words have no shingles and link with nothing; an empty table gives no rows. Rows with a null doc_id are left
 out of links. Repeated rows with one doc_id count by the union-free rule that each row stands for itself; they share
 the component of their doc_id.
 """
@@ -41,6 +43,8 @@ COMMON = 24
 OFTEN, CHUNK, MAP_BITS = 6, 3_000_000, 1 << 25
 #: Sets of a bucket that are compared with as many others at a time.
 CELL = 1024
+#: Parts into which a bucket that very many sets may share is dealt; its figures are summed by part first.
+SALTS = 32
 
 
 def shingle_sets(block: Block, words: int) -> Iterator[np.ndarray]:
@@ -88,14 +92,14 @@ class Bands:
         """Least and largest a + b of a set of n shingles and a partner."""
         return n + -(-n * self.num // self.den), n + n * self.den // self.num
 
-    def sketches(self, s: np.ndarray, frequent: np.ndarray) -> tuple[np.ndarray, int]:
-        """Keys of the blocks that a set sends, and how many common blocks it may drop.
+    def sketches(self, s: np.ndarray, frequent: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
+        """Keys of the blocks that a set sends, which of them very many sets may send, and how many common blocks it may drop.
 
         frequent marks shingles; blocks of nothing else come last, which is an order all sets agree on.
         """
         n = len(s)
         low, high = self.totals(n)
-        out = []
+        out, hot = [], []
         levels = range(self.level(low), self.level(high) + 1)
         for p in levels:
             top = high
@@ -114,9 +118,11 @@ class Bands:
             taken = np.concatenate([np.flatnonzero(~last), np.flatnonzero(last)])[:m] if last.any() else np.arange(m)
             parity = np.bitwise_xor.reduceat(s, first)[taken]
             out.append(mix(mix(parity) + block[first[taken]] * np.uint64(64) + np.uint64(p)))
+            hot.append(last[taken])
             if k < 0:  # nothing is sure of its blocks: such sets all meet
                 out.append(np.array([mix_int(p + 7_777_777)], np.uint64))
-        return np.concatenate(out), self.free(n)
+                hot.append(np.ones(1, bool))
+        return np.concatenate(out), np.concatenate(hot), self.free(n)
 
 
 def map_place(s: np.ndarray) -> np.ndarray:
@@ -187,16 +193,18 @@ def _sent(batches: Iterator[pa.RecordBatch], words: int, bands: Bands, often) ->
     for batch in batches:
         ids = batch.column("doc_id")
         for i, j, block in blocks(batch.column("text"), SPACE_WORDS, lower=True):
-            keys, at, slack = [], [], []
+            keys, at, slack, hot = [], [], [], []
             for d, s in enumerate(shingle_sets(block, words)):
                 if len(s) and ids[i + d].is_valid:
-                    k, free = bands.sketches(s, in_map(s, often.value))
+                    k, many, free = bands.sketches(s, in_map(s, often.value))
                     keys.append(k)
+                    hot.append(many)
                     at.append(np.full(len(k), d))
                     slack.append(np.full(len(k), free, np.int32))
             if keys:
                 doc = np.asarray(ids[i:j].fill_null(0))[np.concatenate(at)]
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(doc), pa.array(np.concatenate(slack))], names=["key", "doc_id", "slack"])
+                salt = np.where(np.concatenate(hot), 1 + mix(doc.view(np.uint64)) % np.uint64(SALTS), 0).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(doc), pa.array(np.concatenate(slack)), pa.array(salt)], names=["key", "doc_id", "slack", "salt"])
 
 
 @lean
@@ -310,11 +318,45 @@ def _cells(batches: Iterator[pa.RecordBatch], bands: Bands) -> Iterator[pa.Recor
     yield rows()
 
 
+def _spans(rows: DataFrame, *figures) -> DataFrame:
+    """rows (key, salt, ...) with figures by key: partial sums, joined back by key and salt, so that no key is in one task."""
+    stats = rows.groupBy("key").agg(F.max("salt").alias("top"), *figures)
+    salts = F.when(F.col("top") > 0, F.sequence(F.lit(1), F.lit(SALTS))).otherwise(F.array(F.lit(0)))
+    return rows.join(stats.withColumn("salt", F.explode(salts)).drop("top"), ["key", "salt"])
+
+
+def _first_last() -> tuple:
+    return F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.count("*").alias("n")
+
+
+def _meetings(keys: DataFrame) -> DataFrame:
+    """The rows of keys (key, doc_id, slack, salt) whose key two documents have, with the number n of its rows.
+
+    Salt 0 needs one exchange and no sum; the rows of the other salts, of keys that many sets may have, are summed by key
+    and salt, and then by key.
+    """
+    part = "over (partition by key, salt)"
+    own = stored(keys.selectExpr("*", f"min(doc_id) {part} as first", f"max(doc_id) {part} as last", f"count(*) {part} as n").where("first < last or salt > 0"))
+    hot = own.where("salt > 0")
+    heads = hot.where("doc_id = first").select("key", "salt", "first", "last", "n").distinct()
+    whole = heads.groupBy("key").agg(F.min("first").alias("first"), F.max("last").alias("last"), F.sum("n").alias("n")).where("first < last")
+    whole = whole.select("key", "n", F.explode(F.sequence(F.lit(1), F.lit(SALTS))).alias("salt"))
+    columns = ("key", "doc_id", "slack", "salt", "n")
+    return own.where("salt = 0").select(*columns).unionByName(hot.drop("n").join(whole, ["key", "salt"]).select(*columns))
+
+
 def _across(meta: DataFrame, mixed: DataFrame, bands: Bands) -> DataFrame:
-    """Close pairs (a, b) of different components c in mixed (key, doc_id, c): within each bucket, chunk by chunk."""
+    """Close pairs (a, b) of different components c in mixed (key, doc_id, c): within each bucket, chunk by chunk.
+
+    Chunks hold sets of one size class; linked sets are in the same class or in neighbours, so no others meet.
+    """
     some = meta.where("n_shingles > 0").select("doc_id", "n_shingles", "sketch").mapInArrow(_halved, "doc_id long, n_shingles long, sketch binary")
-    ranked = mixed.selectExpr("*", f"cast(floor((row_number() over (partition by key order by doc_id) - 1) / {CELL}) as int) as chunk", f"cast(floor((count(*) over (partition by key) - 1) / {CELL}) as int) as top")
-    dealt = ranked.select("key", "doc_id", "c", "chunk", F.explode(F.sequence(F.lit(0), F.col("top"))).alias("other")).join(some, "doc_id")
+    level = F.floor(F.log("n_shingles") / (1.0001 * float(np.log(bands.den / bands.num)))).cast("int")
+    sized = stored(mixed.join(meta.where("n_shingles > 0").select("doc_id", level.alias("level")).distinct(), "doc_id"))
+    tops = sized.groupBy("key", "level").agg(F.ceil(F.count("*") / F.lit(CELL)).cast("long").alias("top"))
+    chunk = F.col("level").cast("long") * (1 << 32) + F.pmod(F.xxhash64("doc_id"), F.col("top"))
+    placed = sized.join(tops, ["key", "level"]).select("key", "doc_id", "c", chunk.alias("chunk"), F.explode(F.array(*[F.col("level") + k for k in (-1, 0, 1)])).alias("level"))
+    dealt = placed.join(tops, ["key", "level"]).select("key", "doc_id", "c", "chunk", F.explode(F.transform(F.sequence(F.lit(0).cast("long"), F.col("top") - 1), lambda k: F.col("level").cast("long") * (1 << 32) + k)).alias("other")).join(some, "doc_id")
     dealt = dealt.withColumn("one", F.least("chunk", "other")).withColumn("two", F.greatest("chunk", "other")).drop("other")
     count = int(meta.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     return dealt.repartition(count, "key", "one", "two").sortWithinPartitions("key", "one", "two").mapInArrow(lambda it: _cells(it, bands), "a long, b long").distinct()
@@ -349,21 +391,20 @@ def similarity_join(docs: DataFrame, words: int = 5, num: int = 3, den: int = 4)
     meta = every.where("n_shingles >= 0")
     classes = meta.where("n_shingles > 0 and doc_id is not null").groupBy("n_shingles", "h1", "h2").agg(F.min("doc_id").alias("class_id"))
     members = meta.join(classes, ["n_shingles", "h1", "h2"], "left").select("doc_id", "n_shingles", "class_id")
-    keys = docs.mapInArrow(lambda it: _sent(it, words, bands, often), "key long, doc_id long, slack int")
-    met = keys.selectExpr("*", "min(doc_id) over (partition by key) as first", "max(doc_id) over (partition by key) as last", "count(*) over (partition by key) as n").where("first < last")
+    keys = docs.mapInArrow(lambda it: _sent(it, words, bands, often), "key long, doc_id long, slack int, salt int")
     # Of a class only its first member goes on; which ones are is a matter of one more join on the few rows that met.
     one_each = members.where("doc_id = class_id").select("doc_id").distinct()
-    met = stored(met.select("key", "doc_id", "slack", "n").join(one_each, "doc_id", "left_semi").distinct())
+    met = stored(_meetings(keys).join(one_each, "doc_id", "left_semi").distinct())
     # Each set drops the most common of its blocks, as many as its slack allows. The order (n, key) is the same for all.
     common = met.where(F.col("n") > COMMON).selectExpr("*", "row_number() over (partition by doc_id order by n desc, key desc) as place").where("place > slack")
-    kept = met.where(F.col("n") <= COMMON).select("key", "doc_id").unionByName(common.select("key", "doc_id"))
-    kept = stored(kept.selectExpr("key", "doc_id", "min(doc_id) over (partition by key) as first", "max(doc_id) over (partition by key) as last", "count(*) over (partition by key) as n").where("first < last"))
+    kept = met.where(F.col("n") <= COMMON).select("key", "doc_id", "salt").unionByName(common.select("key", "doc_id", "salt"))
+    kept = stored(_spans(kept, *_first_last()).where("first < last"))
     star = kept.select(F.col("first").alias("a"), F.col("doc_id").alias("b")).unionByName(kept.select(F.col("doc_id").alias("a"), F.col("last").alias("b"))).where("a != b").distinct()
     links = cut(_links(docs, stored(_close(meta, stored(star), bands)), words, bands))
     labels = components(links)
     # Buckets of three sets and fewer are fully compared by now.
-    rest = kept.where("n > 3").join(labels.withColumnRenamed("id", "doc_id"), "doc_id", "left").select("key", "doc_id", F.coalesce("component", "doc_id").alias("c"))
-    mixed = rest.selectExpr("*", "min(c) over (partition by key) as c0", "max(c) over (partition by key) as c1").where("c0 < c1").select("key", "doc_id", "c")
+    rest = kept.where("n > 3").select("key", "salt", "doc_id").join(labels.withColumnRenamed("id", "doc_id"), "doc_id", "left").select("key", "salt", "doc_id", F.coalesce("component", "doc_id").alias("c"))
+    mixed = _spans(rest, F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 < c1").select("key", "doc_id", "c")
     mixed = stored(mixed)
     close = stored(_across(meta, mixed, bands))
     if not close.isEmpty():

@@ -56,6 +56,8 @@ def test_near_with_common_blocks(spark, monkeypatch):
     df, texts = mutated(spark, 500, 9)
     monkeypatch.setattr(near, "COMMON", 3)
     monkeypatch.setattr(near, "CELL", 5)
+    monkeypatch.setattr(near, "CHUNK", 2000)
+    monkeypatch.setattr(near, "OFTEN", 2)
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in near.near_duplicates(df).collect()}
     assert got == brute.near(texts)
 
