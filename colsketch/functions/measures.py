@@ -48,6 +48,19 @@ def group_profile(fmap: DataFrame, r: int) -> DataFrame:
     return sizes.agg((F.lit(r) - F.count("*")).alias("empty_groups"), F.max("size").alias("largest"), F.sum("size").alias("features"))
 
 
+def group_entropy(fmap: DataFrame) -> DataFrame:
+    """(entropy) in bits of the sizes of groups; null without features."""
+    sizes = group_sizes(fmap)
+    share = F.col("size") / F.col("features")
+    return sizes.crossJoin(sizes.agg(F.sum("size").alias("features"))).agg((-F.sum(share * F.log2(share))).alias("entropy"))  # one row
+
+
+def balanced_accuracy(predictions: DataFrame) -> DataFrame:
+    """(balanced, majority) in percent: the mean recall of the classes, and the share of the largest one."""
+    by = predictions.groupBy("label").agg(F.avg((F.col("label") == F.col("predicted")).cast("double")).alias("recall"), F.count("*").alias("n"))
+    return by.agg((100 * F.avg("recall")).alias("balanced"), (100 * F.try_divide(F.max("n"), F.sum("n"))).alias("majority"))
+
+
 def orthonormality(fmap: DataFrame) -> DataFrame:
     """(bucket, gram): the diagonal of the scaled map's Gram matrix, size x (1/sqrt(size))^2; others are 0 by construction."""
     return group_sizes(fmap).select("bucket", "size", (F.col("size") * (1 / F.col("size"))).alias("gram"))
@@ -74,7 +87,7 @@ def prediction_ops(fm: FeatureMatrix, sketch: DataFrame | None, method: str, r:
     nnz = fm.rows.join(fm.entries.groupBy("row_id").agg(F.count("*").alias("nnz")), "row_id", "left").select("row_id", F.coalesce("nnz", F.lit(0)).alias("nnz"))
     width = 1 << max(0, (d - 1).bit_length())
     dense = {"gaussian": d * r, "ternary": d * r, "hadamard": int(width * math.log2(width)), "hadamard_topr": int(width * math.log2(width))}
-    if method in dense:
+    if method in dense:  # whatever the row
         return nnz.select("row_id", F.lit(dense[method]).cast("long").alias("projection"), F.lit(r).cast("long").alias("classification"))
     filled = sketch.groupBy("row_id").agg(F.count("*").alias("f"))
     return nnz.join(filled, "row_id", "left").select("row_id", F.col("nnz").alias("projection"), F.coalesce("f", F.lit(0)).alias("classification"))

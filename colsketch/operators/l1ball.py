@@ -175,11 +175,12 @@ def _exact(centres: DataFrame, lam: float) -> DataFrame:
     cell = F.broadcast(spark.createDataFrame([(*r[:6], r[7]) for r in rows], "bucket int, low double, high double, n0 long, t0 double, q0 double, l1 double"))
     a = centres.join(cell, "bucket").select("bucket", "low", "high", "n0", "t0", "q0", "l1", F.abs("value").alias("a"))
     # The upper edge counts as a magnitude without occurrences, as the threshold may lie above all values of the cell.
-    own = a.where((F.col("a") >= F.col("low")) & ((F.col("a") < F.col("high")) | (F.col("n0") == 0))).groupBy("bucket", "a").agg(F.count("*").alias("n"))
-    own = own.unionByName(cell.where("n0 > 0").select("bucket", F.col("high").alias("a"), F.lit(0).cast("long").alias("n"))).groupBy("bucket", "a").agg(F.sum("n").alias("n")).join(cell, "bucket")
+    own = a.where((F.col("a") >= F.col("low")) & ((F.col("a") < F.col("high")) | (F.col("n0") == 0))).groupBy("bucket", "a").agg(F.count("*").alias("n")).withColumn("edge", F.lit(False))
+    own = own.unionByName(cell.where("n0 > 0").select("bucket", F.col("high").alias("a"), F.lit(0).cast("long").alias("n"), F.lit(True).alias("edge"))).join(cell, "bucket")
     run = "over (partition by bucket order by a desc rows unbounded preceding)"
-    cum = own.selectExpr("bucket", "a", "l1", f"n0 + sum(n) {run} as k", f"t0 + sum(a * n) {run} as cum", f"q0 + sum(a * a * n) {run} as q").withColumn("theta", (F.col("cum") - lam) / F.col("k"))
-    last = cum.where("a > theta").groupBy("bucket").agg(F.max_by(F.struct("theta", "l1", "k", "cum", "q"), "k").alias("b")).select("bucket", "b.*")
+    cum = own.selectExpr("bucket", "a", "edge", "l1", f"n0 + sum(n) {run} as k", f"t0 + sum(a * n) {run} as cum", f"q0 + sum(a * a * n) {run} as q").withColumn("theta", (F.col("cum") - lam) / F.col("k"))
+    # At the edge what is left is at most lam, so it always bounds the threshold from above, if only by being it.
+    last = cum.where("a >= theta or edge").groupBy("bucket").agg(F.max_by(F.struct("theta", "l1", "k", "cum", "q"), "k").alias("b")).select("bucket", "b.*")
     theta = F.greatest("theta", F.lit(0.0))
     return inside.unionByName(last.select("bucket", theta.alias("theta"), "l1", F.lit(0).alias("halvings"), (F.col("q") - 2 * theta * F.col("cum") + theta * theta * F.col("k")).alias("sq")))
 

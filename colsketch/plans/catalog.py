@@ -274,7 +274,7 @@ def soft_threshold(spark, d):
 @query(f"""WITH RECURSIVE {CUST}, {SIGNED}, {PICK}, {INIT}, st AS (SELECT bucket, sum(abs(value)) AS l1, max(abs(value)) AS top FROM c GROUP BY 1),
 b AS (SELECT bucket, l1, top, CAST(0 AS INTEGER) AS k, CAST(0 AS DOUBLE) AS lo, CAST(top AS DOUBLE) AS hi, CASE WHEN l1 <= 550 THEN 0.0::DOUBLE ELSE NULL END AS theta FROM st
 UNION ALL SELECT bucket, l1, top, k + 1, CASE WHEN l > 550 THEN (lo + hi) / 2 ELSE lo END, CASE WHEN l < 500 THEN (lo + hi) / 2 ELSE hi END, CASE WHEN l BETWEEN 500 AND 550 THEN (lo + hi) / 2 ELSE NULL END
-FROM (SELECT b.*, (SELECT sum(greatest(0, abs(value) - (b.lo + b.hi) / 2)) FROM c WHERE c.bucket = b.bucket) AS l FROM b WHERE theta IS NULL AND k < 12))
+FROM (SELECT b.*, (SELECT sum(greatest(0, abs(value) - (b.lo + b.hi) / 2)) FROM c WHERE c.bucket = b.bucket) AS l FROM b WHERE theta IS NULL AND k < 64))
 SELECT bucket, round(theta, 6) + 0.0 AS theta FROM b WHERE theta IS NOT NULL""")
 def l1_bisect_theta(spark, d):
     return rounded(P.thresholds(K.init_centres(_m(spark, d), R, SEED), 500.0, 0.1).select("bucket", "theta"), "theta")

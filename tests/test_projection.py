@@ -46,6 +46,14 @@ def test_exact_form(spark, lam):
     assert all(got[j] == pytest.approx(P.exact_threshold(c, lam), rel=1e-9, abs=1e-9) for j, c in enumerate(columns))
 
 
+def test_exact_form_on_an_edge(spark):
+    """Integers whose threshold is a magnitude, or a cell's edge, itself."""
+    columns = [[4, 2, 2, 2], [4, 4, 2, 1], [8] * 5 + [4] * 3, [4096, 1024, 512], [7, 7, 7]]
+    for lam in (2.0, 4.0, 8.0, 20.0, 3072.0):
+        got = {r.bucket: r.theta for r in P.exact_thresholds(frame(spark, columns), lam).collect()}
+        assert {j: got[j] for j in range(5)} == pytest.approx({j: P.exact_threshold(np.array(c, float), lam) for j, c in enumerate(columns)})
+
+
 def test_no_centres(spark):
     df = spark.createDataFrame([], O.SKETCH)
     assert P.thresholds(df, 1.0).count() == P.exact_thresholds(df, 1.0).count() == P.project(df, 1.0).count() == 0
