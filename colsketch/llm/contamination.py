@@ -8,6 +8,8 @@ postings of all its words. Phrases are exact; `proximity` finds terms within a d
 Words are runs of ASCII letters and digits and of characters outside ASCII, with A-Z lower-cased. Nulls and empty texts
 have no words and neither hit nor contain anything. Repeated item rows are one item (by item_id); rows of documents
 with one doc_id are counted together where their words are hit, so doc_id should be a key. A null doc_id hits nothing.
+Terms that are equally rare are taken in the order of their place. Very long texts are rows of postings like others; empty
+tables of documents or items give no rows or no hits.
 """
 
 from __future__ import annotations

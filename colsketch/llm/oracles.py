@@ -14,6 +14,19 @@ p AS (SELECT doc_id, size, n AS source_size, target, CAST(sum(size) OVER (PARTIT
 SELECT doc_id, size, source_size, target, whole * size + greatest(0, least(size, CAST(floor(target) AS BIGINT) - whole * source_size - before)) AS taken FROM p
 """
 
+_LOWER = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+')"
+
+OP3 = f"""
+WITH RECURSIVE d AS (SELECT doc_id, {_LOWER} AS w FROM documents),
+s AS (SELECT DISTINCT doc_id, md5(array_to_string(w[k : k + 4], ' ')) AS h FROM (SELECT doc_id, w, unnest(range(1, greatest(1, len(w) - 4) + 1)) AS k FROM d WHERE len(w) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+p AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS m FROM s x JOIN s y ON x.h = y.h AND x.doc_id < y.doc_id GROUP BY 1, 2),
+l AS (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * m >= 75 * (x.n + y.n - m)),
+e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+r AS (SELECT DISTINCT a AS id, a AS c FROM e UNION SELECT r.id, e.b FROM r JOIN e ON e.a = r.c)
+SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(t.c, d.doc_id) AS component_id FROM d LEFT JOIN n USING (doc_id) LEFT JOIN (SELECT id AS doc_id, min(c) AS c FROM r GROUP BY 1) t USING (doc_id)
+"""
+
 OP4 = f"""
 WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
 p AS (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS k FROM d),
@@ -45,4 +58,12 @@ c AS (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY CASE WHEN total
 SELECT doc_id, bytes, shard, CAST(k AS INTEGER) AS depth, CAST(total AS BIGINT) AS shard_bytes, total > 1048576 AS oversize FROM c WHERE r = 1
 """
 
-SQL: dict[str, str] = {"op1_mixing": OP1, "op4_substring_dedup": OP4, "op5_decontamination": OP5, "op6_sharding": OP6}
+BASE_FIGURES = f"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t, {_WORDS} AS w FROM documents),
+g AS (SELECT doc_id, k, md5(array_to_string(w[k : k + 7], ' ')) AS h FROM (SELECT doc_id, w, unnest(range(1, len(w) - 6)) AS k FROM d WHERE len(w) >= 8)),
+c AS (SELECT doc_id, count(DISTINCT k + o) AS n FROM (SELECT doc_id, k FROM (SELECT doc_id, k, count(*) OVER (PARTITION BY doc_id, h) AS m FROM g) WHERE m > 1), range(0, 8) z(o) GROUP BY 1),
+l AS (SELECT doc_id, count(*) - count(DISTINCT line) AS n FROM (SELECT doc_id, unnest(string_split(t, chr(10))) AS line FROM d) WHERE regexp_matches(line, '[^\\x20\\x09-\\x0D]') GROUP BY 1)
+SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(length(array_to_string(w, '')) AS BIGINT) AS word_chars, CAST(length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, coalesce(l.n, 0) AS n_dup_lines, coalesce(c.n, 0) AS n_repeat_words, len(w) < 20 OR 100 * coalesce(c.n, 0) > 30 * len(w) AS base_failed FROM d LEFT JOIN c USING (doc_id) LEFT JOIN l USING (doc_id)
+"""
+
+SQL: dict[str, str] = {"op3_jaccard_join": OP3, "quality_base_figures": BASE_FIGURES, "op1_mixing": OP1, "op4_substring_dedup": OP4, "op5_decontamination": OP5, "op6_sharding": OP6}

@@ -77,6 +77,11 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality(docs, quality.fit(docs, sample, trusted_texts(docs, labels)))
 
 
+def quality_base_figures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The rule figures of op10 alone, which SQL can express."""
+    return quality.quality(table(spark, sf_dir, "documents")).drop("kept", "score")
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
@@ -92,7 +97,7 @@ def _shipped(f):
 
 
 def queries() -> dict:
-    return {f.__name__: _shipped(f) for f in (op1_mixing, op2_toxicity, op3_jaccard_join, op4_substring_dedup, op5_decontamination, op6_sharding, op7_html_extraction, op8_lm_scoring, op9_language_id, op10_quality_rules, pipeline)}
+    return {f.__name__: _shipped(f) for f in (op1_mixing, op2_toxicity, op3_jaccard_join, op4_substring_dedup, op5_decontamination, op6_sharding, op7_html_extraction, op8_lm_scoring, op9_language_id, op10_quality_rules, quality_base_figures, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
