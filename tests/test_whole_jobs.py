@@ -29,7 +29,7 @@ def test_every_row_and_dimension(spark, tmp_path):
     x = np.random.default_rng(1).normal(size=(430, 64)).astype(np.float32)
     spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>").write.parquet(str(tmp_path / "embeddings.parquet"))
     x = x.astype(float)
-    got = {(r.row_id, r.feature_id): r.value for r in catalog.quadratic_embeddings_all(spark, str(tmp_path)).where("row_id % 61 = 0").collect()}
+    got = {(r.row_id, r.feature_id): r.value for r in catalog.quadratic_embeddings(spark, str(tmp_path)).where("row_id % 61 = 0").collect()}
     want = {(i, j): x[i, j] for i in range(0, 430, 61) for j in range(64)}
     want |= {(i, 64 + 64 * j + k): x[i, j] * x[i, k] for i in range(0, 430, 61) for j in range(64) for k in range(j, 64)}
     assert got == pytest.approx(want) and len(got) == 2144 * 8
@@ -37,7 +37,7 @@ def test_every_row_and_dimension(spark, tmp_path):
     for r in O.countsketch(M.embeddings(spark, str(tmp_path)), catalog.R, catalog.SEED).collect():
         sketch[r.row_id, r.bucket] = r.value
     ratio = [((sketch[i] - sketch[j]) ** 2).sum() / ((x[i] - x[j]) ** 2).sum() for i in range(430) for j in range(i + 1, min(i + 8, 430))]
-    r = catalog.distortion_every_row(spark, str(tmp_path)).first()
+    r = catalog.distortion_pairs(spark, str(tmp_path)).first()
     assert r.pairs == len(ratio) and r.mean_ratio == pytest.approx(np.mean(ratio), abs=2e-6) and r.share == pytest.approx(np.mean([0.5 <= q <= 1.5 for q in ratio]))
 
 
@@ -45,7 +45,7 @@ def test_both_sql_twins(spark):
     duckdb = pytest.importorskip("duckdb")
     con = duckdb.connect()
     con.execute("create view embeddings as select * from '/root/testdata/sf0.01/embeddings.parquet'")
-    for name in ("distortion_every_row", "quadratic_embeddings_all"):
+    for name in ("distortion_pairs", "quadratic_embeddings"):
         got = sorted(tuple(r) for r in catalog.queries()[name](spark, "/root/testdata/sf0.01").collect())
         want = sorted(con.execute(catalog.oracle_sql()[name]).fetchall())
         assert len(got) == len(want) and all(a == pytest.approx(b) for a, b in zip(got, want, strict=True))
