@@ -484,6 +484,12 @@ def stream_followed_by(spark, d):
     return S.drain(S.followed_by(of("view"), of("purchase")), "append")
 
 
+@query(f"WITH {KSQL} SELECT user_id, bucket, count(*) AS seen, round(avg(delta), 9) + 0.0 AS centre FROM i GROUP BY 1, 2")
+def stream_online_centres(spark, d):
+    cells = S.online_centres(_increments(spark, d).withColumnRenamed("delta", "value"))
+    return rounded(S.drain(cells, "update"), "centre", places=9)
+
+
 # Forms of matrices
 
 

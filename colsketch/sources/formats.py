@@ -44,6 +44,22 @@ def write_bucketed(fm: FeatureMatrix, table: str, buckets: int = 1024, by: str =
     fm.entries.write.mode("overwrite").bucketBy(buckets, by).sortBy(by).saveAsTable(table)
 
 
+def _part(buckets: int) -> Column:
+    return F.pmod(F.xxhash64("feature_id"), F.lit(buckets)).cast("int")
+
+
+def write_by_feature(fm: FeatureMatrix, path: str, buckets: int = 1024, files: int = 8) -> None:
+    """Entries in folders by the hash of their feature, each of some files, as a feature may hold many of the rows."""
+    fm.entries.withColumn("part", _part(buckets)).repartition("part", F.pmod(F.xxhash64("row_id"), F.lit(files))).write.mode("overwrite").partitionBy("part").parquet(path)
+
+
+def read_features(spark: SparkSession, path: str, features: DataFrame, buckets: int = 1024) -> DataFrame:
+    """The entries of the given features (feature_id); only their folders are read."""
+    parts = [r.part for r in features.where("feature_id is not null").select(_part(buckets).alias("part")).distinct().collect()]  # at most `buckets`
+    entries = spark.read.schema("row_id long, feature_id long, value double, part int").parquet(path).where(F.col("part").isin(parts))
+    return entries.join(features.select("feature_id").distinct(), "feature_id", "left_semi").select("row_id", "feature_id", "value")
+
+
 def strip_tags(html: Column) -> Column:
     """Page text without scripts, styles, comments and tags, white space made one space; a plain strip, not the page template."""
     bare = F.regexp_replace(html, r"(?is)<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>", " ")
