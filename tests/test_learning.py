@@ -116,6 +116,20 @@ def test_relations_equal_kernels(spark, data):
         K.learn_full(fm, 5, 1, seed=9, rate=("other", 1.0))
 
 
+def test_one_step_at_any_constant_rate(spark, data):
+    x, fm = data
+    m = K.signed(fm, 9)
+    c = K.init_centres(m, 5, 9)
+    fmap = K.assign(m, c, 5)
+    at = {r.feature_id: r.bucket for r in fmap.collect()}
+    before, want, s = dense(c, 5), dense(c, 5), signs(spark, 9)
+    for b in range(5):
+        mine = [j for j in at if at[j] == b]
+        want[:, b] = before[:, b] + 2 * 0.5 * ((x * s)[:, mine].sum(axis=1) - len(mine) * before[:, b])
+    assert max(np.bincount(list(at.values()))) > 2  # 1 / the largest group's size is below the rate
+    assert np.allclose(dense(K.step(m, fmap, c, ("constant", 0.5)), 5), want)
+
+
 def test_too_few_columns(data):
     with pytest.raises(ValueError, match="fewer"):
         K.learn_full(data[1], D + 1)
