@@ -119,6 +119,21 @@ def test_min_max_of_zeros(spark):
     assert M.min_max(empty).entries.count() == 0
 
 
+def test_min_max_moves_no_dense_cells(spark, monkeypatch):
+    monkeypatch.setattr(M, "CELLS", 7)
+    r = np.random.default_rng(3)
+    x = r.integers(-2, 4, (9, 11)) * (r.random((9, 11)) < 0.5).astype(float)
+    x[:, 4], x[:, 6] = np.arange(1, 10), 3.0
+    fm = M.FeatureMatrix(spark.createDataFrame([(i, 5 * j, float(x[i, j])) for i in range(9) for j in range(11) if x[i, j]], M.ENTRIES), spark.range(9).withColumnRenamed("id", "row_id"))
+    low, high = x.min(axis=0), x.max(axis=0)
+    want = {(i, 5 * j): 2 * (x[i, j] - low[j]) / (high[j] - low[j]) - 1 for i in range(9) for j in range(11) if high[j] > low[j]}
+    for most in (M.MAX_BROADCAST, 0):  # sent to the tasks, and joined
+        out = M.min_max(fm, most).entries
+        assert {(i, j): v for i, j, v in out.collect()} == pytest.approx({k: v for k, v in want.items() if v})
+    plan = M.min_max(fm).entries._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join Cross" not in plan and "Join Inner\n" not in plan
+
+
 def test_streams(spark, tmp_path):
     rows = [(i, i % 3, f"2024-01-01 00:{i:02d}:00", i % 5) for i in range(20)]
     df = spark.createDataFrame(rows, "event_id long, user_id long, ts string, feature_id long").withColumn("ts", F.col("ts").cast("timestamp"))
