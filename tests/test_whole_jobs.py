@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from colsketch.operators import adaptive
 from colsketch.operators import oblivious as O
-from colsketch.plans import catalog, solve, workloads
+from colsketch.plans import catalog, relational, solve, workloads
 from colsketch.sources import matrix as M
 
 
@@ -75,3 +75,14 @@ def test_unknown_init_raises(spark):
     m = spark.createDataFrame([(1, 1, 1.0)], "row_id long, feature_id long, value double")
     with pytest.raises(ValueError, match="other"):
         adaptive.init_centres(m, 1, 0, "other")
+
+
+def test_transform_of_the_features_that_occur(spark, tmp_path):
+    spark.createDataFrame([(0, [1.0, 0.0, 2.0]), (1, [0.0, 0.0, 3.0])], "vec_id long, embedding array<float>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    assert {tuple(r) for r in catalog.hadamard_matrix(spark, str(tmp_path)).collect()} == {(i, j, 1 - 2 * ((i & j).bit_count() % 2)) for i in (0, 2) for j in (0, 2)}
+
+
+def test_bisection_of_a_table(spark, tmp_path):
+    spark.createDataFrame([(1, 20.0), (2, 16.0), (1, 28.0), (3, 8.0), (4, 0.0)], "l_linenumber int, l_quantity double").write.parquet(str(tmp_path / "lineitem.parquet"))
+    # Sums 48, 16, 8, 0 and radius 36; at 12 they leave 36 + 4.
+    assert [tuple(r) for r in relational.recursive_bisection(spark, str(tmp_path)).orderBy("k").collect()] == [(0, 0.0, 48.0, 72.0), (1, 0.0, 24.0, 24.0), (2, 12.0, 24.0, 40.0), (3, 12.0, 18.0, 30.0), (4, 12.0, 15.0, 34.0), (5, 13.5, 15.0, 37.0)]
