@@ -51,6 +51,27 @@ def test_op10_counts_all_trusted_texts(spark, tmp_path, monkeypatch):
     assert counted[1] == sorted(f"w{i} same" for i in range(30))
 
 
+def test_op10_threshold_of_all_labelled_texts(spark, tmp_path, monkeypatch):
+    r = random.Random(7)
+    texts = {i: " ".join(f"{'g' if r.random() < (0.8 if i % 2 else 0.35) else 'b'}{r.randrange(30)}" for _ in range(r.choice([5, 20, 40]))) for i in range(120)}
+    spark.createDataFrame(list(texts.items()), "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(i, i % 2) for i in range(100)] + [(3, None), (500, 1)], "doc_id long, quality int").write.parquet(str(tmp_path / "labels.parquet"))
+    monkeypatch.setattr(quality, "MAX_LABELLED", 5)
+    seen, whole = [], quality.quality
+    monkeypatch.setattr(quality, "quality", lambda docs, selector: seen.append(selector) or whole(docs, selector))
+    rows = {x.doc_id: x for x in registry.op10_quality_rules(spark, str(tmp_path)).collect()}
+    score = {x.doc_id: x.score for x in whole(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), seen[0]).collect()}
+    good, bad = (sorted(score[i] for i in range(100) if i % 2 == k and rows[i].n_words >= 20) for k in (1, 0))
+    assert len(good) > 20 and len(bad) > 20
+    assert seen[0].threshold == pytest.approx(good[0])  # 0.2 % of so few is none
+    for lost in (0.1, 0.5):
+        scores = spark.createDataFrame([(1, x) for x in good] + [(0, x) for x in bad] + [(0, good[2]), (1, good[2])], "label long, score double")
+        more, less = sorted([*good, good[2]]), [*bad, good[2]]
+        cuts = more[: int(lost * len(more)) + 1]
+        errors = [sum(x < c for x in more) / len(more) + sum(x >= c for x in less) / len(less) for c in cuts]
+        assert quality.threshold(scores, lost) == cuts[errors.index(min(errors))]
+
+
 def test_lm_scores_of_many_random_texts(spark):
     r = random.Random(4)
     texts = {i: " ".join(f"w{min(r.randrange(1, 60), r.randrange(1, 60))}" for _ in range(r.choice([0, 1, 2, 7, 40, 90]))) for i in range(150)}
