@@ -1,13 +1,19 @@
 """The whole pipeline against its stages composed in plain Python."""
 
 import hashlib
+import subprocess
+import sys
+from pathlib import Path
 
 import brute
 import corpus_pipeline
+import numpy as np
+import pyarrow as pa
 from conftest import DATA
 from pyspark.sql import functions as F
 
-from colsketch.llm import mixing, registry, toxicity
+from colsketch import session
+from colsketch.llm import mixing, near, registry, toxicity
 from colsketch.llm.common import table
 
 SF = f"{DATA}/sf0.001"
@@ -75,3 +81,32 @@ def test_pipeline_stages_on_empty_tables(spark):
         assert stage(spark, empty, SF).count() == 0, name
     assert toxicity.toxic_flags(empty, toxicity.Model()).count() == 0
     assert mixing.mixed_rows(empty.withColumn("whole", F.lit(1))).columns[-1] == "whole"
+
+
+def test_batches_of_the_pipeline_are_bounded(spark):
+    """Small batches go to Python, whatever the session's own bound; workers load no pandas; frequent shingles stay the same."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").coalesce(1)
+    docs = docs.unionByName(docs).unionByName(docs).coalesce(1)
+    key, before = session._BATCH, spark.conf.get(session._BATCH)
+
+    def sizes(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([b.num_rows]), pa.array([b.nbytes])], names=["n", "bytes"])
+
+    try:
+        spark.conf.set(key, "1g")
+        corpus_pipeline.mix_sources(spark, docs, SF)
+        assert 0 < int(spark.conf.get(key).removesuffix("b")) <= session.BATCH_BYTES
+        spark.conf.set(key, str(1 << 16))
+        corpus_pipeline.mix_sources(spark, docs, SF)
+        assert int(spark.conf.get(key).removesuffix("b")) == 1 << 16
+        rows = docs.mapInArrow(sizes, "n long, bytes long").collect()
+        longest = docs.selectExpr("max(octet_length(text))").first()[0]
+        assert len(rows) > 3 and sum(r.n for r in rows) == docs.count() and max(r.bytes for r in rows) < (1 << 17) + 2 * longest
+    finally:
+        spark.conf.set(key, before)
+    code = "import sys; sys.path.insert(0, sys.argv[1]); import colsketch.llm.near, colsketch.llm.toxicity, colsketch.llm.mixing; print('pandas' in sys.modules)"
+    found = subprocess.run([sys.executable, "-c", code, str(Path(corpus_pipeline.__file__).parent)], capture_output=True, text=True, check=True)
+    assert found.stdout.strip() == "False"
+    held = [np.array([1, 5, 9], np.uint64)] * near.OFTEN + [np.array([5, 7], np.uint64)]
+    assert near._frequent(held).column("h1").to_pylist() == [1, 5, 9] and not held
