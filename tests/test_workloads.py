@@ -150,6 +150,40 @@ def test_rows_of_learners_are_narrow_where_exact(spark):
         assert sorted(map(tuple, work.entries().collect())) == sorted(given) and work.entries().schema == M.ENTRIES
 
 
+@pytest.mark.parametrize("most", [K.MAX_CELLS, 0])
+def test_lists_store_no_centres(spark, monkeypatch, most):
+    """Of a matrix in lists, learners make centres from the rows and leave no files; as by stored centres otherwise."""
+    monkeypatch.setattr(K, "MAX_CELLS", most)
+    fm, rows = workloads.load(spark, SF, "bow_quality")
+    other = M.FeatureMatrix(K.cut(fm.entries), K.cut(fm.rows), fm.d)
+    changes = [dict(workloads.CHANGES[x]) for x in ("default", "signs=learned", "init=oblivious_groups", "rate=decay", "eps=0", "reseed_empty")]
+    for more in [*changes, {"batch": 0.3}] if most else [changes[0], changes[-1]]:
+        learn = (lambda x: K.learn_minibatch(x, 7, 2, 0.3, 5.0, seed=3)) if "batch" in more else lambda x, more=more: K.learn_full(x, 7, 2, 5.0, **({"eps": 0.1, "seed": 3} | more))
+        before = _files(spark)
+        model = learn(fm)
+        assert _files(spark) - before < 40 * fm.d and len(model.held) == 1  # the map alone
+        got, want = ({(r.row_id, r.bucket): r.value for r in x.training_sketch().collect()} for x in (model, learn(other)))
+        assert got == pytest.approx(want) and len(got) > 50
+    workloads._done(fm, rows)
+
+
+def test_lists_of_texts(spark, tmp_path):
+    """The same matrix as by tokens moved in entries; a repeated doc_id goes that way."""
+    fast = {}
+    for name in ("bigram", "bow_quality"):
+        fm, rows = workloads.load(spark, SF, name)
+        docs = M.table(spark, SF, "documents", ["doc_id", "text", "lang"])
+        slow, ids = M.dense_ids(workloads.DATASETS[name](spark, SF)[0])
+        want = {(r.row_id, r.feature_id): r.value for r in slow.entries.collect()}
+        assert fm.lists is not None and fm.d == slow.d
+        assert {(r.row_id, r.feature_id): r.value for r in fm.entries.collect()} == pytest.approx(want)
+        fast[name] = fm.rows.count()
+        workloads._done(fm, rows)
+    assert 0 < fast["bow_quality"] < fast["bigram"] == docs.count()
+    docs.unionByName(docs.limit(1)).write.parquet(str(tmp_path / "documents.parquet"))
+    assert workloads.load(spark, str(tmp_path), "bow_en")[0].lists is None
+
+
 def test_min_max_of_zeros(spark):
     x = np.array([[0, 5.0, 1, 0], [1, 5.0, -1, 0], [2, 5.0, 0, 0], [0, 5.0, 3, 0]])
     fm = M.FeatureMatrix(spark.createDataFrame([(i, j, float(x[i, j])) for i in range(4) for j in range(4) if x[i, j]], M.ENTRIES), spark.range(4).withColumnRenamed("id", "row_id"))
