@@ -161,7 +161,9 @@ def test_lists_store_no_centres(spark, monkeypatch, most):
         learn = (lambda x: K.learn_minibatch(x, 7, 2, 0.3, 5.0, seed=3)) if "batch" in more else lambda x, more=more: K.learn_full(x, 7, 2, 5.0, **({"eps": 0.1, "seed": 3} | more))
         before = _files(spark)
         model = learn(fm)
-        assert _files(spark) - before < 40 * fm.d and len(model.held) == 1  # the map alone
+        assert _files(spark) - before < 40 * fm.d and not model.held
+        signs = {(r.feature_id, r.sign) for r in model.feature_map.collect()}
+        assert len(signs) == fm.d and {s for _, s in signs} == {-1, 1}
         got, want = ({(r.row_id, r.bucket): r.value for r in x.training_sketch().collect()} for x in (model, learn(other)))
         assert got == pytest.approx(want) and len(got) > 50
     workloads._done(fm, rows)
