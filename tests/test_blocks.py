@@ -3,6 +3,7 @@
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from colsketch.operators import adaptive as K
 from colsketch.operators import oblivious as O
@@ -88,3 +89,27 @@ def test_learners_of_texts_read_blocks(spark, monkeypatch, name):
     assert not [k for c, k in models.data.dtypes if k.startswith("array")]
     assert models.fit(3).scores()["a", 1.0]["accuracy"] > 0 and models.predictions().count() == rows.where("label is not null").count()
     workloads._done(fm, rows)
+
+
+def test_squares_are_made_where_rows_are_read(spark, tmp_path):
+    """The same matrix, labels and folds as by joined entries; rows that cannot be read so go that way."""
+    t = M.table(spark, SF, "embeddings", ["vec_id", "embedding"]).limit(40)
+    holes = F.transform("embedding", lambda v, i: F.when((i == 3) & (F.col("vec_id") % 2 == 0) | (i == 20), 0.0).when(i == 30, 2.0).otherwise(v).cast("float"))
+    t.select("vec_id", holes.alias("embedding")).write.parquet(str(tmp_path / "embeddings.parquet"))
+    fm, rows = workloads.load(spark, str(tmp_path), "embquad")
+    given, labels = workloads.DATASETS["embquad"](spark, str(tmp_path))
+    slow, _ = M.dense_ids(given)
+    want = {(r.row_id, r.feature_id): r.value for r in slow.entries.collect()}
+    assert fm.packed is not None and fm.d == slow.d < 2144
+    assert {(r.row_id, r.feature_id): r.value for r in fm.entries.collect()} == pytest.approx(want)
+    assert sorted(map(tuple, rows.collect())) == sorted(map(tuple, workloads.V.folds(labels, "key").select("row_id", "label", "fold").collect()))
+    got = {(r.row_id, r.bucket): r.value for r in K.learn_full(fm, 5, 2, ("relative", 0.2), seed=3).training_sketch().collect()}
+    other = K.learn_full(M.FeatureMatrix(K.cut(slow.entries), K.cut(slow.rows), fm.d), 5, 2, ("relative", 0.2), seed=3)
+    assert got == pytest.approx({(r.row_id, r.bucket): r.value for r in other.training_sketch().collect()})
+    workloads._done(fm, rows)
+    for k, change in enumerate((F.array_repeat(F.lit(0.0).cast("float"), 64), F.array_repeat(F.lit(float("nan")).cast("float"), 64))):
+        d = tmp_path / str(k)
+        t.unionByName(t.limit(1).select((F.col("vec_id") + 10**6).alias("vec_id"), change.alias("embedding"))).write.parquet(str(d / "embeddings.parquet"))
+        assert workloads._given_squares(spark, str(d), 5) is None
+    t.unionByName(t.limit(1)).write.parquet(str(tmp_path / "twice" / "embeddings.parquet"))
+    assert workloads._given_squares(spark, str(tmp_path / "twice"), 5) is None
