@@ -53,7 +53,7 @@ def test_sent_products_give_the_nearest_centres(monkeypatch, packed, shrink, sha
     monkeypatch.setattr(R, "WIDE", 90)
     x, batch = _rows()
     signs, bucket = O._signs(40, 7), np.random.default_rng(2).integers(0, 6, 40).astype(np.int32)
-    replay = R.Replay(6, Sent(signs), (("move", Sent((bucket, None)), R.move_table([(k, 0.0, 0.0, 3) for k in range(6)], 6)), ("shrink", np.full(6, shrink))), packed, 1 if packed else None)
+    replay = R.Replay(6, Sent(signs), (("move", Sent((bucket, None)), R.move_table([(k, 0.0, 0.0, 3) for k in range(6)], 6)), ("shrink", np.full(6, shrink))), B.unpacked if packed else None, 1 if packed else None)
     keep = np.arange(60) % 5 != 1 if packed else np.ones(60, bool)
     m = x[keep] * signs
     c = np.zeros((len(m), 6))
