@@ -113,3 +113,11 @@ def test_squares_are_made_where_rows_are_read(spark, tmp_path):
         assert workloads._given_squares(spark, str(d), 5) is None
     t.unionByName(t.limit(1)).write.parquet(str(tmp_path / "twice" / "embeddings.parquet"))
     assert workloads._given_squares(spark, str(tmp_path / "twice"), 5) is None
+
+
+def test_blocks_of_many_models_stay_small():
+    n = 2000
+    lists = [pa.array([[0, 1]] * n, pa.list_(pa.int32())), pa.array([[1.0, 2.0]] * n, pa.list_(pa.float64()))]
+    batch = pa.RecordBatch.from_arrays([pa.array(np.zeros(n, np.int32)), pa.array(np.arange(n)), *[pa.array(np.zeros(n, np.int32))] * 2, *lists], names=["tag", "row_id", "fold", "label", "idx", "val"])
+    sizes = [block.n for _, block, _ in linear._blocks(iter([batch]), [2], [320])]
+    assert sum(sizes) == n and max(sizes) * 320 <= linear.NEAR
